@@ -70,7 +70,7 @@ def held_out(doc_id: int | None, modulus: int, remainder: int) -> bool:
 
 # ---------------------------------------------------------------- batches of documents
 
-def batched(docs: DataFrame, per_partition: int = 4) -> tuple[DataFrame, int]:
+def batched(docs: DataFrame, per_partition: int = 2) -> tuple[DataFrame, int]:
     """Documents dealt into batches by a hash of id and text, one shuffle; the plan reuses it wherever it appears again.
 
     A batch (column ``k``) is a bounded share of a shuffle partition. It has the same rows whenever it is
@@ -109,6 +109,7 @@ def mix(x: np.ndarray, salt: int = 0) -> np.ndarray:
 _BYTE = mix(np.arange(256, dtype=U64), 7)
 
 
+_SLICE = 1 << 19
 _POWERS: dict[int, np.ndarray] = {}
 
 
@@ -132,10 +133,17 @@ class Words:
         before[1:] = space[:-1]
         starts = np.flatnonzero(before & ~space)
         ends = np.flatnonzero(space & ~before)
-        sums = np.zeros(n + 1, U64)
-        with np.errstate(over="ignore"):
-            np.cumsum(_BYTE[buf] * _powers(_BASE, n), out=sums[1:])
-            self.hash = mix((sums[ends] - sums[starts]) * _powers(_BASE_INV, n)[starts])
+        self.hash = np.empty(len(starts), U64)
+        # some bytes at a time, always whole words, so that the sums stay small
+        cut = np.unique(np.concatenate([np.searchsorted(starts, np.arange(0, n, _SLICE)), [len(starts)]]))
+        for i, j in zip(cut[:-1], cut[1:], strict=True):
+            low = starts[i]
+            part = _BYTE[buf[low:ends[j - 1]]]
+            sums = np.zeros(len(part) + 1, U64)
+            with np.errstate(over="ignore"):
+                part *= _powers(_BASE, len(part))
+                np.cumsum(part, out=sums[1:])
+                self.hash[i:j] = mix((sums[ends[i:j] - low] - sums[starts[i:j] - low]) * _powers(_BASE_INV, len(part))[starts[i:j] - low])
         at = np.cumsum([0] + [len(t) + 1 for t in texts])
         self.first = np.searchsorted(starts, at)
         self.n = np.diff(self.first)

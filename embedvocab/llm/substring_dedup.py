@@ -126,7 +126,7 @@ def repeated_spans(docs: DataFrame, window: int = 35, kept_text: bool = True) ->
     unless ``kept_text``. ``kept_sha256`` is of the joined words in any case.
     """
     dealt, _ = batched(docs)
-    buckets = 2 * shuffle_partitions(docs.sparkSession)
+    buckets = shuffle_partitions(docs.sparkSession)
 
     def probe(batch: pa.Table) -> pa.Table:
         k = batch.column("k")[0].as_py()

@@ -19,6 +19,7 @@ from __future__ import annotations
 import base64
 import re
 import zlib
+from array import array
 from collections.abc import Iterator
 
 import numpy as np
@@ -52,7 +53,14 @@ class TokenIds(dict):
     def __missing__(self, run: str) -> bytes:
         if len(self) >= KEPT_RUNS:
             self.clear()
-        ids = np.array(self.coder.encode_ordinary(run), "<u4").tobytes()
+        if "\n" in run and run != "\n":  # a single line end is a token by itself
+            return self["\n"].join(map(self.__getitem__, run.split("\n")))
+        if run[-1:] in (".", ",") and run[-2:-1].isalnum():  # marks after a letter or digit begin a token
+            ids = self[run[:-1]] + self[run[-1]]
+        elif run.lstrip(" ").isalpha():
+            ids = array("I", self.coder._core_bpe.encode_single_piece(run.encode())).tobytes()
+        else:
+            ids = array("I", self.coder.encode_ordinary(run)).tobytes()
         if len(run) <= 40:
             self[run] = ids
         return ids
@@ -61,7 +69,7 @@ class TokenIds(dict):
         if MARKER in text:
             return np.array(self.whole.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
         if _ODD_SPACE.search(text):
-            return np.array(self.coder.encode_ordinary(text), "<u4").tobytes()
+            return array("I", self.coder.encode_ordinary(text)).tobytes()
         # a token begins at each single space, so the runs between them can be encoded alone
         first, *rest = text.split(" ")
         return b"".join([self[first], *map(self.__getitem__, map(" ".__add__, rest))])

@@ -159,7 +159,7 @@ def forest(cell: np.ndarray, fps: np.ndarray, indexed: np.ndarray, radius: int)
         own = fps[s:s + c]
         for at in range(0, c, 256):
             near = np.bitwise_count(own[at:at + 256, None] ^ own[None, at:]) <= radius
-            near &= indexed[s + at:s + at + 256, None] | indexed[None, s + at:s + c]
+            near &= indexed[s + at:s + min(at + 256, c), None] | indexed[None, s + at:s + c]
             near &= label[s + at:s + min(at + 256, c), None] != label[None, s + at:s + c]
             a, b = np.nonzero(near)
             _merge(label, a + s + at, b + s + at)

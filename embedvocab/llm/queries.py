@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from embedvocab.llm import matroska, mixing, packing, simhash, substring_dedup
+from embedvocab.llm import matroska, mixing, packing, quality_knn, simhash, substring_dedup, toxicity
 from embedvocab.llm.common import table
 
 
@@ -22,6 +22,16 @@ def op4_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(table(spark, sf_dir, "documents"))
 
 
+def op5_quality_knn(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs, labels = table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels")
+    return quality_knn.scores(docs, quality_knn.fit(docs, labels))
+
+
+def op6_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs, labels = table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels")
+    return toxicity.scores(docs, toxicity.fit(docs, labels))
+
+
 def op8_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash.digest(table(spark, sf_dir, "documents"))
 
@@ -34,6 +44,8 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_substring_dedup": op1_substring_dedup,
     "op2_matroska": op2_matroska,
     "op4_packing": op4_packing,
+    "op5_quality_knn": op5_quality_knn,
+    "op6_toxicity": op6_toxicity,
     "op8_simhash": op8_simhash,
     "op9_mixing": op9_mixing,
 }

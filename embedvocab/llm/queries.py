@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from embedvocab.llm import matroska, mixing, packing, quality_knn, simhash, substring_dedup, toxicity
+from embedvocab.llm import matroska, mixing, packing, quality_knn, simhash, spotsigs, substring_dedup, toxicity, warc
 from embedvocab.llm.common import table
 
 
@@ -18,6 +18,10 @@ def op2_matroska(spark: SparkSession, sf_dir: str) -> DataFrame:
     return matroska.digest(table(spark, sf_dir, "documents"))
 
 
+def op3_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return warc.digest(table(spark, sf_dir, "pages"))
+
+
 def op4_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(table(spark, sf_dir, "documents"))
 
@@ -32,6 +36,10 @@ def op6_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return toxicity.scores(docs, toxicity.fit(docs, labels))
 
 
+def op7_spotsigs(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return spotsigs.digest(table(spark, sf_dir, "documents"))
+
+
 def op8_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash.digest(table(spark, sf_dir, "documents"))
 
@@ -43,13 +51,16 @@ def op9_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_substring_dedup": op1_substring_dedup,
     "op2_matroska": op2_matroska,
+    "op3_warc": op3_warc,
     "op4_packing": op4_packing,
     "op5_quality_knn": op5_quality_knn,
     "op6_toxicity": op6_toxicity,
+    "op7_spotsigs": op7_spotsigs,
     "op8_simhash": op8_simhash,
     "op9_mixing": op9_mixing,
 }
 
 ORACLES: dict[str, str] = {
+    "op3_warc": warc.ORACLE,
     "op9_mixing": mixing.ORACLE,
 }

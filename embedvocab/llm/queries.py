@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from embedvocab.llm import matroska, mixing, packing, quality_knn, simhash, spotsigs, substring_dedup, toxicity, warc
+from embedvocab.llm import ctw, matroska, mixing, packing, quality_knn, simhash, spotsigs, substring_dedup, toxicity, warc
 from embedvocab.llm.common import table
 
 
@@ -48,6 +48,10 @@ def op9_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.digest(table(spark, sf_dir, "documents"))
 
 
+def op10_context_tree(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return ctw.digest(table(spark, sf_dir, "documents"))
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_substring_dedup": op1_substring_dedup,
     "op2_matroska": op2_matroska,
@@ -57,6 +61,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op6_toxicity": op6_toxicity,
     "op7_spotsigs": op7_spotsigs,
     "op8_simhash": op8_simhash,
+    "op10_context_tree": op10_context_tree,
     "op9_mixing": op9_mixing,
 }
 

@@ -70,23 +70,30 @@ def held_out(doc_id: int | None, modulus: int, remainder: int) -> bool:
 
 # ---------------------------------------------------------------- batches of documents
 
-def batched(docs: DataFrame, per_partition: int = 2) -> tuple[DataFrame, int]:
+def batched(docs: DataFrame, per_partition: int = 2, carry: list[str] | None = None) -> tuple[DataFrame, int]:
     """Documents dealt into batches by a hash of id and text, one shuffle; the plan reuses it wherever it appears again.
 
     A batch (column ``k``) is a bounded share of a shuffle partition. It has the same rows whenever it is
-    recomputed, so that a later pass over the same batch can apply replies that name local positions only.
+    recomputed, so that a later pass over the same batch can apply replies that name local positions only. Columns
+    to carry go along in the struct ``rest``.
     """
     n = shuffle_partitions(docs.sparkSession)
-    keyed = columns(docs, doc_id="long", text="string").withColumn(
+    rest = [F.struct(*(F.col(f"`{c}`") for c in carry)).alias("rest")] if carry else []
+    keyed = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"), *rest).withColumn(
         "k", F.pmod(F.xxhash64("doc_id", "text"), F.lit(n * per_partition)).cast("int"))
     return keyed.repartition(n, "k"), n * per_partition
 
 
-def in_order(batch: pa.Table) -> tuple[list, list[bytes]]:
-    """Ids and UTF-8 texts of a batch, ordered by (id, text), nulls first: the same order in every pass."""
+def order_of(batch: pa.Table) -> tuple[list[int], list, list[bytes]]:
+    """The order of a batch's rows by (id, text), nulls first, and the ids and UTF-8 texts in the batch's own order."""
     ids = batch.column("doc_id").to_pylist()
     texts = [b"" if t is None else t for t in batch.column("text").cast(pa.binary()).to_pylist()]
-    order = sorted(range(len(ids)), key=lambda i: (ids[i] is not None, ids[i] or 0, texts[i]))
+    return sorted(range(len(ids)), key=lambda i: (ids[i] is not None, ids[i] or 0, texts[i])), ids, texts
+
+
+def in_order(batch: pa.Table) -> tuple[list, list[bytes]]:
+    """Ids and texts of a batch in the same order in every pass."""
+    order, ids, texts = order_of(batch)
     return [ids[i] for i in order], [texts[i] for i in order]
 
 

@@ -28,7 +28,7 @@ from pyspark.sql import functions as F
 
 from embedvocab.llm.common import U64, Words, arrow_rows, batched, columns, held_out, in_order, mix, pack, shuffle_partitions, unpack, written
 
-DEPTH = 4
+DEPTH = 5
 _END = b"\n"
 _LN10 = math.log(10)
 

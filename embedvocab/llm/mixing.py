@@ -31,14 +31,15 @@ def quality_weight(text: Column) -> Column:
     return F.coalesce(F.greatest(F.lit(0.05), 1 - 5 * marks), F.lit(0.05))
 
 
-def keyed(docs: DataFrame, seed: int, weight: Column) -> DataFrame:
-    """docs with _size, _key and _bucket; the draw depends on seed, id and source only."""
+def keyed(docs: DataFrame, seed: int, weight: Column | None, keep: bool) -> DataFrame:
+    """doc_id, source, _size, _key and _bucket, and the whole row in _row if it is kept; the draw depends on seed, id and source only."""
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("source").cast("string").alias("source"), F.col("text").cast("string").alias("text"),
+                       (quality_weight(F.col("text").cast("string")) if weight is None else weight).alias("_weight"), *([F.struct("*").alias("_row")] if keep else []))
     who = F.coalesce(F.col("doc_id").cast("string"), F.md5(F.col("text")), F.lit(""))
     hexes = F.substring(F.md5(F.concat_ws("|", F.lit(str(seed)), who, F.col("source"))), 1, 12)
     u = (F.conv(hexes, 16, 10).cast("double") + 0.5) / float(1 << 48)
-    key = -F.ln(u) / weight
-    return (docs.withColumn("_size", F.coalesce(F.regexp_count("text", F.lit(WORD_PATTERN)), F.lit(0)).cast("long"))
-            .withColumn("_key", key).withColumn("_bucket", F.floor(F.log2("_key") * PER_OCTAVE).cast("int")))
+    return (rows.withColumn("_size", F.coalesce(F.regexp_count("text", F.lit(WORD_PATTERN)), F.lit(0)).cast("long"))
+            .withColumn("_key", -F.ln(u) / F.col("_weight")).withColumn("_bucket", F.floor(F.log2("_key") * PER_OCTAVE).cast("int")).drop("text", "_weight"))
 
 
 def targets(sizes: DataFrame, most_epochs: int = 3, weights: int = 3, total: float = 1.0) -> DataFrame:
@@ -77,9 +78,9 @@ def budgets(rows: DataFrame, most_epochs: int = 3, weights: int = 3, total: floa
 
 
 def mix(docs: DataFrame, seed: int = 17, weight: Column | None = None, most_epochs: int = 3, weights: int = 3, total: float = 1.0) -> DataFrame:
-    """docs with _size, source_size, target, _epochs and _extra: what each gives besides its complete epochs, in words."""
-    rows = keyed(docs, seed, quality_weight(F.col("text")) if weight is None else weight)
-    return _taken(rows, budgets(rows, most_epochs, weights, total))
+    """Each row in _row with _size, source_size, target, _epochs and _extra: what it gives besides its complete epochs, in words."""
+    rows = keyed(docs, seed, weight, keep=True)
+    return _taken(rows, budgets(rows.drop("_row"), most_epochs, weights, total))
 
 
 def _taken(rows: DataFrame, per_source: DataFrame) -> DataFrame:
@@ -93,22 +94,21 @@ def _taken(rows: DataFrame, per_source: DataFrame) -> DataFrame:
 
 def digest(docs: DataFrame, seed: int = 17) -> DataFrame:
     """(doc_id, size, source_size, target, taken)."""
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("source").cast("string").alias("source"), F.col("text").cast("string").alias("text"))
-    rows = written(keyed(rows, seed, quality_weight(F.col("text"))).drop("text"))
+    rows = written(keyed(docs, seed, None, keep=False))
     return _taken(rows, budgets(rows)).select("doc_id", F.col("_size").alias("size"), "source_size", "target", (F.col("_epochs") * F.col("_size") + F.col("_extra")).cast("long").alias("taken"))
 
 
 def materialise(mixed: DataFrame, columns: list[str]) -> DataFrame:
     """The mix itself: a row for each complete epoch, then one for the rest, cut where the budget ends."""
-    whole = F.col("_extra") >= F.col("_size")
-    cut = F.array_join(F.slice(F.regexp_extract_all("text", F.lit(WORD_PATTERN), F.lit(0)), F.lit(1), F.col("_extra").cast("int")), " ")
+    text = F.col("_row")["text"]
+    cut = F.array_join(F.slice(F.regexp_extract_all(text, F.lit(WORD_PATTERN), F.lit(0)), F.lit(1), F.col("_extra").cast("int")), " ")
     given = lambda c: (c <= F.col("_epochs")) | (F.col("_extra") > 0)
     copies = mixed.withColumn("_copy", F.explode(F.filter(F.sequence(F.lit(1), F.col("_epochs").cast("int") + 1), given)))
-    part = (F.col("_copy") > F.col("_epochs")) & ~whole
-    copies = copies.withColumn("text", F.when(part, cut).otherwise(F.col("text")))
+    part = (F.col("_copy") > F.col("_epochs")) & (F.col("_extra") < F.col("_size"))
+    new = {"text": F.when(part, cut).otherwise(text)}
     if "n_chars" in columns:
-        copies = copies.withColumn("n_chars", F.when(part, F.length("text").cast("long")).otherwise(F.col("n_chars")))
-    return copies.select(*columns)
+        new["n_chars"] = F.when(part, F.length(cut).cast("long")).otherwise(F.col("_row")["n_chars"])
+    return copies.select(*(new.get(c, F.col("_row")[c]).alias(c) for c in columns))
 
 
 ORACLE = r"""

@@ -17,6 +17,7 @@ the component of their fingerprint. Repeated rows share a fingerprint. Extra col
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 from itertools import combinations, repeat
 
@@ -26,7 +27,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from embedvocab.llm.common import U64, mix, per_document, shuffle_partitions, written
+from embedvocab.llm.common import U64, Words, mix, per_document, shuffle_partitions, written
 
 SEED = 42
 
@@ -140,12 +141,25 @@ def _merge(label: np.ndarray, a: np.ndarray, b: np.ndarray) -> None:
             label[:] = up
 
 
-def forest(cell: np.ndarray, fps: np.ndarray, indexed: np.ndarray, radius: int) -> tuple[np.ndarray, np.ndarray]:
-    """Edges that join, within each cell, all fingerprints linked there; at least one of a pair must be indexed."""
+def forest(cell: np.ndarray, fps: np.ndarray, indexed: np.ndarray, radius: int, wide: list[np.ndarray] | None = None, wide_radius: int = 0) -> tuple[np.ndarray, np.ndarray]:
+    """Edges, as pairs of places, that join all fingerprints linked within a cell; at least one of a pair must be indexed.
+
+    With wide prints, a link must also be within their radius.
+    """
     order = np.argsort(cell, kind="stable")
     cell, fps, indexed = cell[order], fps[order], indexed[order]
+    wide = [w[order] for w in wide or []]
     n = len(fps)
     label = np.arange(n)
+
+    def merge(a: np.ndarray, b: np.ndarray) -> None:
+        if wide:
+            apart = label[a] != label[b]
+            a, b = a[apart], b[apart]
+            close = sum(np.bitwise_count(w[a] ^ w[b]).astype(np.int32) for w in wide) <= wide_radius
+            a, b = a[close], b[close]
+        _merge(label, a, b)
+
     begin = np.flatnonzero(np.concatenate([[True], cell[1:] != cell[:-1]])) if n else np.zeros(0, int)
     size = np.diff([*begin, n])
     small = np.repeat(size <= 48, size)
@@ -154,21 +168,26 @@ def forest(cell: np.ndarray, fps: np.ndarray, indexed: np.ndarray, radius: int)
         if not len(i):
             break
         ok = (np.bitwise_count(fps[i] ^ fps[i + gap]) <= radius) & (indexed[i] | indexed[i + gap])
-        _merge(label, i[ok], i[ok] + gap)
+        merge(i[ok], i[ok] + gap)
     for s, c in zip(begin[size > 48], size[size > 48], strict=True):
         own = fps[s:s + c]
         for at in range(0, c, 256):
-            near = np.bitwise_count(own[at:at + 256, None] ^ own[None, at:]) <= radius
-            near &= indexed[s + at:s + min(at + 256, c), None] | indexed[None, s + at:s + c]
-            near &= label[s + at:s + min(at + 256, c), None] != label[None, s + at:s + c]
+            end = min(at + 256, c)
+            near = np.bitwise_count(own[at:end, None] ^ own[None, at:]) <= radius
+            near &= indexed[s + at:s + end, None] | indexed[None, s + at:s + c]
+            near &= label[s + at:s + end, None] != label[None, s + at:s + c]
             a, b = np.nonzero(near)
-            _merge(label, a + s + at, b + s + at)
+            merge(a + s + at, b + s + at)
     child = np.flatnonzero(label != np.arange(n))
-    return fps[child], fps[label[child]]
+    return order[child], order[label[child]]
 
 
-def links(nodes: DataFrame, radius: int = 3, parts: int = 4) -> DataFrame:
-    """(a, b): edges between distinct fingerprints of ``nodes`` (column fp) whose closure is that of all pairs within radius."""
+def links(nodes: DataFrame, radius: int = 3, parts: int = 4, wide_radius: int | None = None) -> DataFrame:
+    """(a, b): edges between the nodes of distinct fingerprints whose closure is that of all pairs within radius.
+
+    ``nodes`` has node and fp, and wide_a and wide_b if their bits too must be within wide_radius.
+    """
+    more = [] if wide_radius is None else ["wide_a", "wide_b"]
     spark = nodes.sparkSession
     tasks = shuffle_partitions(spark)
 
@@ -228,14 +247,17 @@ def links(nodes: DataFrame, radius: int = 3, parts: int = 4) -> DataFrame:
                     other = np.arange(len(times)) - np.repeat(np.cumsum(s) - s, s)
                     cell = mix(at[keep][times].astype(U64) * U64(parts) + U64(i), 11)
                     cell = mix(cell + np.minimum(mine, other).astype(U64) * U64(1 << 32) + np.maximum(mine, other).astype(U64), 12)
-                    yield pa.record_batch([pa.array((cell % U64(4 * tasks)).astype(np.int32)), pa.array(cell.view(np.int64)), pa.array(fps[keep][times].view(np.int64)), pa.array(np.full(len(times), not m))], names=["bucket", "cell", "fp", "indexed"])
+                    which = keep[times]
+                    carried = [pa.array(b.column(c).to_numpy()[which]) for c in range(b.num_columns)]
+                    yield pa.record_batch([pa.array((cell % U64(4 * tasks)).astype(np.int32)), pa.array(cell.view(np.int64)), pa.array(np.full(len(times), not m)), *carried], names=["bucket", "cell", "indexed", "fp", "node", *more])
 
     def verify(cells: pa.Table) -> pa.Table:
         column = lambda c: cells.column(c).to_numpy()
-        a, b = forest(column("cell"), column("fp").view(U64), column("indexed").astype(bool), radius)
-        return pa.table({"a": a.view(np.int64), "b": b.view(np.int64)})
+        a, b = forest(column("cell"), column("fp").view(U64), column("indexed").astype(bool), radius, [column(c).view(U64) for c in more], wide_radius or 0)
+        return pa.table({"a": column("node")[a], "b": column("node")[b]})
 
-    cells = nodes.select("fp").mapInArrow(deal, "bucket int, cell long, fp long, indexed boolean")
+    ddl = "bucket int, cell long, indexed boolean, fp long, node long" + "".join(f", {c} long" for c in more)
+    cells = nodes.select("fp", "node", *more).mapInArrow(deal, ddl)
     return cells.groupBy("bucket").applyInArrow(verify, "a long, b long").distinct()
 
 
@@ -258,15 +280,74 @@ def components(edges: DataFrame) -> DataFrame:
         state = new
 
 
+def classes(prints: DataFrame, radius: int = 3, parts: int = 4, wide_radius: int | None = None) -> DataFrame:
+    """(node, component_id): the least id that each node's documents reach; prints has id, node, fp, and the wide prints if they count."""
+    more = [] if wide_radius is None else ["wide_a", "wide_b"]
+    nodes = written(prints.groupBy("node").agg(F.min("id").alias("least_id"), *(F.first(c).alias(c) for c in ("fp", *more))))
+    roots = components(links(nodes, radius, parts, wide_radius))
+    rooted = written(nodes.join(roots.withColumnRenamed("node", "_n"), F.col("node") == F.col("_n"), "left").select("node", "least_id", F.coalesce("root", "node").alias("root")))
+    least = written(rooted.groupBy("root").agg(F.min("least_id").alias("component_id")))
+    return written(rooted.join(least, "root").select("node", "component_id"))
+
+
 def near_duplicates(docs: DataFrame, shingle: int = 3, radius: int = 3, parts: int = 4) -> DataFrame:
     """(doc_id, fp, component_id): the least id of all documents reachable over links of at most radius bits."""
     prints = written(fingerprints(docs, shingle))
-    nodes = written(prints.groupBy("fp").agg(F.min("doc_id").alias("least_id")))
-    roots = components(links(nodes, radius, parts))
-    rooted = written(nodes.join(roots, F.col("fp") == F.col("node"), "left").select("fp", "least_id", F.coalesce("root", "fp").alias("root")))
-    least = written(rooted.groupBy("root").agg(F.min("least_id").alias("component_id")))
-    classes = written(rooted.join(least, "root").select("fp", "component_id"))
-    return prints.join(classes, "fp").select("doc_id", "fp", "component_id")
+    found = classes(prints.select(F.col("doc_id").alias("id"), F.col("fp").alias("node"), "fp"), radius, parts)
+    return prints.join(found, F.col("fp") == F.col("node")).select("doc_id", "fp", "component_id")
+
+
+#: For near copies: words differ less than shingles do, so their print finds candidates within fewer bits.
+WORD_RADIUS, WIDE_BITS = 7, 128
+
+
+def wide_radius_of(similarity: float) -> int:
+    """Bits of the wide print within which sets of shingles of this Jaccard similarity lie, two standard deviations allowed."""
+    p = math.acos(2 * similarity / (1 + similarity)) / math.pi
+    return math.floor(WIDE_BITS * p + 2 * math.sqrt(WIDE_BITS * p * (1 - p)))
+
+
+def _majority(hashes: np.ndarray) -> int:
+    ones = np.unpackbits(np.ascontiguousarray(hashes).view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(axis=0, dtype=np.uint32)
+    return int(np.packbits(ones * 2 > len(hashes), bitorder="little").view("<i8")[0])
+
+
+def copy_prints(docs: DataFrame, shingle: int) -> DataFrame:
+    """(id, fp, wide_a, wide_b): prints of the distinct words and, in 128 bits, of the distinct shingles."""
+    schema = pa.schema([("id", pa.int64()), ("fp", pa.int64()), ("wide_a", pa.int64()), ("wide_b", pa.int64())])
+
+    def run(ids: list, texts: list[bytes]) -> Iterator[tuple]:
+        w = Words([t.lower() for t in texts])
+        runs = w.rolling(shingle)
+        for i, doc_id in enumerate(ids):
+            a, b = w.first[i], w.first[i + 1]
+            if a == b:
+                yield doc_id, 0, 0, 0
+                continue
+            words = np.unique(w.hash[a:b])
+            own = np.unique(runs[a:b - shingle + 1]) if b - a >= shingle else words[:1] * U64(0) + np.bitwise_xor.reduce(mix(w.hash[a:b] + np.arange(b - a).astype(U64), 4))
+            yield doc_id, _majority(words), _majority(mix(own, 5)), _majority(mix(own, 6))
+
+    return per_document(docs.select(F.col("id").alias("doc_id"), "text"), run, schema, "id long, fp long, wide_a long, wide_b long", most=4 << 20)
+
+
+def keep_one(docs: DataFrame, shingle: int = 5, similarity: float = 0.8) -> DataFrame:
+    """The document with the least id of each group of near copies, all columns kept.
+
+    Documents link if the prints of their words lie within WORD_RADIUS bits and those of their shingles, verified in 128
+    bits, within what the similarity allows. Rows without an id come after all ids; of repeated rows one stays.
+    """
+    who = F.coalesce(F.col("doc_id").cast("long"), F.lit(1 << 62) + F.xxhash64(F.col("text")).bitwiseAND((1 << 61) - 1))
+    rows = docs.withColumn("_near_id", who)
+    prints = written(copy_prints(rows.select(F.col("_near_id").alias("id"), F.col("text").cast("string").alias("text")), shingle)
+                     .withColumn("node", F.xxhash64("fp", "wide_a", "wide_b")))
+    found = classes(prints, WORD_RADIUS, wide_radius=wide_radius_of(similarity))
+    gone = written(prints.join(found, "node").filter("id <> component_id").select(F.col("id").alias("_gone")).distinct())
+    again = written(prints.groupBy("id").count().filter("count > 1").select(F.col("id").alias("_again")))
+    kept = rows.join(gone, F.col("_near_id") == F.col("_gone"), "left_anti")
+    once = kept.join(again, F.col("_near_id") == F.col("_again"), "left_anti")
+    repeated = kept.join(again, F.col("_near_id") == F.col("_again"), "left_semi").dropDuplicates(["_near_id"])
+    return once.unionByName(repeated).select(*(F.col(f"`{c}`") for c in docs.columns))
 
 
 def digest(docs: DataFrame) -> DataFrame:

@@ -23,9 +23,11 @@ from itertools import compress
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from embedvocab.llm.common import (
-    U64, Words, arrow_rows, batched, in_order, mix, pack, pack_bits, ranges, shuffle_partitions, unpack, unpack_bits,
+    U64, Words, arrow_rows, batched, in_order, mix, order_of, pack, pack_bits, ranges, shuffle_partitions, unpack, unpack_bits,
 )
 
 #: Bits of the hashes that blocks are probed with; a false hit only adds a candidate.
@@ -118,14 +120,14 @@ def _replies(replies: pa.Table, kind: int, asked_h: np.ndarray, buckets: int, bi
     return out
 
 
-def repeated_spans(docs: DataFrame, window: int = 35, kept_text: bool = True) -> DataFrame:
+def repeated_spans(docs: DataFrame, window: int = 35, kept_text: bool = True, carry: list[str] | None = None) -> DataFrame:
     """Per document its number of words, the maximal repeats in it, ``spans`` of (first word, words), and what is kept.
 
     A word is in a span if a window of ``window`` words that covers it also starts anywhere else. ``kept`` is the
     text without the spans, words joined by one space, or the text itself where there are none; it is null
-    unless ``kept_text``. ``kept_sha256`` is of the joined words in any case.
+    unless ``kept_text``. ``kept_sha256`` is of the joined words in any case. Columns to carry come back in ``rest``.
     """
-    dealt, _ = batched(docs)
+    dealt, _ = batched(docs, carry=carry)
     buckets = shuffle_partitions(docs.sparkSession)
 
     def probe(batch: pa.Table) -> pa.Table:
@@ -161,7 +163,7 @@ def repeated_spans(docs: DataFrame, window: int = 35, kept_text: bool = True) ->
     def mark(batch: pa.Table, replies: pa.Table) -> pa.Table:
         schema = pa.schema([("doc_id", pa.int64()), ("n_words", pa.int64()), ("n_removed", pa.int64()), ("spans", pa.list_(pa.list_(pa.int64()))), ("kept", pa.string()), ("kept_sha256", pa.string())])
         if not batch.num_rows:
-            return arrow_rows(schema, [])
+            raise ValueError("replies without a batch")  # every reply is to a batch's question
         p = _Pass(batch, window)
         p.probes()
         hit = next((unpack_bits(r["bits"], len(p.block_at)) for r in replies.to_pylist() if r["kind"] == _ANCHORS), np.zeros(len(p.block_at), bool))
@@ -187,13 +189,16 @@ def repeated_spans(docs: DataFrame, window: int = 35, kept_text: bool = True) ->
                 spans = [[int(s), int(e - s)] for s, e in zip(jumps[::2], jumps[1::2], strict=True)]
                 yield doc_id, len(own), int(own.sum()), spans, (kept if spans else text).decode() if kept_text else None, hashlib.sha256(kept).hexdigest()
 
-        return arrow_rows(schema, rows())
+        out = arrow_rows(schema, rows())
+        return out.append_column("rest", batch.column("rest").take(pa.array(order_of(batch)[0]))) if carry else out
 
+    marked = T.StructType.fromDDL("doc_id long, n_words long, n_removed long, spans array<array<long>>, kept string, kept_sha256 string")
+    if carry:
+        marked = marked.add(dealt.schema["rest"])
     anchors = dealt.groupBy("k").applyInArrow(probe, _ASK_DDL).groupBy("bucket").applyInArrow(answer, _REPLY_DDL)
     windows = dealt.groupBy("k").cogroup(anchors.groupBy("k")).applyInArrow(extend, _ASK_DDL)
     answers = windows.groupBy("bucket").applyInArrow(answer, _REPLY_DDL)
-    return dealt.groupBy("k").cogroup(answers.groupBy("k")).applyInArrow(
-        mark, "doc_id long, n_words long, n_removed long, spans array<array<long>>, kept string, kept_sha256 string")
+    return dealt.groupBy("k").cogroup(answers.groupBy("k")).applyInArrow(mark, marked)
 
 
 def remove_repeats(docs: DataFrame, window: int = 35) -> DataFrame:
@@ -201,6 +206,14 @@ def remove_repeats(docs: DataFrame, window: int = 35) -> DataFrame:
     return repeated_spans(docs, window).select("doc_id", "kept", "n_words", "n_removed")
 
 
+def without_repeats(docs: DataFrame, window: int = 35) -> DataFrame:
+    """docs with their texts less the repeats, n_chars brought up to date; texts of nothing else go, empty texts stay."""
+    out = repeated_spans(docs, window, carry=docs.columns).filter("n_words = 0 or n_removed < n_words")
+    cut = F.col("n_removed") > 0
+    new = {"text": F.when(cut, F.col("kept")).otherwise(F.col("rest")["text"]), "n_chars": F.when(cut, F.length("kept").cast("long")).otherwise(F.col("rest")["n_chars"]) if "n_chars" in docs.columns else None}
+    return out.select(*(new.get(c, F.col("rest")[c]).alias(c) for c in docs.columns))
+
+
 def digest(docs: DataFrame, window: int = 35) -> DataFrame:
     """The removal as (doc_id, n_words, n_removed, kept_sha256)."""
     return repeated_spans(docs, window, kept_text=False).select("doc_id", "n_words", "n_removed", "kept_sha256")

@@ -25,7 +25,8 @@ class Boost:
 
 def recall(t_days: Column, h: Column) -> Column:
     """Probability of recall so long after the last revision: half at the half-life."""
-    return F.pow(F.lit(2.0), -F.greatest(t_days, F.lit(0.0)) / F.greatest(h, F.lit(1e-6)))
+    # not greatest(), which skips nulls: unknown stays unknown
+    return F.pow(F.lit(2.0), -F.when(t_days < 0, 0.0).otherwise(t_days) / F.when(h < 1e-6, 1e-6).otherwise(h))
 
 
 def boost(h: Column, r: Column, p: Boost = Boost()) -> Column:

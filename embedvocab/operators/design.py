@@ -60,29 +60,47 @@ def snippets(docs: DataFrame, lo: int = 100, hi: int = 2500) -> DataFrame:
     return docs.select("doc_id", txt.tokenize(F.col("text")).alias("words")).withColumn("n_words", F.size("words")).filter(F.col("n_words").between(lo, hi))
 
 
-def cover(pool: DataFrame, words: DataFrame, quota: int = PER_WORD, max_snippets: int = 47) -> DataFrame:
+def cover(pool: DataFrame, words: DataFrame, quota: int = PER_WORD, max_snippets: int = 47, held: int = 1000) -> DataFrame:
     """(wgroup, round, doc_id, gain): greedy snippets until each word of the group occurs its quota of times.
 
     A snippet's gain is the occurrences still needed that it brings; ties go to the lower id. Gains only shrink, so the
-    counts of snippets with any study word, a small table, are kept and each round takes one aggregate.
+    driver holds the ``held`` snippets of largest gain and chooses among them for as long as the best still gains more
+    than any snippet it does not hold could; then the gains are taken anew.
     """
     spark = pool.sparkSession
     found = pool.select("doc_id", F.explode("words").alias("lemma")).join(F.broadcast(words), "lemma").groupBy("wgroup", "doc_id", "lemma").agg(F.count(F.lit(1)).alias("n")).persist()
+    lists: dict[int, list[str]] = {}
+    for r in words.select("wgroup", "lemma").collect():
+        lists.setdefault(r.wgroup, []).append(r.lemma)
     chosen: list[tuple] = []
     try:
-        for (group,) in sorted(map(tuple, words.select("wgroup").distinct().collect())):
-            need = {r.lemma: quota for r in words.filter(F.col("wgroup") == group).collect()}
-            own, taken = found.filter(F.col("wgroup") == group), []
-            while any(need.values()) and len(taken) < max_snippets:
+        for group, lemmas in sorted(lists.items()):
+            need, taken = dict.fromkeys(lemmas, quota), []
+
+            def best_held() -> tuple[dict[int, dict[str, int]], int]:
                 wanted = spark.createDataFrame([(w, n) for w, n in need.items() if n], "lemma string, need int")
-                gains = own.filter(~F.col("doc_id").isin(taken)).join(F.broadcast(wanted), "lemma").groupBy("doc_id").agg(F.sum(F.least("n", "need")).alias("gain"))
-                best = gains.orderBy(F.desc("gain"), "doc_id").limit(1).collect()
-                if not best:
+                gains = found.filter((F.col("wgroup") == group) & ~F.col("doc_id").isin(taken)).join(F.broadcast(wanted), "lemma").groupBy("doc_id").agg(
+                    F.sum(F.least("n", "need")).alias("gain"), F.map_from_entries(F.collect_list(F.struct("lemma", "n"))).alias("counts"))
+                top = gains.orderBy(F.desc("gain"), "doc_id").limit(held + 1).collect()
+                return {r.doc_id: r.counts for r in top[:held]}, top[held].gain if len(top) > held else 0
+
+            snippets_held, bound = best_held()
+            while any(need.values()) and len(taken) < max_snippets and snippets_held:
+                gain = {d: sum(min(n, need[w]) for w, n in counts.items()) for d, counts in snippets_held.items()}
+                best = min(gain, key=lambda d: (-gain[d], d))
+                if gain[best] <= bound:
+                    # one that is not held may gain as much and have a lower id
+                    snippets_held, bound = best_held()
+                    gain = {d: sum(min(n, need[w]) for w, n in counts.items()) for d, counts in snippets_held.items()}
+                    if not gain:
+                        break
+                    best = min(gain, key=lambda d: (-gain[d], d))
+                if not gain[best]:
                     break
-                taken.append(best[0].doc_id)
-                chosen.append((group, len(taken), best[0].doc_id, best[0].gain))
-                for r in own.filter(F.col("doc_id") == best[0].doc_id).collect():
-                    need[r.lemma] = max(0, need[r.lemma] - r.n)
+                taken.append(best)
+                chosen.append((group, len(taken), best, gain[best]))
+                for w, n in snippets_held.pop(best).items():
+                    need[w] = max(0, need[w] - n)
     finally:
         found.unpersist()
     return spark.createDataFrame(chosen, "wgroup int, round int, doc_id long, gain long")

@@ -85,16 +85,16 @@ def cover(pool: DataFrame, words: DataFrame, quota: int = PER_WORD, max_snippets
                 return {r.doc_id: r.counts for r in top[:held]}, top[held].gain if len(top) > held else 0
 
             snippets_held, bound = best_held()
-            while any(need.values()) and len(taken) < max_snippets and snippets_held:
-                gain = {d: sum(min(n, need[w]) for w, n in counts.items()) for d, counts in snippets_held.items()}
-                best = min(gain, key=lambda d: (-gain[d], d))
-                if gain[best] <= bound:
+            while any(need.values()) and len(taken) < max_snippets:
+                gains = lambda: {d: sum(min(n, need[w]) for w, n in counts.items()) for d, counts in snippets_held.items()}
+                gain = gains()
+                if max(gain.values(), default=0) <= bound:
                     # one that is not held may gain as much and have a lower id
                     snippets_held, bound = best_held()
-                    gain = {d: sum(min(n, need[w]) for w, n in counts.items()) for d, counts in snippets_held.items()}
-                    if not gain:
-                        break
-                    best = min(gain, key=lambda d: (-gain[d], d))
+                    gain = gains()
+                if not gain:
+                    break
+                best = min(gain, key=lambda d: (-gain[d], d))
                 if not gain[best]:
                     break
                 taken.append(best)

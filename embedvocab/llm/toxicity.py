@@ -27,7 +27,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from embedvocab.llm.common import columns, crc_remainder, held_out, per_document
+from embedvocab.llm.common import columns, crc_remainder, held_out, per_document, written
 
 #: Lexemes of the grammar, by the transducer that reads them.
 INSULTS = "idiot idiots moron morons stupid scum trash clown loser losers pathetic worthless disgusting imbecile vermin filth subhuman garbage".split()
@@ -183,7 +183,7 @@ def _features(texts: list[str | None]) -> Iterator[str]:
 
 def fit(docs: DataFrame, labels: DataFrame, modulus: int = 4, remainder: int = 2, sample: int = 20_000, lexicon: int = 256, candidates: int = 20_000) -> Model:
     """The model that the labelled rows teach; the driver gets counts of at most ``candidates`` lexemes."""
-    rows = training_rows(docs, labels, "toxic", modulus, remainder, sample)
+    rows = written(training_rows(docs, labels, "toxic", modulus, remainder, sample))  # a bounded table, read several times
     n1, n0 = rows.agg(F.coalesce(F.sum("label"), F.lit(0)), F.coalesce(F.sum(1 - F.col("label")), F.lit(0))).first()
     if not n1:
         return Model({}, [])

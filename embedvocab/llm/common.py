@@ -70,7 +70,7 @@ def held_out(doc_id: int | None, modulus: int, remainder: int) -> bool:
 
 # ---------------------------------------------------------------- batches of documents
 
-def batched(docs: DataFrame, per_partition: int = 2, carry: list[str] | None = None) -> tuple[DataFrame, int]:
+def batched(docs: DataFrame, per_partition: int = 3, carry: list[str] | None = None) -> tuple[DataFrame, int]:
     """Documents dealt into batches by a hash of id and text, one shuffle; the plan reuses it wherever it appears again.
 
     A batch (column ``k``) is a bounded share of a shuffle partition. It has the same rows whenever it is

@@ -112,13 +112,12 @@ def predicted(hist: dict[int, int], width: int, radius: int) -> list[float]:
     out, near, probes = [0.0], full.copy(), 1
     for t in range(radius + 1):
         if t:
-            masks = [m for m in flips(width, t) if m.bit_count() == t] if t < 3 else []
-            if t >= 3:  # too many probes to pay; counted as if every value were probed
-                out.append(float(full.sum()) ** 2)
+            probes += math.comb(width, t)
+            if t >= 3:  # the sums over so many neighbours cost more than they tell; counted as if all values met
+                out.append(float(full.sum()) ** 2 / 2 + 16.0 * probes * float(full.sum()))
                 continue
-            for m in masks:
+            for m in (m for m in flips(width, t) if m.bit_count() == t):
                 near = near + full[np.arange(1 << width) ^ m]
-            probes += len(masks)
         out.append(float(full @ near) / 2 + 16.0 * probes * float(full.sum()))
     return out
 

@@ -7,7 +7,6 @@ Each stage works on all that its predecessor kept. All but the last return the c
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
 
 from embedvocab.llm import mixing, packing, simhash, substring_dedup, toxicity
 from embedvocab.llm.common import table, written

@@ -90,7 +90,7 @@ class Model:
             # a neighbour at the mean distance of the k counts e times less than one at distance zero
             far = 1 - close
             w = np.exp(-far / np.maximum(far.mean(axis=1, keepdims=True), 1e-6))
-            out[at:at + block][full] = (w * self.labels[top]).sum(axis=1) / w.sum(axis=1)
+            out[at:at + block][full] = np.clip((w * self.labels[top]).sum(axis=1) / w.sum(axis=1), 0, 1)
         return out
 
 

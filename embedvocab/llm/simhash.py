@@ -184,8 +184,11 @@ def forest(cell: np.ndarray, fps: np.ndarray, indexed: np.ndarray, radius: int,
 def links(nodes: DataFrame, radius: int = 3, parts: int = 4, wide_radius: int | None = None) -> DataFrame:
     """(a, b): edges between the nodes of distinct fingerprints whose closure is that of all pairs within radius.
 
-    ``nodes`` has node and fp, and wide_a and wide_b if their bits too must be within wide_radius.
+    ``nodes`` has node and fp, and wide_a and wide_b if their bits too must be within wide_radius. Fewer than four
+    partitions would have histograms too large for the driver.
     """
+    if not 4 <= parts <= 16:
+        raise ValueError("between 4 and 16 partitions")
     more = [] if wide_radius is None else ["wide_a", "wide_b"]
     spark = nodes.sparkSession
     tasks = shuffle_partitions(spark)

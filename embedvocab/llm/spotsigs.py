@@ -44,7 +44,7 @@ def signatures(text: Column) -> Column:
     chains = F.regexp_extract_all(F.regexp_replace(plain, _COMMON, f"$1{_MARK}"), F.lit(_CHAIN), F.lit(1))
     pairs = F.regexp_extract_all(plain, F.lit(_PAIR), F.lit(1))
     found = F.when(F.size(chains) > 0, F.transform(chains, chain)).otherwise(
-        F.when(F.size(pairs) > 0, F.transform(pairs, lambda x: low(F.xxhash64(x)))).otherwise(F.array(low(F.xxhash64(plain)))))
+        F.when(F.size(pairs) > 0, F.transform(pairs, lambda x: low(F.xxhash64(x)))).otherwise(F.array(low(F.xxhash64(F.trim(plain))))))
     return F.array_sort(F.array_distinct(found))
 
 

@@ -251,7 +251,7 @@ def scores(docs: DataFrame, depth: int = DEPTH, modulus: int = 7, remainder: int
     """(doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score, n_bytes, bits_per_byte) of every row."""
     model, tops = train(docs, depth, modulus, remainder)
     buckets = shuffle_partitions(docs.sparkSession)
-    dealt, _ = batched(docs)
+    dealt, _ = batched(docs, per_partition=3)
 
     def ask(batch: pa.Table) -> pa.Table:
         k = batch.column("k")[0].as_py()

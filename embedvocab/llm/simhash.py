@@ -11,6 +11,9 @@ cell of its own; nothing is capped. A cell yields a spanning forest of its links
 are found by large-star/small-star rounds over tables in the shared folder. The driver sees 64 x 64 bit counts
 and histograms of at most 2^17 values a partition, no fingerprints and no links.
 
+Near copies (keep_one) are defined by the exact Jaccard of their sets of shingles: min-hash bands find candidates, and each
+candidate pair that is not joined yet is verified on the sets themselves.
+
 Null texts are empty; a text without words has fingerprint zero and links like any other. Rows with null ids get
 the component of their fingerprint. Repeated rows share a fingerprint. Extra columns are ignored.
 """
@@ -18,6 +21,7 @@ the component of their fingerprint. Repeated rows share a fingerprint. Extra col
 from __future__ import annotations
 
 import math
+import struct
 from collections.abc import Iterator
 from itertools import combinations, repeat
 
@@ -140,25 +144,12 @@ def _merge(label: np.ndarray, a: np.ndarray, b: np.ndarray) -> None:
             label[:] = up
 
 
-def forest(cell: np.ndarray, fps: np.ndarray, indexed: np.ndarray, radius: int, wide: list[np.ndarray] | None = None, wide_radius: int = 0) -> tuple[np.ndarray, np.ndarray]:
-    """Edges, as pairs of places, that join all fingerprints linked within a cell; at least one of a pair must be indexed.
-
-    With wide prints, a link must also be within their radius.
-    """
+def forest(cell: np.ndarray, fps: np.ndarray, indexed: np.ndarray, radius: int) -> tuple[np.ndarray, np.ndarray]:
+    """Edges, as pairs of places, that join all fingerprints linked within a cell; at least one of a pair must be indexed."""
     order = np.argsort(cell, kind="stable")
     cell, fps, indexed = cell[order], fps[order], indexed[order]
-    wide = [w[order] for w in wide or []]
     n = len(fps)
     label = np.arange(n)
-
-    def merge(a: np.ndarray, b: np.ndarray) -> None:
-        if wide:
-            apart = label[a] != label[b]
-            a, b = a[apart], b[apart]
-            close = sum(np.bitwise_count(w[a] ^ w[b]).astype(np.int32) for w in wide) <= wide_radius
-            a, b = a[close], b[close]
-        _merge(label, a, b)
-
     begin = np.flatnonzero(np.concatenate([[True], cell[1:] != cell[:-1]])) if n else np.zeros(0, int)
     size = np.diff([*begin, n])
     small = np.repeat(size <= 48, size)
@@ -167,7 +158,7 @@ def forest(cell: np.ndarray, fps: np.ndarray, indexed: np.ndarray, radius: int,
         if not len(i):
             break
         ok = (np.bitwise_count(fps[i] ^ fps[i + gap]) <= radius) & (indexed[i] | indexed[i + gap])
-        merge(i[ok], i[ok] + gap)
+        _merge(label, i[ok], i[ok] + gap)
     for s, c in zip(begin[size > 48], size[size > 48], strict=True):
         own = fps[s:s + c]
         for at in range(0, c, 256):
@@ -176,20 +167,18 @@ def forest(cell: np.ndarray, fps: np.ndarray, indexed: np.ndarray, radius: int,
             near &= indexed[s + at:s + end, None] | indexed[None, s + at:s + c]
             near &= label[s + at:s + end, None] != label[None, s + at:s + c]
             a, b = np.nonzero(near)
-            merge(a + s + at, b + s + at)
+            _merge(label, a + s + at, b + s + at)
     child = np.flatnonzero(label != np.arange(n))
     return order[child], order[label[child]]
 
 
-def links(nodes: DataFrame, radius: int = 3, parts: int = 4, wide_radius: int | None = None) -> DataFrame:
-    """(a, b): edges between the nodes of distinct fingerprints whose closure is that of all pairs within radius.
+def links(nodes: DataFrame, radius: int = 3, parts: int = 4) -> DataFrame:
+    """(a, b): edges between the nodes (node, fp) of distinct fingerprints whose closure is that of all pairs within radius.
 
-    ``nodes`` has node and fp, and wide_a and wide_b if their bits too must be within wide_radius. Fewer than four
-    partitions would have histograms too large for the driver.
+    Fewer than four partitions would have histograms too large for the driver.
     """
     if not 4 <= parts <= 16:
         raise ValueError("between 4 and 16 partitions")
-    more = [] if wide_radius is None else ["wide_a", "wide_b"]
     spark = nodes.sparkSession
     tasks = shuffle_partitions(spark)
 
@@ -251,15 +240,14 @@ def links(nodes: DataFrame, radius: int = 3, parts: int = 4, wide_radius: int |
                     cell = mix(cell + np.minimum(mine, other).astype(U64) * U64(1 << 32) + np.maximum(mine, other).astype(U64), 12)
                     which = keep[times]
                     carried = [pa.array(b.column(c).to_numpy()[which]) for c in range(b.num_columns)]
-                    yield pa.record_batch([pa.array((cell % U64(4 * tasks)).astype(np.int32)), pa.array(cell.view(np.int64)), pa.array(np.full(len(times), not m)), *carried], names=["bucket", "cell", "indexed", "fp", "node", *more])
+                    yield pa.record_batch([pa.array((cell % U64(4 * tasks)).astype(np.int32)), pa.array(cell.view(np.int64)), pa.array(np.full(len(times), not m)), *carried], names=["bucket", "cell", "indexed", "fp", "node"])
 
     def verify(cells: pa.Table) -> pa.Table:
         column = lambda c: cells.column(c).to_numpy()
-        a, b = forest(column("cell"), column("fp").view(U64), column("indexed").astype(bool), radius, [column(c).view(U64) for c in more], wide_radius or 0)
+        a, b = forest(column("cell"), column("fp").view(U64), column("indexed").astype(bool), radius)
         return pa.table({"a": column("node")[a], "b": column("node")[b]})
 
-    ddl = "bucket int, cell long, indexed boolean, fp long, node long" + "".join(f", {c} long" for c in more)
-    cells = nodes.select("fp", "node", *more).mapInArrow(deal, ddl)
+    cells = nodes.select("fp", "node").mapInArrow(deal, "bucket int, cell long, indexed boolean, fp long, node long")
     return cells.groupBy("bucket").applyInArrow(verify, "a long, b long").distinct()
 
 
@@ -282,11 +270,9 @@ def components(edges: DataFrame) -> DataFrame:
         state = new
 
 
-def classes(prints: DataFrame, radius: int = 3, parts: int = 4, wide_radius: int | None = None) -> DataFrame:
-    """(node, component_id): the least id that each node's documents reach; prints has id, node, fp, and the wide prints if they count."""
-    more = [] if wide_radius is None else ["wide_a", "wide_b"]
-    nodes = written(prints.groupBy("node").agg(F.min("id").alias("least_id"), *(F.first(c).alias(c) for c in ("fp", *more))))
-    roots = components(links(nodes, radius, parts, wide_radius))
+def classes(nodes: DataFrame, edges: DataFrame) -> DataFrame:
+    """(node, component_id): the least id that each node's documents reach over the edges; nodes has node and least_id."""
+    roots = components(edges)
     rooted = written(nodes.join(roots.withColumnRenamed("node", "_n"), F.col("node") == F.col("_n"), "left").select("node", "least_id", F.coalesce("root", "node").alias("root")))
     least = written(rooted.groupBy("root").agg(F.min("least_id").alias("component_id")))
     return written(rooted.join(least, "root").select("node", "component_id"))
@@ -295,55 +281,151 @@ def classes(prints: DataFrame, radius: int = 3, parts: int = 4, wide_radius: int
 def near_duplicates(docs: DataFrame, shingle: int = 3, radius: int = 3, parts: int = 4) -> DataFrame:
     """(doc_id, fp, component_id): the least id of all documents reachable over links of at most radius bits."""
     prints = written(fingerprints(docs, shingle))
-    found = classes(prints.select(F.col("doc_id").alias("id"), F.col("fp").alias("node"), "fp"), radius, parts)
+    nodes = written(prints.groupBy(F.col("fp").alias("node")).agg(F.min("doc_id").alias("least_id"), F.first("fp").alias("fp")))
+    found = classes(nodes, links(nodes, radius, parts))
     return prints.join(found, F.col("fp") == F.col("node")).select("doc_id", "fp", "component_id")
 
 
-#: For near copies: words differ less than shingles do, so their print finds candidates within fewer bits.
-WORD_RADIUS, WIDE_BITS = 7, 128
+# ---------------------------------------------------------------- near copies by exact Jaccard
 
+#: Bands of so many min-hashes each. A pair of Jaccard 0.8 shares no band with a chance of (1 - 0.8 ** 4) ** 28 = 4e-7, closer pairs with less.
+BANDS, BAND_ROWS = 28, 4
+#: Members of a cell, beyond which it is split into fragments.
+CELL = 256
 
-def wide_radius_of(similarity: float) -> int:
-    """Bits of the wide print within which sets of shingles of this Jaccard similarity lie, two standard deviations allowed."""
-    p = math.acos(2 * similarity / (1 + similarity)) / math.pi
-    return math.floor(WIDE_BITS * p + 2 * math.sqrt(WIDE_BITS * p * (1 - p)))
 
+def shingle_sets(texts: list[bytes], shingle: int) -> Iterator[np.ndarray]:
+    """Of each text the sorted distinct hashes of its shingles; a text of fewer words is one shingle, one without words too. A-Z count as a-z."""
+    w = Words([t.lower() for t in texts])
+    runs = w.rolling(shingle)
+    for a, b in zip(w.first[:-1], w.first[1:], strict=True):
+        if b - a >= shingle:
+            yield np.unique(mix(runs[a:b - shingle + 1], 5))
+        else:
+            yield np.array([np.bitwise_xor.reduce(mix(w.hash[a:b] + np.arange(b - a).astype(U64), 4))], U64)
 
-def _majority(hashes: np.ndarray) -> int:
-    ones = np.unpackbits(np.ascontiguousarray(hashes).view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(axis=0, dtype=np.uint32)
-    return int(np.packbits(ones * 2 > len(hashes), bitorder="little").view("<i8")[0])
+
+def node_of(own: np.ndarray) -> int:
+    return struct.unpack("<q", xxhash.xxh64_digest(own.tobytes(), SEED)[::-1])[0]
+
+
+def band_keys(sets: list[np.ndarray]) -> np.ndarray:
+    """A row of band keys for each set."""
+    flat, starts = np.concatenate(sets), np.cumsum([0] + [len(s) for s in sets[:-1]])
+    salts = mix(np.arange(2 * BANDS * BAND_ROWS, dtype=U64), 9).reshape(BANDS, BAND_ROWS, 2)
+    keys = np.zeros((len(sets), BANDS), U64)
+    with np.errstate(over="ignore"):
+        for band in range(BANDS):
+            for flip, factor in salts[band]:
+                keys[:, band] = mix(keys[:, band] + np.minimum.reduceat((flat ^ flip) * (factor | U64(1)), starts), 10)
+            keys[:, band] += U64(band)
+    return keys
 
 
 def copy_prints(docs: DataFrame, shingle: int) -> DataFrame:
-    """(id, fp, wide_a, wide_b): prints of the distinct words and, in 128 bits, of the distinct shingles."""
-    schema = pa.schema([("id", pa.int64()), ("fp", pa.int64()), ("wide_a", pa.int64()), ("wide_b", pa.int64())])
+    """(id, node, bands) of docs (id, text): equal sets of shingles are one node."""
+    schema = pa.schema([("id", pa.int64()), ("node", pa.int64()), ("bands", pa.binary())])
 
     def run(ids: list, texts: list[bytes]) -> Iterator[tuple]:
-        w = Words([t.lower() for t in texts])
-        runs = w.rolling(shingle)
-        for i, doc_id in enumerate(ids):
-            a, b = w.first[i], w.first[i + 1]
-            if a == b:
-                yield doc_id, 0, 0, 0
-                continue
-            words = np.unique(w.hash[a:b])
-            own = np.unique(runs[a:b - shingle + 1]) if b - a >= shingle else words[:1] * U64(0) + np.bitwise_xor.reduce(mix(w.hash[a:b] + np.arange(b - a).astype(U64), 4))
-            yield doc_id, _majority(words), _majority(mix(own, 5)), _majority(mix(own, 6))
+        sets = list(shingle_sets(texts, shingle))
+        for doc_id, own, keys in zip(ids, sets, band_keys(sets), strict=True):
+            yield doc_id, node_of(own), keys.tobytes()
+
+    return per_document(docs.select(F.col("id").alias("doc_id"), "text"), run, schema, "id long, node long, bands binary", most=4 << 20)
+
+
+def alike(sets: list[np.ndarray], label: np.ndarray, similarity: float) -> list[tuple[int, int]]:
+    """Pairs of places whose sets have at least this Jaccard similarity, as many as join what such pairs join; equal labels are joined already."""
+    n = np.array([len(s) for s in sets])
+    flat, starts = np.unique(np.concatenate(sets), return_inverse=True)[1], np.cumsum(n) - n
+    label, out = label.copy(), []
+    seen = np.zeros(len(flat), bool)
+    for i in range(len(sets) - 1):
+        if (label[i + 1:] == label[i]).all():
+            continue
+        own = flat[starts[i]:starts[i] + n[i]]
+        seen[own] = True
+        both = np.add.reduceat(seen[flat], starts, dtype=np.int64)
+        seen[own] = False
+        for j in np.flatnonzero(both / (n + n[i] - both) >= similarity):
+            if label[j] != label[i]:
+                out.append((i, int(j)))
+                label[label == label[j]] = label[i]
+    return out
 
-    return per_document(docs.select(F.col("id").alias("doc_id"), "text"), run, schema, "id long, fp long, wide_a long, wide_b long", most=4 << 20)
+
+def verified(cells: DataFrame, texts: DataFrame, shingle: int, similarity: float) -> DataFrame:
+    """(a, b) from cells (cell, node, root): edges of exact Jaccard that join, besides equal roots, all such pairs of each cell; texts (id, text) are those of the nodes."""
+    tasks = shuffle_partitions(cells.sparkSession)
+    schema = pa.schema([("_set_of", pa.int64()), ("own", pa.binary())])
+    made = per_document(texts.select(F.col("id").alias("doc_id"), "text"), lambda ids, ts: ((node_of(s), s.tobytes()) for s in shingle_sets(ts, shingle)), schema, "_set_of long, own binary")
+    sets = made.groupBy("_set_of").agg(F.first("own").alias("own"))
+
+    def verify(rows: pa.Table) -> pa.Table:
+        rows = rows.sort_by([("cell", "ascending"), ("node", "ascending")])
+        cell, node, root = (rows.column(c).to_numpy() for c in ("cell", "node", "root"))
+        own = [np.frombuffer(x.as_buffer(), U64) for x in rows.column("own")]
+        edges: list[tuple[int, int]] = []
+        for at, end in zip(begin := [0, *(np.flatnonzero(cell[1:] != cell[:-1]) + 1)], [*begin[1:], len(cell)], strict=True):
+            edges += [(at + i, at + j) for i, j in alike(own[at:end], root[at:end], similarity)]
+        pairs = np.array(edges, int).reshape(-1, 2)
+        return pa.table({"a": node[pairs[:, 0]], "b": node[pairs[:, 1]]})
+
+    rows = cells.join(sets, F.col("node") == F.col("_set_of")).select(F.pmod(F.xxhash64("cell"), F.lit(4 * tasks)).cast("int").alias("bucket"), "cell", "node", "root", "own")
+    return written(rows.groupBy("bucket").applyInArrow(verify, "a long, b long").distinct())
+
+
+def copy_links(nodes: DataFrame, rows: DataFrame, shingle: int, similarity: float) -> DataFrame:
+    """(a, b): edges of exact Jaccard between nodes (node, least_id, bands) whose closure is that of all pairs that share a band; rows (id, text).
+
+    A large cell is split into fragments, by another hash in each cell. Pairs across fragments are compared afterwards
+    where they are not joined yet, so that groups of copies cost little and no pair is left out.
+    """
+
+    def deal(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            if b.num_rows:
+                keys = np.frombuffer(b"".join(b.column(1).to_pylist()), np.int64)
+                yield pa.record_batch([pa.array(keys), pa.array(np.repeat(b.column(0).to_numpy(), BANDS))], names=["cell", "node"])
+
+    dealt = nodes.select("node", "bands").mapInArrow(deal, "cell long, node long")
+    members = written(dealt.join(dealt.groupBy("cell").agg(F.count(F.lit(1)).alias("n")).filter("n > 1"), "cell"))
+    parts = F.ceil(F.col("n") / CELL).cast("int")
+    fragment = F.pmod(F.xxhash64("node", "cell"), parts).cast("int")
+
+    def compared(cells: DataFrame) -> DataFrame:
+        """Of cells with the same members one is compared, and none whose members are joined already."""
+        held = cells.groupBy("cell").agg(F.expr("bit_xor(xxhash64(node))").alias("x"), F.count(F.lit(1)).alias("n"), F.min("node").alias("lo"), F.max("node").alias("hi"), F.min("root").alias("r"), F.max("root").alias("s"))
+        once = held.filter("r <> s").groupBy("x", "n", "lo", "hi").agg(F.min("cell").alias("cell"))
+        chosen = written(cells.join(once, "cell", "left_semi").select("cell", "node", "root"))
+        ids = nodes.join(chosen.select("node").distinct(), "node", "left_semi").select(F.col("least_id").alias("_wanted"))
+        return verified(chosen, rows.join(ids, F.col("id") == F.col("_wanted"), "left_semi"), shingle, similarity)
+
+    edges = compared(members.select(F.when(F.col("n") > CELL, F.xxhash64("cell", fragment)).otherwise(F.col("cell")).alias("cell"), "node", F.col("node").alias("root")))
+    large = members.filter(F.col("n") > CELL)
+    if large.isEmpty():
+        return edges
+    roots = components(edges).withColumnRenamed("node", "_n")
+    large = large.join(roots, F.col("node") == F.col("_n"), "left").select("cell", "node", parts.alias("parts"), fragment.alias("own"), F.coalesce("root", "node").alias("root"))
+    apart = large.groupBy("cell").agg(F.min("root").alias("r"), F.max("root").alias("s")).filter("r <> s")
+    crossed = large.join(apart, "cell", "left_semi").withColumn("other", F.explode(F.sequence(F.lit(0), F.col("parts") - 1))).filter("own <> other")
+    return edges.unionByName(compared(crossed.select(F.xxhash64("cell", F.least("own", "other"), F.greatest("own", "other")).alias("cell"), "node", "root")))
 
 
 def keep_one(docs: DataFrame, shingle: int = 5, similarity: float = 0.8) -> DataFrame:
     """The document with the least id of each group of near copies, all columns kept.
 
-    Documents link if the prints of their words lie within WORD_RADIUS bits and those of their shingles, verified in 128
-    bits, within what the similarity allows. Rows without an id come after all ids; of repeated rows one stays.
+    Documents link if the exact Jaccard of their sets of shingles is at least ``similarity``, which must not be below 0.8,
+    for which the bands are made. Rows without an id come after all ids; of repeated rows one stays.
     """
+    if similarity < 0.8:
+        raise ValueError("the bands find pairs of a similarity of 0.8 or more")
     who = F.coalesce(F.col("doc_id").cast("long"), F.lit(1 << 62) + F.xxhash64(F.col("text")).bitwiseAND((1 << 61) - 1))
     rows = docs.withColumn("_near_id", who)
-    prints = written(copy_prints(rows.select(F.col("_near_id").alias("id"), F.col("text").cast("string").alias("text")), shingle)
-                     .withColumn("node", F.xxhash64("fp", "wide_a", "wide_b")))
-    found = classes(prints, WORD_RADIUS, wide_radius=wide_radius_of(similarity))
+    texts = rows.select(F.col("_near_id").alias("id"), F.col("text").cast("string").alias("text"))
+    prints = written(copy_prints(texts, shingle))
+    nodes = written(prints.groupBy("node").agg(F.min("id").alias("least_id"), F.first("bands").alias("bands")))
+    found = classes(nodes, copy_links(nodes, texts, shingle, similarity))
     gone = written(prints.join(found, "node").filter("id <> component_id").select(F.col("id").alias("_gone")).distinct())
     again = written(prints.groupBy("id").count().filter("count > 1").select(F.col("id").alias("_again")))
     kept = rows.join(gone, F.col("_near_id") == F.col("_gone"), "left_anti")

@@ -54,6 +54,59 @@ def test_near_copies_go(stages):
         assert any(j != i and jaccard(before[i], before[j]) >= 0.4 for j in before), i
 
 
+def byte_shingles(text):
+    w = (text or "").encode().lower().split()
+    return {tuple(w[i:i + 5]) for i in range(len(w) - 4)} or {tuple(w)}
+
+
+def test_near_copies_are_those_of_jaccard_0_8(spark, stages):
+    """Edits of many strengths besides the stage's own input: exactly the documents that no chain of pairs of 0.8 or more joins to a lesser id stay."""
+    r = random.Random(8)
+    docs = {d.doc_id: d.text for d in stages[1][1].collect()}
+    top = max(docs) + 1
+    for group in range(40):
+        words = [f"w{r.randrange(900)}" for _ in range(r.randint(40, 300))]
+        for share in (0, *(r.uniform(0.01, 0.08) for _ in range(5))):
+            docs[top] = " ".join(r.choice([f"e{r.randrange(900)}", w.upper()]) if r.random() < share else w for w in words)
+            top += 1
+    sets, root = {i: byte_shingles(t) for i, t in docs.items()}, {i: i for i in docs}
+    where: dict = {}
+    for i in sorted(sets):
+        for x in sets[i]:
+            where.setdefault(x, []).append(i)
+
+    def find(i):
+        while root[i] != i:
+            i = root[i]
+        return i
+
+    for i, own in sets.items():
+        for j in {j for x in own for j in where[x] if j < i}:
+            if len(own & sets[j]) / len(own | sets[j]) >= 0.8:
+                a, b = find(i), find(j)
+                root[max(a, b)] = min(a, b)
+    df = spark.createDataFrame([(i, t, "en", "s", 1) for i, t in docs.items()], "doc_id long, text string, lang string, source string, n_chars long")
+    assert sorted(d.doc_id for d in pipeline.drop_near_copies(spark, df, "").collect()) == sorted(i for i in docs if find(i) == i)
+
+
+def test_large_cells_are_compared_whole(spark, monkeypatch):
+    from embedvocab.llm import simhash
+
+    monkeypatch.setattr(simhash, "CELL", 8)
+    r = random.Random(9)
+    words = [f"w{i}" for i in range(200)]
+    # most pairs of these lie below 0.8, so that the fragments of a cell are not joined at once
+    texts = [" ".join(f"e{k}_{i}" if i in cut else w for i, w in enumerate(words)) for k in range(60) for cut in [set(r.sample(range(200), r.choice([1, 3, 6])))]]
+    sets, root = [byte_shingles(t) for t in texts], list(range(60))
+    for i in range(60):
+        for j in range(i):
+            if len(sets[i] & sets[j]) / len(sets[i] | sets[j]) >= 0.8:
+                a, b = root[i], root[j]
+                root = [min(a, b) if x in (a, b) else x for x in root]
+    df = spark.createDataFrame([(i, t, "en", "s", 1) for i, t in enumerate(texts)], "doc_id long, text string, lang string, source string, n_chars long")
+    assert sorted(d.doc_id for d in simhash.keep_one(df).collect()) == sorted(set(root))
+
+
 def test_repeats_go(stages):
     _, docs, made = stages[2]
     want = {i: (n, removed, sha) for i, n, removed, sha in substring_dedup.brute_force([(r.doc_id, r.text) for r in docs.collect()], pipeline.WINDOW)}

@@ -3,8 +3,9 @@
 An archive is a table of chunks, each with the bytes that follow it up to the longest header, so that any task can
 read any chunk. A task offers every position of the magic as a candidate, with the offset that its header says the
 next record has. Per archive, pointer jumping from the file's start over these links keeps the reachable
-candidates; magic inside a payload is never reached, whatever follows it there. Records that end beyond their
-chunk's bytes are put together from the chunks they cover.
+candidates; magic inside a payload is never reached, whatever follows it there. Records, and headers of any length,
+that end beyond their chunk's bytes are put together from the chunks they cover. A chain that does not reach its
+archive's last byte is an error.
 
 Of records with equal payloads of at least ``least`` bytes, that with the largest page id is the response. Nulls in
 html are empty payloads; a null url is written as about:blank. Rows with null ids revisit the largest id that has
@@ -26,7 +27,7 @@ from pyspark.sql import functions as F
 from embedvocab.llm.common import arrow_rows, columns, written
 
 MAGIC = b"WARC/1."
-#: Bytes of a chunk; of what follows it, the longest header; of an archive, after which a new one begins.
+#: Bytes of a chunk; of what follows it, which most headers do not exceed; of an archive, after which a new one begins.
 CHUNK, LOOK_AHEAD, ARCHIVE = 512 << 10, 64 << 10, 1 << 30
 
 _CHUNKS = pa.schema([("archive", pa.string()), ("chunk", pa.int64()), ("own", pa.int32()), ("data", pa.binary())])
@@ -117,9 +118,13 @@ _RECORDS = pa.schema([("archive", pa.string()), ("offset", pa.int64()), ("next",
 _RECORDS_DDL = "archive string, offset long, next long, record_type string, page_id long, refers_to long, said_digest string, payload_bytes long, payload_digest string, block_at long, block_bytes long"
 
 
+#: The type of the row that stands for an archive's end.
+END = "end of archive"
+
+
 def header(data: bytes, at: int) -> tuple[dict[bytes, bytes], int] | None:
     """The fields of the record header that may begin at a position, and where its block begins."""
-    end = data.find(b"\r\n\r\n", at, at + LOOK_AHEAD)
+    end = data.find(b"\r\n\r\n", at)
     if end < 0:
         return None
     version, *lines = data[at:end].split(b"\r\n")
@@ -146,8 +151,19 @@ def payload_of(block: bytes) -> tuple[int, bytes] | None:
     return (int(said[0]) if said and said[0].isdigit() else len(body)), body
 
 
+def begins(data: bytes, at: int) -> bool:
+    """Whether the bytes, as far as they go, are those of a header that has no end yet."""
+    line = data[at:at + len(MAGIC) + 3]
+    return data.find(b"\r\n\r\n", at) < 0 and (line[len(MAGIC):-2].isdigit() and line.endswith(b"\r\n") or len(line) < len(MAGIC) + 3)
+
+
 def candidates(archive: str, base: int, own: int, data: bytes) -> Iterator[tuple]:
-    """Each position of the magic in a chunk that a header follows, with the offset of what would be the next record."""
+    """Each position of the magic in a chunk that a header follows, with the offset of what would be the next record.
+
+    A header without an end in the data has no next offset yet. The archive's last chunk, which nothing follows, adds its end as END.
+    """
+    if len(data) == own:
+        yield (archive, base + own, -1, END, *[None] * 7)
     at = data.find(MAGIC, 0, own + len(MAGIC) - 1)
     while 0 <= at < own:
         found = header(data, at)
@@ -160,9 +176,37 @@ def candidates(archive: str, base: int, own: int, data: bytes) -> Iterator[tuple
             body = message and (hashlib.sha1(message[1]).hexdigest() if kind == "response" else None)
             yield (archive, base + at, base + block + size + 4, kind, page_of(fields.get(b"warc-record-id")), page_of(fields.get(b"warc-refers-to")),
                    fields.get(b"warc-payload-digest", b"").decode("latin-1").removeprefix("sha1:"), message and (len(message[1]) if kind == "response" else message[0]), body, base + block, size)
+        elif len(data) > own and begins(data, at):
+            yield (archive, base + at, *[None] * 9)
         at = data.find(MAGIC, at + 1, own + len(MAGIC) - 1)
 
 
+def completed(pending: DataFrame, archived: DataFrame, chunk: int) -> DataFrame:
+    """The candidates whose headers end in a later chunk than their own, from (archive, offset); their blocks are read later."""
+    blank = b"\r\n\r\n"
+
+    def first_blank(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            ends = [(b.column(1)[i].as_py(), data.as_py().find(blank)) for i, data in enumerate(b.column(2))]
+            yield pa.record_batch([b.column(0), pa.array([n for n, _ in ends], pa.int64()), pa.array([n * chunk + e if e >= 0 else None for n, e in ends], pa.int64())], names=["archive", "last", "blank"])
+
+    ends = archived.select("archive", "chunk", "data").mapInArrow(first_blank, "archive string, last long, blank long").filter("blank is not null")
+    spans = pending.select("archive", "offset").join(ends, "archive").filter("blank > offset").groupBy("archive", "offset").agg(F.min("blank").alias("blank"))
+    covered = spans.withColumn("chunk", F.explode(F.sequence(F.expr(f"offset div {chunk}"), F.expr(f"(blank + 3) div {chunk}"))))
+    low, high = F.greatest(F.col("offset"), F.col("chunk") * chunk), F.least(F.col("blank") + 4, (F.col("chunk") + 1) * chunk)
+    piece = F.substring("data", (low - F.col("chunk") * chunk + 1).cast("int"), (high - low).cast("int"))
+    heads = (covered.join(archived.select("archive", "chunk", "data"), ["archive", "chunk"]).select("archive", "offset", F.struct("chunk", piece.alias("bytes")).alias("part"))
+             .groupBy("archive", "offset").agg(F.array_sort(F.collect_list("part")).alias("parts")))
+
+    def parse(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for archive, offset, parts in zip(*(b.column(i).to_pylist() for i in range(3)), strict=True):
+                head = b"".join(p["bytes"] for p in parts)
+                yield from arrow_rows(_RECORDS, candidates(archive, offset, len(head) - 1, head) if header(head, 0) else []).slice(0, 1).to_batches()
+
+    return heads.mapInArrow(parse, _RECORDS_DDL)
+
+
 def reachable(offset: np.ndarray, after: np.ndarray) -> np.ndarray:
     """Which records a chain from offset 0 reaches, by pointer jumping; offsets are sorted."""
     n = len(offset)
@@ -186,9 +230,17 @@ def read(archived: DataFrame, chunk: int = CHUNK) -> DataFrame:
 
     def verify(rows: pa.Table) -> pa.Table:
         rows = rows.sort_by("offset")
-        return rows.filter(pa.array(reachable(rows.column("offset").to_numpy(), rows.column("next").to_numpy())))
-
-    found = written(archived.mapInArrow(offer, _RECORDS_DDL).groupBy("archive").applyInArrow(verify, _RECORDS_DDL))
+        seen = reachable(rows.column("offset").to_numpy(), rows.column("next").to_numpy())
+        end = rows.column("record_type").to_numpy(zero_copy_only=False) == END
+        if not seen[end].any():
+            raise ValueError(f"{rows.column('archive')[0]}: the chain of records ends before the archive does, after {max(rows.column('offset').to_numpy()[seen], default=0)}")
+        return rows.filter(pa.array(seen & ~end))
+
+    offered = written(archived.mapInArrow(offer, _RECORDS_DDL))
+    pending, known = offered.filter("next is null"), offered.filter("next is not null")
+    if not pending.isEmpty():
+        known = known.unionByName(completed(pending, archived, chunk))
+    found = written(known.groupBy("archive").applyInArrow(verify, _RECORDS_DDL))
     whole = found.filter("payload_bytes is not null")
     # the few that end beyond the bytes their chunk's task had
     long = found.filter("payload_bytes is null").withColumn("chunk", F.explode(F.sequence(F.expr(f"block_at div {chunk}"), F.expr(f"greatest(block_at, block_at + block_bytes - 1) div {chunk}"))))

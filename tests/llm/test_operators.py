@@ -140,6 +140,22 @@ def test_warc_rejects_magic_in_payloads(spark):
     assert got == want and len(rows) == len(pages)
 
 
+def test_warc_headers_of_any_length(spark):
+    pages = [(i, f"http://h/{i}", "p%d" % i * 40) for i in range(20)] + [(30, "data:" + "a" * 70000, "long"), (31, "u", "after"), (32, "data:" + "b" * 3000, "z" * 2000), (33, "u", "last")]
+    df = spark.createDataFrame(pages, "page_id long, url string, html string").coalesce(1)
+    want = sorted((p, len(h), hashlib.sha1(h.encode()).hexdigest()) for p, _, h in pages)
+    for chunk, ahead in ((700, 600), (warc.CHUNK, warc.LOOK_AHEAD)):
+        got = warc.read(warc.write(df, chunk=chunk, look_ahead=ahead), chunk=chunk).collect()
+        assert sorted((r.page_id, r.payload_bytes, r.payload_digest) for r in got) == want
+
+
+def test_warc_broken_chain_is_an_error(spark, tmp_path):
+    body = b"".join(warc.record(i, "u", b"p%d" % i, "", None) for i in range(9))
+    (tmp_path / "a.warc").write_bytes(body[:-7])
+    with pytest.raises(Exception, match="the chain of records ends"):
+        warc.read(warc.chunks_of_files(spark, str(tmp_path), chunk=1000, look_ahead=600), chunk=1000).collect()
+
+
 def test_pointer_jumping():
     offset, after = np.array([0, 5, 10, 17, 30, 31]), np.array([10, 10, 30, 30, 99, 30])
     assert warc.reachable(offset, after).tolist() == [True, False, True, False, True, False]

@@ -25,17 +25,16 @@ def scored(candidates: DataFrame, boost: Boost = Boost(), ablate: str | None = N
     return candidates.select("doc_id", "pos", "lemma", r.alias("r"), g.alias("g"), p.alias("p"), gamma.alias("gamma"), F.round(priority, 9).alias("priority"))
 
 
-def top_k(rows: DataFrame, k: DataFrame, per_lemma: int | str | None = None, k_max: int = 4096) -> DataFrame:
+def top_k(rows: DataFrame, k: DataFrame, per_lemma: int | str | None = None) -> DataFrame:
     """The k best of each document by priority, earlier positions first, with their rank; k is (doc_id, k).
 
     ``per_lemma`` 1 keeps the best occurrence of each lemma; "all" shows every occurrence of the lemmas chosen so.
-    A literal limit comes first, so that the window prunes before the shuffle.
     """
     best = Window.partitionBy("doc_id").orderBy(F.desc("priority"), "pos")
     pool = rows
     if per_lemma is not None:
         pool = rows.withColumn("_o", F.row_number().over(Window.partitionBy("doc_id", "lemma").orderBy(F.desc("priority"), "pos"))).filter("_o = 1").drop("_o")
-    ranked = pool.withColumn("rank", F.row_number().over(best)).filter(F.col("rank") <= k_max)
+    ranked = pool.withColumn("rank", F.row_number().over(best))
     kept = ranked.join(k, "doc_id").filter(F.col("rank") <= F.col("k")).drop("k")
     if per_lemma == "all":
         return rows.join(kept.select("doc_id", "lemma", "rank"), ["doc_id", "lemma"])

@@ -91,6 +91,14 @@ def test_top_k(spark):
     assert pos(select.top_k(rows, k.withColumn("k", F.lit(9)))) == [0, 1, 2, 3]
 
 
+def test_top_k_of_a_very_long_document(spark):
+    rows = spark.range(12000).select(F.lit(1).cast("long").alias("doc_id"), F.col("id").cast("int").alias("pos"), F.concat(F.lit("w"), F.col("id") % 9000).alias("lemma"), (F.col("id") % 7).cast("double").alias("priority"))
+    k = spark.createDataFrame([(1, 10000)], "doc_id long, k int")
+    best = [p for _, p in sorted((-(p % 7), p) for p in range(12000))]
+    assert sorted(r.pos for r in select.top_k(rows, k).collect()) == sorted(best[:10000])
+    assert select.top_k(rows, k, per_lemma=1).count() == 9000
+
+
 def test_rescoring_turns_to_other_lemmas(spark):
     rows = spark.createDataFrame([(1, 0, "a", 0.0, 0.6, None), (1, 1, "a", 0.0, 0.59, None), (1, 2, "b", 0.0, 0.1, None)], "doc_id long, pos int, lemma string, r double, g double, half_life double")
     k = spark.createDataFrame([(1, 2)], "doc_id long, k int")

@@ -383,11 +383,11 @@ def augment_documents(spark, sf_dir):
 
 @query
 def word_alignment(spark, sf_dir):
-    """Alignment learned from short question and answer turns as parallel sentences."""
-    turns = table(spark, sf_dir, "conversations").select("conv_id", "turn", "role", F.slice(F.regexp_extract_all(F.lower("text"), F.lit(r"\p{L}+"), F.lit(0)), 1, 8).alias("words"))
+    """Alignment learned from question and answer turns, whole, as parallel sentences."""
+    turns = table(spark, sf_dir, "conversations").select("conv_id", "turn", "role", F.regexp_extract_all(F.lower("text"), F.lit(r"\p{L}+"), F.lit(0)).alias("words"))
     a, b = turns.filter("role = 'user'"), turns.filter("role = 'assistant'").select("conv_id", (F.col("turn") - 1).alias("turn"), F.col("words").alias("tgt"))
     pairs = a.join(b, ["conv_id", "turn"]).select((F.col("conv_id") * 1000 + F.col("turn")).alias("pair_id"), F.col("words").alias("src"), "tgt")
-    return rounded(translate.fit_alignment(pairs, 3).filter("e is not null"), "t")
+    return rounded(translate.fit_alignment(pairs).filter("e is not null"), "t")
 
 
 # ---------------------------------------------------------------- design

@@ -1,5 +1,6 @@
 """Memory, context, selection, translation and rendering."""
 
+import random
 import zlib
 
 import pytest
@@ -143,6 +144,30 @@ def test_alignment_learns_a_swap(spark):
     assert t["house", "maison"] > 0.9 and t["red", "rouge"] > 0.9
 
 
+def test_alignment_reads_whole_turns(spark, tmp_path):
+    from embedvocab.plans.queries import QUERIES
+
+    r = random.Random(3)
+    sides = [[[r.choice("abcdefghij") * 3 for _ in range(r.randint(9, 30))] for _ in range(2)] for _ in range(6)]
+    rows = [(c, n, ("user", "assistant")[n], " ".join(words) + ".") for c, pair in enumerate(sides) for n, words in enumerate(pair)]
+    spark.createDataFrame(rows, "conv_id long, turn int, role string, text string").write.parquet(f"{tmp_path}/conversations.parquet")
+    t: dict = {}
+    for _ in range(5):
+        c, total = {}, {}
+        for src, tgt in sides:
+            for f in tgt:
+                every = [None, *src]
+                z = sum(t.get((e, f), 1.0 if not t else 0.0) for e in every)
+                for e in every:
+                    share = t.get((e, f), 1.0 if not t else 0.0) / z
+                    c[e, f] = c.get((e, f), 0) + share
+                    total[e] = total.get(e, 0) + share
+        t = {(e, f): v / total[e] for (e, f), v in c.items()}
+    got = {(x.e, x.f): x.t for x in QUERIES["word_alignment"](spark, str(tmp_path)).collect()}
+    want = {k: v for k, v in t.items() if k[0] is not None}
+    assert set(got) == set(want) and all(got[k] == pytest.approx(want[k], abs=2e-6) for k in want)
+
+
 def test_cognates_fold_first(spark):
     own = spark.createDataFrame([("philosopher",), ("house",)], "lemma string")
     other = spark.createDataFrame([("filosofi",), ("chambre",)], "lemma string")

@@ -257,27 +257,69 @@ def test_toxicity_on_held_out_rows(both, repeated, empty):
     assert toxicity.scores(empty, model).count() == 0
     kept = toxicity.keep_clean(docs, model)
     assert kept.columns == docs.columns and kept.filter("doc_id % 5 = 0").count() == 0 and kept.count() == 320
-    assert toxicity.Model({}, []).score("nothing to see") == 0.0 and toxicity.fit(empty, labels).bins == []
+    assert toxicity.Model({}, []).score("nothing to see") == 0.0 and toxicity.fit(empty, labels).curve == []
+    clean = repeated.withColumn("w", repeated.doc_id).withColumn("fold", repeated.doc_id)
+    assert toxicity.keep_clean(clean, model).columns == clean.columns and toxicity.keep_clean(clean, model).count() == sum(not r.predicted for r in odd)
+
+
+def test_quality_equals_brute_force(both, docs):
+    model = quality_knn.fit(*both)
+    texts = [t or "" for _, t in odd_texts()] + [r.text for r in both[0].limit(60).collect()]
+    for t, s in zip(texts, model.score(texts), strict=True):
+        assert abs(s - quality_knn.brute_force(model, t)) < 1e-4
+    # the nearest vectors all tie: all of them vote
+    tied = quality_knn.Model({"a": 0, "b": 1}, np.ones(2, np.float32), np.eye(2, dtype=np.float32), np.array([[1, 0]] * 4 + [[0, 1]] * 4, np.float32), np.array([1, 0, 0, 0, 1, 1, 1, 1.0]), 2)
+    assert tied.score(["a a", "b"]).tolist() == [0.25, 1.0]
+
+
+def test_quality_of_given_documents(spark):
+    at = "/root/testdata/sf0.1"
+    docs, labels = spark.read.parquet(f"{at}/documents.parquet"), spark.read.parquet(f"{at}/labels.parquet")
+    for operator, label, share in ((quality_knn, "quality", 0.95), (toxicity, "toxic", 0.95)):
+        rows = operator.scores(docs, operator.fit(docs, labels)).join(labels, "doc_id").filter("held_out").collect()
+        assert sum(r.predicted == r[label] for r in rows) >= share * len(rows) > 0
 
 
 def test_grammar_reads_clauses():
     m = toxicity.Model({}, [])
-    plain, negated, reported, targeted = (m.total(t) for t in ("an idiot walks", "no idiot walks", "he said idiot", "you idiot walk"))
-    assert negated < reported < plain < targeted or (negated < plain and reported < targeted and plain < targeted)
-    assert m.total("I will kill you") > 5 * m.total("frost may kill the crop") > 0
-    assert m.total("kill. you") == m.total("kill it") and m.total("idiotic") == 0 and m.total("xidiot") == 0
+    total = lambda t: sum(m.clauses(t))
+    plain, negated, reported, targeted = (total(t) for t in ("an idiot walks", "no idiot walks", "he said once more idiot", "idiot at you walks"))
+    assert negated < plain < targeted and total("now said idiot") < plain and reported < targeted
+    assert total("you are an idiot") > total("you idiot") > total("an idiot walks")
+    assert total("I will kill you") > 4 * total("frost may kill the crop") > 0
+    assert total("kill. you") == total("kill it") and total("idiotic") == 0 and total("xidiot") == 0 and total("") == 0
+
+
+@settings(max_examples=150, deadline=None)
+@given(st.lists(st.sampled_from("idiot scum kill hurt you them not never said wrote are is will shall a very walks home".split()), max_size=25))
+def test_clause_equals_brute_force(words):
+    m = toxicity.Model({"wal*": 1.7}, [])
+    assert m.clause(words) == pytest.approx(toxicity.brute_force(words, m))
 
 
 def test_composed_grammar_equals_its_parts():
-    parts = [toxicity.countdown("negation", 3, 0.5, toxicity.CLASSES), toxicity.latch("report", 0.7, toxicity.CLASSES)]
-    table = toxicity.compose(parts, toxicity.CLASSES)
-    r, state, states = random.Random(1), 0, [0, 0]
+    parts = [toxicity.countdown("negation", 3, 0.5, 1.0, ("insult",)), toxicity.latch("report", 0.7, ("insult", "threat")), toxicity.insults()]
+    table = toxicity.compose(parts)
+    r, state, states = random.Random(1), 0, [0, 0, 0]
     for _ in range(500):
-        c = r.choice(toxicity.CLASSES)
-        state, factor = table[state, c]
-        steps = [p.moves[s, c] for p, s in zip(parts, states, strict=True)]
+        c = r.randrange(len(toxicity.CLASSES))
+        state, factor = table[state][c]
+        steps = [p.moves[s, toxicity.CLASSES[c]] for p, s in zip(parts, states, strict=True)]
         states = [s for s, _ in steps]
-        assert factor == steps[0][1] * steps[1][1]
+        assert factor == pytest.approx(steps[0][1] * steps[1][1] * steps[2][1])
+
+
+def test_toxicity_of_very_long_texts_takes_linear_time():
+    import time
+
+    m = toxicity.Model({}, [])
+    for unit in ("walks home idiot ", "walks home. "):
+        began = time.process_time()
+        m.score(unit * 60_000)
+        short = time.process_time() - began
+        began = time.process_time()
+        m.score(unit * 600_000)  # 10 MB
+        assert time.process_time() - began < 30 * short + 2
 
 
 # ---------------------------------------------------------------- 7 SpotSigs

@@ -26,7 +26,9 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from embedvocab.llm.common import U64, Words, arrow_rows, batched, columns, held_out, in_order, mix, pack, shuffle_partitions, unpack, written
+from embedvocab.llm.common import (
+    U64, Words, arrow_rows, batched, columns, distinct, grouped, held_out, in_order, mix, pack, pack_counts, shuffle_partitions, trimmed, unpack, unpack_counts, written,
+)
 
 DEPTH = 5
 _END = b"\n"
@@ -161,11 +163,11 @@ def train(docs: DataFrame, depth: int = DEPTH, modulus: int = 7, remainder: int
 
         def counted() -> Iterator[pa.RecordBatch]:
             code, _ = grams(held, depth)
-            distinct, n = np.unique(code, return_counts=True)
-            b = bucket_of(distinct, buckets)
+            runs, n = np.unique(code, return_counts=True)
+            b = bucket_of(runs, buckets)
             order = np.argsort(b, kind="stable")
             cut = np.searchsorted(b[order], np.arange(buckets + 1))
-            rows = ((i, pack(distinct[order[cut[i]:cut[i + 1]]]), n[order[cut[i]:cut[i + 1]]].astype("<u4").tobytes()) for i in range(buckets) if cut[i + 1] > cut[i])
+            rows = ((i, pack(runs[order[cut[i]:cut[i + 1]]]), n[order[cut[i]:cut[i + 1]]].astype("<u4").tobytes()) for i in range(buckets) if cut[i + 1] > cut[i])
             yield from arrow_rows(schema, rows).to_batches()
             held.clear()
 
@@ -179,6 +181,7 @@ def train(docs: DataFrame, depth: int = DEPTH, modulus: int = 7, remainder: int
                         size = 0
         if held:
             yield from counted()
+        trimmed()
 
     def merge(rows: pa.Table) -> pa.Table:
         rows = rows.to_pylist()
@@ -187,7 +190,7 @@ def train(docs: DataFrame, depth: int = DEPTH, modulus: int = 7, remainder: int
         return arrow_rows(schema, [(rows[0]["bucket"], pack(code), n.tobytes())])
 
     ddl = "bucket int, codes binary, counts binary"
-    model = written(columns(docs, doc_id="long", text="string").mapInArrow(count, ddl).groupBy("bucket").applyInArrow(merge, ddl))
+    model = written(columns(docs, doc_id="long", text="string").mapInArrow(count, ddl).groupBy("bucket").applyInArrow(grouped(merge), ddl))
 
     def tops(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -231,7 +234,7 @@ class _Batch:
         # slices of the texts keep the sorted arrays small
         cut = np.unique(np.concatenate([np.searchsorted(np.cumsum(self.sizes), np.arange(0, self.sizes.sum(), SLICE)), [len(self.texts)]]))
         self.slices = [slice(a, b) for a, b in zip(cut[:-1].tolist(), cut[1:].tolist(), strict=True)]
-        self.codes = np.unique(np.concatenate([np.unique(grams(self.texts[x], depth)[0]) for x in self.slices]))
+        self.codes = distinct(np.concatenate([distinct(grams(self.texts[x], depth)[0]) for x in self.slices]))
         bucket = bucket_of(self.codes, buckets)
         self.order = np.argsort(bucket, kind="stable")
         self.code_cut = np.searchsorted(bucket[self.order], np.arange(buckets + 1))
@@ -241,8 +244,8 @@ class _Batch:
         out = []
         for x in self.slices:
             code, sizes = grams(self.texts[x], self.depth)
-            distinct, at = np.unique(code, return_inverse=True)
-            each = logs[np.searchsorted(self.codes, distinct)][at]
+            runs, at = np.unique(code, return_inverse=True)
+            each = logs[np.searchsorted(self.codes, runs)][at]
             out.append(np.add.reduceat(each, np.cumsum(sizes) - sizes))
         return np.concatenate(out)
 
@@ -276,11 +279,11 @@ def scores(docs: DataFrame, depth: int = DEPTH, modulus: int = 7, remainder: int
         code, count = (unpack(own[0]["codes"]), np.frombuffer(own[0]["counts"], "<u8").astype(float)) if own else (np.zeros(0, U64), np.zeros(0))
         levels = tops + build(code, count, depth, 2)
         codes = [unpack(r["codes"]) for r in asked]
-        wanted = np.unique(np.concatenate(codes))
+        wanted = distinct(np.concatenate(codes))
         logs = np.concatenate([log_probability(wanted[i:i + 200_000], levels) for i in range(0, len(wanted), 200_000)] or [np.zeros(0)]).astype("<f4")
         start = np.cumsum([0] + [len(w) for w in words])
         trained_docs = sum(r["trained_docs"] for r in asked)
-        return arrow_rows(_REPLY, ((r["k"], r["bucket"], trained_docs, int((n > 0).sum()), int(n.sum()), n[at[start[i]:start[i + 1]]].astype("<u4").tobytes(), logs[np.searchsorted(wanted, codes[i])].tobytes()) for i, r in enumerate(asked)))
+        return arrow_rows(_REPLY, ((r["k"], r["bucket"], trained_docs, int((n > 0).sum()), int(n.sum()), pack_counts(n[at[start[i]:start[i + 1]]]), logs[np.searchsorted(wanted, codes[i])].tobytes()) for i, r in enumerate(asked)))
 
     out = pa.schema([("doc_id", pa.int64()), ("held_out", pa.bool_()), ("n_tokens", pa.int64()), ("n_known", pa.int64()), ("train_tokens", pa.int64()), ("base_score", pa.float64()), ("score", pa.float64()), ("n_bytes", pa.int64()), ("bits_per_byte", pa.float64())])
 
@@ -293,7 +296,7 @@ def scores(docs: DataFrame, depth: int = DEPTH, modulus: int = 7, remainder: int
         for r in replies.to_pylist():
             i, ends = r["bucket"], r["trained_docs"]
             vocabulary, total = vocabulary + r["distinct"], total + r["total"]
-            counts[b.word_cut[i]:b.word_cut[i + 1]] = np.frombuffer(r["counts"], "<u4")
+            counts[b.word_cut[i]:b.word_cut[i + 1]] = unpack_counts(r["counts"])
             logs[b.order[b.code_cut[i]:b.code_cut[i + 1]]] = np.frombuffer(r["logs"], "<f4")
         # the end of a text is a token that every training document has once
         vocabulary, total = vocabulary + (ends > 0), total + ends
@@ -305,9 +308,9 @@ def scores(docs: DataFrame, depth: int = DEPTH, modulus: int = 7, remainder: int
         each = b.sums(logs) / _LN10
         return arrow_rows(out, ((b.ids[i], bool(b.held[i]), int(b.words.n[i]) + 1, int(known[i]), int(total), float(base[i]), float(each[i]), int(b.sizes[i]), float(-each[i] * math.log2(10) / b.sizes[i])) for i in range(n)))
 
-    asked = dealt.groupBy("k").applyInArrow(ask, _ASK_DDL)
-    replies = model.groupBy("bucket").cogroup(asked.groupBy("bucket")).applyInArrow(answer, _REPLY_DDL)
-    return dealt.groupBy("k").cogroup(replies.groupBy("k")).applyInArrow(score, "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double, n_bytes long, bits_per_byte double")
+    asked = dealt.groupBy("k").applyInArrow(grouped(ask), _ASK_DDL)
+    replies = model.groupBy("bucket").cogroup(asked.groupBy("bucket")).applyInArrow(grouped(answer), _REPLY_DDL)
+    return dealt.groupBy("k").cogroup(replies.groupBy("k")).applyInArrow(grouped(score), "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double, n_bytes long, bits_per_byte double")
 
 
 def digest(docs: DataFrame) -> DataFrame:

@@ -131,8 +131,7 @@ def in_order(batch: pa.Table) -> tuple[list, list[bytes]]:
 
 _SPACE = np.zeros(256, bool)
 _SPACE[[0x20, *range(0x09, 0x0E)]] = True
-_BASE, _BASE_INV = 0x9E3779B97F4A7C15, pow(0x9E3779B97F4A7C15, -1, 1 << 64)
-_STEP, _STEP_INV = 0xD1342543DE82EF95, pow(0xD1342543DE82EF95, -1, 1 << 64)
+_BASE, _STEP = 0x9E3779B97F4A7C15, 0xD1342543DE82EF95
 
 
 def mix(x: np.ndarray, salt: int = 0) -> np.ndarray:
@@ -144,6 +143,9 @@ def mix(x: np.ndarray, salt: int = 0) -> np.ndarray:
 
 
 _BYTE = mix(np.arange(256, dtype=U64), 7)
+#: A second family of hashes, of other bytes' numbers and other multipliers, which collides independently of the first.
+_BYTE2 = mix(np.arange(256, dtype=U64), 8)
+_BASE2, _STEP2 = 0xA0761D6478BD642F, 0xE7037ED1A0B428DB
 
 
 _SLICE = 1 << 19
@@ -165,9 +167,9 @@ def distinct(a: np.ndarray) -> np.ndarray:
 
 
 class Words:
-    """Word hashes of concatenated texts; word i of text d has index first[d] + i."""
+    """Word hashes of concatenated texts; word i of text d has index first[d] + i. The second hashes are made on request."""
 
-    def __init__(self, texts: list[bytes]):
+    def __init__(self, texts: list[bytes], second: bool = False):
         buf = np.frombuffer(b"\n".join(texts) + b"\n", np.uint8)
         n = len(buf)
         space = _SPACE[buf]
@@ -177,29 +179,33 @@ class Words:
         starts = np.flatnonzero(before & ~space)
         ends = np.flatnonzero(space & ~before)
         self.hash = np.empty(len(starts), U64)
+        self.hash2 = np.empty(len(starts) if second else 0, U64)
         # some bytes at a time, always whole words, so that the sums stay small
         cut = np.unique(np.concatenate([np.searchsorted(starts, np.arange(0, n, _SLICE)), [len(starts)]]))
         for i, j in zip(cut[:-1], cut[1:], strict=True):
-            low = starts[i]
-            part = _BYTE[buf[low:ends[j - 1]]]
-            sums = np.zeros(len(part) + 1, U64)
-            with np.errstate(over="ignore"):
-                part *= _powers(_BASE, len(part))
-                np.cumsum(part, out=sums[1:])
-                self.hash[i:j] = mix((sums[ends[i:j] - low] - sums[starts[i:j] - low]) * _powers(_BASE_INV, len(part))[starts[i:j] - low])
+            low, end = starts[i], ends[j - 1]
+            for out, of_byte, base in ((self.hash, _BYTE, _BASE), (self.hash2, _BYTE2, _BASE2))[:1 + second]:
+                part = of_byte[buf[low:end]]
+                sums = np.zeros(len(part) + 1, U64)
+                with np.errstate(over="ignore"):
+                    part *= _powers(base, len(part))
+                    np.cumsum(part, out=sums[1:])
+                    inverse = _powers(pow(base, -1, 1 << 64), len(part))
+                    out[i:j] = mix((sums[ends[i:j] - low] - sums[starts[i:j] - low]) * inverse[starts[i:j] - low])
         at = np.cumsum([0] + [len(t) + 1 for t in texts])
         self.first = np.searchsorted(starts, at)
         self.n = np.diff(self.first)
 
-    def rolling(self, size: int) -> np.ndarray:
-        """At each word the hash of the run of so many words that starts there; runs may cross texts, see inside()."""
-        n = len(self.hash)
+    def rolling(self, size: int, second: bool = False) -> np.ndarray:
+        """At each word the hash of the run of so many words that starts there; runs may cross texts."""
+        each, step = (self.hash2, _STEP2) if second else (self.hash, _STEP)
+        n = len(each)
         if n < size:
             return np.zeros(0, U64)
         sums = np.zeros(n + 1, U64)
         with np.errstate(over="ignore"):
-            np.cumsum(self.hash * _powers(_STEP, n), out=sums[1:])
-            return (sums[size:] - sums[:-size]) * _powers(_STEP_INV, n)[: n - size + 1]
+            np.cumsum(each * _powers(step, n), out=sums[1:])
+            return (sums[size:] - sums[:-size]) * _powers(pow(step, -1, 1 << 64), n)[: n - size + 1]
 
     def text_of(self) -> np.ndarray:
         return np.repeat(np.arange(len(self.n)), self.n)

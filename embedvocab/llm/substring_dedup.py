@@ -2,15 +2,18 @@
 
 Every text is cut into non-overlapping blocks of about half a window, so that each window of ``window`` words
 holds one whole block of its own text. The blocks form the index; every rolling run of a block's length, of
-every text, probes it. A block whose words also start elsewhere is an anchor, and only windows around anchors
-are candidates. Candidates are extended to whole windows and compared by 96-bit hashes; repeated windows that
-touch join to maximal repeats.
+every text, probes it. A block whose words also start elsewhere is an anchor. Anchors are extended to the left and to the right
+to all windows that hold them; extensions are equal if two independent 64-bit hashes of their words are, and repeated windows
+that touch join to maximal repeats. At 10^13 windows the chance that any two unequal ones agree in all 128 bits is 2e-13.
 
 Nothing is compared in pairs. A batch of documents sends each distinct hash once to the task that owns its
 range, with one bit for "more than once here", and gets one bit back for each hash it asked about; so a passage
 in a third of all documents costs one entry a batch. The text is shuffled once; the three passes read the same
 exchange.
 
+Messages between batches and ranges are as many as the blocks of a shuffle of as many partitions. A very long text is one row of
+its batch and takes memory of a small multiple of its length. Ties cannot occur: a word is in a repeat or not.
+
 Nulls, empty and short texts have no window and stay whole. Repeated rows count as copies of each other. Rows
 with null ids are documents like others. Extra columns are ignored.
 """
@@ -27,11 +30,13 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from embedvocab.llm.common import (
-    U64, Words, arrow_rows, batched, in_order, mix, order_of, pack, pack_bits, ranges, shuffle_partitions, unpack, unpack_bits,
+    U64, Words, arrow_rows, batched, grouped, in_order, mix, order_of, pack, pack_bits, ranges, shuffle_partitions, unpack, unpack_bits,
 )
 
 #: Bits of the hashes that blocks are probed with; a false hit only adds a candidate.
 PROBE_BITS = 48
+#: Bits of the first hash of a window; all but in tests, which force it to collide.
+WINDOW_MASK = U64(2**64 - 1)
 
 _ASK = pa.schema([("bucket", pa.int32()), ("k", pa.int32()), ("kind", pa.int32()), ("hashes", pa.binary()),
                   ("checks", pa.binary()), ("many", pa.binary()), ("asked", pa.binary())])
@@ -44,11 +49,11 @@ _ANCHORS, _WINDOWS = 0, 1
 class _Pass:
     """What each pass computes anew from the texts of a batch."""
 
-    def __init__(self, batch: pa.Table, window: int):
+    def __init__(self, batch: pa.Table, window: int, extends: bool = True):
         self.block = (window + 1) // 2
         self.window = window
         self.ids, self.texts = in_order(batch)
-        self.words = w = Words(self.texts)
+        self.words = w = Words(self.texts, extends)
         self.text = w.text_of()
         at = np.arange(len(self.text)) - w.first[:-1][self.text] if len(self.text) else np.zeros(0, int)
         self.left = w.n[self.text] - at if len(at) else at
@@ -68,14 +73,13 @@ class _Pass:
         return distinct, many, asked & ~many, which
 
     def candidates(self, hit: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        """Positions, sorted hashes and checks of the windows around blocks that hit; sorted by hash and check."""
+        """Positions and both hashes of the windows that extend blocks that hit; sorted by the hashes."""
         is_hit = np.zeros(len(self.at) + self.block, bool)
         is_hit[self.block_at[hit]] = True
         fits = np.flatnonzero((self.left >= self.window) & self.long)
         anchor = fits + (-self.at[fits]) % self.block
         at = fits[is_hit[anchor]]
-        r = self.words.rolling(self.window)[at]
-        h, c = mix(r, 1), (mix(r ^ (self.words.hash[at] if len(at) else U64(0)), 2) >> U64(32)).astype(np.uint32)
+        h, c = mix(self.words.rolling(self.window)[at], 1) & WINDOW_MASK, mix(self.words.rolling(self.window, second=True)[at], 2)
         order = np.lexsort((c, h))
         return at[order], h[order], c[order]
 
@@ -92,13 +96,13 @@ def _rows(kind: int, k: int, buckets: int, bits: int, h: np.ndarray, c: np.ndarr
     for b in range(buckets):
         s, e = cut[b], cut[b + 1]
         if e > s:
-            yield b, k, kind, pack(h[s:e]), None if c is None else c[s:e].astype("<u4").tobytes(), pack_bits(many[s:e]), pack_bits(asked[s:e])
+            yield b, k, kind, pack(h[s:e]), None if c is None else c[s:e].astype("<u8").tobytes(), pack_bits(many[s:e]), pack_bits(asked[s:e])
 
 
 def _answers(rows: list[dict]) -> list[tuple]:
     """For each batch's hashes of a bucket, one bit for each asked: does it occur anywhere else?"""
     hs = [unpack(r["hashes"]) for r in rows]
-    cs = [np.frombuffer(r["checks"], "<u4") if r["checks"] is not None else np.zeros(len(h), "<u4") for r, h in zip(rows, hs, strict=True)]
+    cs = [np.frombuffer(r["checks"], "<u8") if r["checks"] is not None else np.zeros(len(h), "<u8") for r, h in zip(rows, hs, strict=True)]
     h, c = np.concatenate(hs), np.concatenate(cs)
     weight = np.concatenate([1 + unpack_bits(r["many"], len(x)).astype(np.int8) for r, x in zip(rows, hs, strict=True)])
     order = np.lexsort((c, h)) if rows[0]["checks"] is not None else np.argsort(h, kind="stable")
@@ -132,7 +136,7 @@ def repeated_spans(docs: DataFrame, window: int = 35, kept_text: bool = True, ca
 
     def probe(batch: pa.Table) -> pa.Table:
         k = batch.column("k")[0].as_py()
-        distinct, many, asked, _ = _Pass(batch, window).probes()
+        distinct, many, asked, _ = _Pass(batch, window, extends=False).probes()
         return arrow_rows(_ASK, _rows(_ANCHORS, k, buckets, PROBE_BITS, distinct, None, many, asked))
 
     def answer(rows: pa.Table) -> pa.Table:
@@ -195,10 +199,10 @@ def repeated_spans(docs: DataFrame, window: int = 35, kept_text: bool = True, ca
     marked = T.StructType.fromDDL("doc_id long, n_words long, n_removed long, spans array<array<long>>, kept string, kept_sha256 string")
     if carry:
         marked = marked.add(dealt.schema["rest"])
-    anchors = dealt.groupBy("k").applyInArrow(probe, _ASK_DDL).groupBy("bucket").applyInArrow(answer, _REPLY_DDL)
-    windows = dealt.groupBy("k").cogroup(anchors.groupBy("k")).applyInArrow(extend, _ASK_DDL)
-    answers = windows.groupBy("bucket").applyInArrow(answer, _REPLY_DDL)
-    return dealt.groupBy("k").cogroup(answers.groupBy("k")).applyInArrow(mark, marked)
+    anchors = dealt.groupBy("k").applyInArrow(grouped(probe), _ASK_DDL).groupBy("bucket").applyInArrow(grouped(answer), _REPLY_DDL)
+    windows = dealt.groupBy("k").cogroup(anchors.groupBy("k")).applyInArrow(grouped(extend), _ASK_DDL)
+    answers = windows.groupBy("bucket").applyInArrow(grouped(answer), _REPLY_DDL)
+    return dealt.groupBy("k").cogroup(answers.groupBy("k")).applyInArrow(grouped(mark), marked)
 
 
 def remove_repeats(docs: DataFrame, window: int = 35) -> DataFrame:

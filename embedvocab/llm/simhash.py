@@ -9,10 +9,12 @@ value in each partition and probes the values within the threshold; what meets t
 A value that more than the mean task's rows share is split into fragments, and each pair of fragments becomes a
 cell of its own; nothing is capped. A cell yields a spanning forest of its links, never all pairs. Components
 are found by large-star/small-star rounds over tables in the shared folder. The driver sees 64 x 64 bit counts
-and histograms of at most 2^17 values a partition, no fingerprints and no links.
+and histograms of at most 2^16 values a partition, no fingerprints and no links. The number of partitions, four to eight, is the
+cheapest by the counts of single bits.
 
-Near copies (keep_one) are defined by the exact Jaccard of their sets of shingles: min-hash bands find candidates, and each
-candidate pair that is not joined yet is verified on the sets themselves.
+Near copies (keep_one) are defined by the exact Jaccard of their sets of shingles. Candidates are found by the same search
+over several independent fingerprints, of words, as words differ less than shingles do; each candidate pair that is not joined
+yet is verified on the sets themselves.
 
 Null texts are empty; a text without words has fingerprint zero and links like any other. Rows with null ids get
 the component of their fingerprint. Repeated rows share a fingerprint. Extra columns are ignored.
@@ -28,10 +30,10 @@ from itertools import combinations, repeat
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from embedvocab.llm.common import U64, Words, mix, per_document, shuffle_partitions, written
+from embedvocab.llm.common import U64, Words, distinct, grouped, mix, per_document, shuffle_partitions, written
 
 SEED = 42
 
@@ -109,23 +111,142 @@ def flips(width: int, most: int) -> list[int]:
     return [sum(1 << b for b in c) for t in range(1, most + 1) for c in combinations(range(width), t)]
 
 
-def predicted(hist: dict[int, int], width: int, radius: int) -> list[float]:
-    """Candidates plus probes at each threshold -1..radius, from how often each value of the partition occurs."""
-    full = np.zeros(1 << width)
-    full[list(hist)] = list(hist.values())
+def predicted(hist: np.ndarray, width: int, radius: int) -> list[float]:
+    """Cost of candidates and rows at each threshold -1..radius, from how often each value of the partition occurs."""
+    full = hist.astype(float)
     out, near, probes = [0.0], full.copy(), 1
     for t in range(radius + 1):
         if t:
             probes += math.comb(width, t)
             if t >= 3:  # the sums over so many neighbours cost more than they tell; counted as if all values met
-                out.append(float(full.sum()) ** 2 / 2 + 16.0 * probes * float(full.sum()))
+                out.append(float(full.sum()) ** 2 / 2 + ROW_COST * probes * float(full.sum()))
                 continue
             for m in (m for m in flips(width, t) if m.bit_count() == t):
                 near = near + full[np.arange(1 << width) ^ m]
-        out.append(float(full @ near) / 2 + 16.0 * probes * float(full.sum()))
+        out.append(float(full @ near) / 2 + ROW_COST * probes * float(full.sum()))
     return out
 
 
+#: What a row that is sent costs, in comparisons of two fingerprints within a cell.
+ROW_COST = 64.0
+
+
+def roughly(ones: np.ndarray, n: int, groups: list[list[int]], radius: int) -> float:
+    """Cost of the best thresholds for these partitions, as if bits were independent."""
+    costs = []
+    for bits in groups:
+        p = ones[bits] / max(n, 1)
+        same = p * p + (1 - p) * (1 - p)
+        within = np.zeros(radius + 1)  # chance of two values at each distance
+        within[0] = 1.0
+        for q in same:
+            within[1:] = within[1:] * q + within[:-1] * (1 - q)
+            within[0] *= q
+        rows = np.cumsum([math.comb(len(bits), t) for t in range(radius + 1)])
+        costs.append([0.0, *(np.cumsum(within) * n * n / 2 + ROW_COST * rows * n).tolist()])
+    thresholds = allot(costs, radius)
+    return sum(c[t + 1] for c, t in zip(costs, thresholds, strict=True))
+
+
+class Plan:
+    """How one column of fingerprints is searched: bits of each partition, thresholds, and into how many fragments heavy values are split."""
+
+    def __init__(self, groups: list[list[int]], thresholds: list[int], heavy: list[np.ndarray]):
+        self.groups, self.thresholds, self.heavy = groups, thresholds, heavy
+
+
+def survey(nodes: DataFrame, names: list[str], radius: int, parts: range) -> list[Plan]:
+    """A plan for each column of fingerprints, from counts of all of them; the number of partitions is the cheapest of ``parts``.
+
+    The driver gets 64 x 64 bit counts and at most 2^18 value counts a column, whatever the corpus.
+    """
+
+    def count_bits(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        both, n = np.zeros((len(names), 64, 64)), 0
+        for b in batches:
+            for i in range(len(names)):
+                bits = np.unpackbits(b.column(i).to_numpy().view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").astype(np.float32)
+                both[i] += bits.T @ bits
+            n += b.num_rows
+        counts = np.concatenate([both.ravel(), [n]]).astype(np.int64)
+        yield pa.record_batch([pa.array(np.arange(len(counts)), pa.int32()), pa.array(counts)], names=["cell", "n"])
+
+    prints = nodes.select(*names)
+    counted = prints.mapInArrow(count_bits, "cell int, n long").groupBy("cell").agg(F.sum("n").alias("n")).toPandas()
+    counts = np.zeros(len(names) * 4096 + 1)
+    counts[counted["cell"]] = counted["n"]
+    n = int(counts[-1])
+    groups = []
+    for both in counts[:-1].reshape(-1, 64, 64):
+        ones = np.diag(both)
+        groups.append(min((bit_groups(ones, both, n, k) for k in parts), key=lambda g: roughly(ones, n, g, radius)))
+
+    def values(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        seen = [[np.zeros(1 << len(bits), np.int64) for bits in own] for own in groups]
+        for b in batches:
+            for i, own in enumerate(groups):
+                fps = b.column(i).to_numpy().view(U64)
+                for at, bits in zip(seen[i], own, strict=True):
+                    at += np.bincount(gather(fps, bits), minlength=len(at))
+        for i, own in enumerate(seen):
+            for j, at in enumerate(own):
+                v = np.flatnonzero(at)
+                yield pa.record_batch([pa.array(np.full(len(v), i), pa.int32()), pa.array(np.full(len(v), j), pa.int32()), pa.array(v, pa.int32()), pa.array(at[v])], names=["name", "part", "value", "n"])
+
+    found = prints.mapInArrow(values, "name int, part int, value int, n long").groupBy("name", "part", "value").agg(F.sum("n").alias("n")).toPandas()
+    tasks = shuffle_partitions(nodes.sparkSession)
+    out = []
+    for i, own in enumerate(groups):
+        mine = found[found["name"] == i]
+        hists = [np.zeros(1 << len(bits), np.int64) for bits in own]
+        for j, hist in enumerate(hists):
+            part = mine[mine["part"] == j]
+            hist[part["value"]] = part["n"]
+        thresholds = allot([predicted(h, len(g), radius) for h, g in zip(hists, own, strict=True)], radius)
+        rows = []  # of a value: its own and those that probe it
+        for hist, bits, t in zip(hists, own, thresholds, strict=True):
+            v, total = np.arange(len(hist)), hist.copy() if t >= 0 else np.zeros(len(hist), np.int64)
+            for m in flips(len(bits), t) if t >= 0 else []:
+                total += np.where(v ^ m > v, hist[v ^ m], 0)
+            rows.append(total)
+        most = max(1024, -(-sum(int(r.sum()) for r in rows) // tasks))
+        out.append(Plan(own, thresholds, [np.maximum(1, -(-r // most)) for r in rows]))
+    return out
+
+
+def cells(nodes: DataFrame, names: list[str], plans: list[Plan]) -> DataFrame:
+    """(bucket, cell, indexed, fp, node): each fingerprint under its value in each partition and under the values that it probes.
+
+    A value that too many rows share is split into fragments; each pair of them is a cell of its own.
+    """
+    tasks = shuffle_partitions(nodes.sparkSession)
+
+    def deal(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            node = b.column(len(names)).to_numpy()
+            for name, plan in enumerate(plans):
+                fps = b.column(name).to_numpy().view(U64)
+                for i, (bits, t, heavy) in enumerate(zip(plan.groups, plan.thresholds, plan.heavy, strict=True)):
+                    if t < 0:
+                        continue
+                    own = gather(fps, bits)
+                    for m in [0, *flips(len(bits), t)]:
+                        at = own ^ m
+                        # a probe below its own value would meet the same pairs again
+                        keep = np.arange(len(at)) if not m else np.flatnonzero(at < own)
+                        s = heavy[at[keep]]
+                        times = np.repeat(np.arange(len(keep)), s)
+                        mine = (mix(fps[keep][times], 3) % s[times].astype(U64)).astype(np.int64)
+                        other = np.arange(len(times)) - np.repeat(np.cumsum(s) - s, s)
+                        cell = mix(at[keep][times].astype(U64) * U64(64 * 64) + U64(64 * name + i), 11)
+                        cell = mix(cell + np.minimum(mine, other).astype(U64) * U64(1 << 32) + np.maximum(mine, other).astype(U64), 12)
+                        which = keep[times]
+                        columns = [pa.array((cell % U64(4 * tasks)).astype(np.int32)), pa.array(cell.view(np.int64)), pa.array(np.full(len(times), not m)), pa.array(fps[which].view(np.int64)), pa.array(node[which])]
+                        yield pa.record_batch(columns, names=["bucket", "cell", "indexed", "fp", "node"])
+
+    return nodes.select(*names, "node").mapInArrow(deal, "bucket int, cell long, indexed boolean, fp long, node long")
+
+
 # ---------------------------------------------------------------- verified links
 
 def _merge(label: np.ndarray, a: np.ndarray, b: np.ndarray) -> None:
@@ -172,83 +293,20 @@ def forest(cell: np.ndarray, fps: np.ndarray, indexed: np.ndarray, radius: int)
     return order[child], order[label[child]]
 
 
-def links(nodes: DataFrame, radius: int = 3, parts: int = 4) -> DataFrame:
+def links(nodes: DataFrame, radius: int = 3, parts: range = range(4, 9)) -> DataFrame:
     """(a, b): edges between the nodes (node, fp) of distinct fingerprints whose closure is that of all pairs within radius.
 
     Fewer than four partitions would have histograms too large for the driver.
     """
-    if not 4 <= parts <= 16:
+    if not parts or min(parts) < 4 or max(parts) > 16:
         raise ValueError("between 4 and 16 partitions")
-    spark = nodes.sparkSession
-    tasks = shuffle_partitions(spark)
 
-    def count_bits(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        both, n = np.zeros((64, 64)), 0
-        for b in batches:
-            fps = b.column(0).to_numpy().view(U64)
-            bits = np.unpackbits(fps.view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").astype(np.float32)
-            both, n = both + bits.T @ bits, n + len(fps)
-        yield pa.record_batch([pa.array(np.arange(4097), pa.int32()), pa.array([*both.ravel().astype(np.int64), n], pa.int64())], names=["cell", "n"])
-
-    counted = dict(map(tuple, nodes.select("fp").mapInArrow(count_bits, "cell int, n long").groupBy("cell").agg(F.sum("n").alias("n")).collect()))
-    n = counted.get(4096, 0)
-    both = np.array([counted.get(i, 0) for i in range(4096)], float).reshape(64, 64)
-    groups = bit_groups(np.diag(both), both, n, parts)
-
-    def values(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            fps = b.column(0).to_numpy().view(U64)
-            for i, bits in enumerate(groups):
-                v, c = np.unique(gather(fps, bits), return_counts=True)
-                yield pa.record_batch([pa.array(np.full(len(v), i), pa.int32()), pa.array(v, pa.int64()), pa.array(c, pa.int64())], names=["part", "value", "n"])
-
-    hists: list[dict[int, int]] = [{} for _ in groups]
-    for part, value, count in nodes.select("fp").mapInArrow(values, "part int, value long, n long").groupBy("part", "value").agg(F.sum("n").alias("n")).toPandas().itertuples(index=False):
-        hists[part][value] = count
-    thresholds = allot([predicted(h, len(g), radius) for h, g in zip(hists, groups, strict=True)], radius)
-
-    # rows of a value: its own and those that probe it
-    rows: dict[tuple[int, int], int] = {}
-    for i, (bits, t) in enumerate(zip(groups, thresholds, strict=True)):
-        if t >= 0:
-            masks = flips(len(bits), t)
-            for v, c in hists[i].items():
-                rows[i, v] = c + sum(hists[i].get(v ^ m, 0) for m in masks if v ^ m > v)
-    most = max(1024, -(-sum(rows.values()) // tasks))
-    split = {key: -(-c // most) for key, c in rows.items() if c > most}
-    heavy = [{v: s for (i, v), s in split.items() if i == part} for part in range(parts)]
-
-    def deal(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            fps = b.column(0).to_numpy().view(U64)
-            for i, (bits, t) in enumerate(zip(groups, thresholds, strict=True)):
-                if t < 0:
-                    continue
-                own = gather(fps, bits)
-                for m in [0, *flips(len(bits), t)]:
-                    at = own ^ m
-                    # a probe below its own value would meet the same pairs again
-                    keep = np.arange(len(at)) if not m else np.flatnonzero(at < own)
-                    if len(heavy[i]):
-                        s = np.array([heavy[i].get(v, 1) for v in at[keep].tolist()])
-                    else:
-                        s = np.ones(len(keep), int)
-                    times = np.repeat(np.arange(len(keep)), s)
-                    mine = (mix(fps[keep][times], 3) % s[times].astype(U64)).astype(np.int64)
-                    other = np.arange(len(times)) - np.repeat(np.cumsum(s) - s, s)
-                    cell = mix(at[keep][times].astype(U64) * U64(parts) + U64(i), 11)
-                    cell = mix(cell + np.minimum(mine, other).astype(U64) * U64(1 << 32) + np.maximum(mine, other).astype(U64), 12)
-                    which = keep[times]
-                    carried = [pa.array(b.column(c).to_numpy()[which]) for c in range(b.num_columns)]
-                    yield pa.record_batch([pa.array((cell % U64(4 * tasks)).astype(np.int32)), pa.array(cell.view(np.int64)), pa.array(np.full(len(times), not m)), *carried], names=["bucket", "cell", "indexed", "fp", "node"])
-
-    def verify(cells: pa.Table) -> pa.Table:
-        column = lambda c: cells.column(c).to_numpy()
+    def verify(rows: pa.Table) -> pa.Table:
+        column = lambda c: rows.column(c).to_numpy()
         a, b = forest(column("cell"), column("fp").view(U64), column("indexed").astype(bool), radius)
         return pa.table({"a": column("node")[a], "b": column("node")[b]})
 
-    cells = nodes.select("fp", "node").mapInArrow(deal, "bucket int, cell long, indexed boolean, fp long, node long")
-    return cells.groupBy("bucket").applyInArrow(verify, "a long, b long").distinct()
+    return cells(nodes, ["fp"], survey(nodes, ["fp"], radius, parts)).groupBy("bucket").applyInArrow(grouped(verify), "a long, b long").distinct()
 
 
 def components(edges: DataFrame) -> DataFrame:
@@ -278,7 +336,7 @@ def classes(nodes: DataFrame, edges: DataFrame) -> DataFrame:
     return written(rooted.join(least, "root").select("node", "component_id"))
 
 
-def near_duplicates(docs: DataFrame, shingle: int = 3, radius: int = 3, parts: int = 4) -> DataFrame:
+def near_duplicates(docs: DataFrame, shingle: int = 3, radius: int = 3, parts: range = range(4, 9)) -> DataFrame:
     """(doc_id, fp, component_id): the least id of all documents reachable over links of at most radius bits."""
     prints = written(fingerprints(docs, shingle))
     nodes = written(prints.groupBy(F.col("fp").alias("node")).agg(F.min("doc_id").alias("least_id"), F.first("fp").alias("fp")))
@@ -288,10 +346,26 @@ def near_duplicates(docs: DataFrame, shingle: int = 3, radius: int = 3, parts: i
 
 # ---------------------------------------------------------------- near copies by exact Jaccard
 
-#: Bands of so many min-hashes each. A pair of Jaccard 0.8 shares no band with a chance of (1 - 0.8 ** 4) ** 28 = 4e-7, closer pairs with less.
-BANDS, BAND_ROWS = 28, 4
-#: Members of a cell, beyond which it is split into fragments.
+#: Independent fingerprints of a text's words that search for near copies, and the share of the hardest pairs they may miss.
+PRINTS, MISS = 6, 0.1
+#: Members of a candidate group, beyond which it is split into fragments.
 CELL = 256
+#: Distinct words whose bits are counted at once.
+_AT_ONCE = 1 << 14
+
+
+def radius_of(similarity: float, prints: int = PRINTS, miss: float = MISS) -> int:
+    """The least radius at which no print of a pair lies within it with at most this chance.
+
+    The hardest pair of a Jaccard similarity is a text and the same text with more at the end: one set holds the other,
+    and each bit differs with the chance acos(sqrt(similarity)) / pi. Edits all over a text leave far more words alike.
+    """
+    p, below = math.acos(math.sqrt(similarity)) / math.pi, 0.0
+    for r in range(64):
+        below += math.comb(64, r) * p**r * (1 - p) ** (64 - r)
+        if (1 - below) ** prints <= miss:
+            return r
+    return 64
 
 
 def shingle_sets(texts: list[bytes], shingle: int) -> Iterator[np.ndarray]:
@@ -299,39 +373,44 @@ def shingle_sets(texts: list[bytes], shingle: int) -> Iterator[np.ndarray]:
     w = Words([t.lower() for t in texts])
     runs = w.rolling(shingle)
     for a, b in zip(w.first[:-1], w.first[1:], strict=True):
-        if b - a >= shingle:
-            yield np.unique(mix(runs[a:b - shingle + 1], 5))
-        else:
-            yield np.array([np.bitwise_xor.reduce(mix(w.hash[a:b] + np.arange(b - a).astype(U64), 4))], U64)
+        yield _shingles(w, runs, a, b, shingle)
+
+
+def _shingles(w: Words, runs: np.ndarray, a: int, b: int, shingle: int) -> np.ndarray:
+    if b - a >= shingle:
+        return distinct(mix(runs[a:b - shingle + 1], 5))
+    return np.array([np.bitwise_xor.reduce(mix(w.hash[a:b] + np.arange(b - a).astype(U64), 4))], U64)
 
 
 def node_of(own: np.ndarray) -> int:
     return struct.unpack("<q", xxhash.xxh64_digest(own.tobytes(), SEED)[::-1])[0]
 
 
-def band_keys(sets: list[np.ndarray]) -> np.ndarray:
-    """A row of band keys for each set."""
-    flat, starts = np.concatenate(sets), np.cumsum([0] + [len(s) for s in sets[:-1]])
-    salts = mix(np.arange(2 * BANDS * BAND_ROWS, dtype=U64), 9).reshape(BANDS, BAND_ROWS, 2)
-    keys = np.zeros((len(sets), BANDS), U64)
-    with np.errstate(over="ignore"):
-        for band in range(BANDS):
-            for flip, factor in salts[band]:
-                keys[:, band] = mix(keys[:, band] + np.minimum.reduceat((flat ^ flip) * (factor | U64(1)), starts), 10)
-            keys[:, band] += U64(band)
-    return keys
+def word_prints(words: np.ndarray) -> np.ndarray:
+    """PRINTS fingerprints, signed, of the distinct hashes of a text's words; zero without words."""
+    if not len(words):
+        return np.zeros(PRINTS, np.int64)
+    ones = np.zeros((PRINTS, 64), np.int64)
+    for at in range(0, len(words), _AT_ONCE):
+        each = np.stack([mix(words[at:at + _AT_ONCE], 20 + i) for i in range(PRINTS)])
+        ones += np.unpackbits(each.view(np.uint8).reshape(PRINTS, -1, 8), axis=2, bitorder="little").sum(axis=1, dtype=np.uint32)
+    return np.packbits(ones * 2 > len(words), axis=1, bitorder="little").view("<i8").ravel()
 
 
 def copy_prints(docs: DataFrame, shingle: int) -> DataFrame:
-    """(id, node, bands) of docs (id, text): equal sets of shingles are one node."""
-    schema = pa.schema([("id", pa.int64()), ("node", pa.int64()), ("bands", pa.binary())])
+    """(_id, _hash, node, p0, p1, ...) of docs (doc_id, text): equal sets of shingles are one node; the hash is that of the text."""
+    names = [f"p{i}" for i in range(PRINTS)]
+    schema = pa.schema([("_id", pa.int64()), ("_hash", pa.int64()), ("node", pa.int64()), *((c, pa.int64()) for c in names)])
 
     def run(ids: list, texts: list[bytes]) -> Iterator[tuple]:
-        sets = list(shingle_sets(texts, shingle))
-        for doc_id, own, keys in zip(ids, sets, band_keys(sets), strict=True):
-            yield doc_id, node_of(own), keys.tobytes()
+        w = Words([t.lower() for t in texts])
+        runs = w.rolling(shingle)
+        for doc_id, text, a, b in zip(ids, texts, w.first[:-1], w.first[1:], strict=True):
+            own = int(np.uint64(xxhash.xxh64_intdigest(text, SEED)).view(np.int64))
+            yield doc_id, own, node_of(_shingles(w, runs, a, b, shingle)), *word_prints(distinct(w.hash[a:b])).tolist()
 
-    return per_document(docs.select(F.col("id").alias("doc_id"), "text"), run, schema, "id long, node long, bands binary", most=4 << 20)
+    ddl = ", ".join(f"{f} long" for f in schema.names)
+    return per_document(docs, run, schema, ddl, most=4 << 20)
 
 
 def alike(sets: list[np.ndarray], label: np.ndarray, similarity: float) -> list[tuple[int, int]]:
@@ -354,11 +433,19 @@ def alike(sets: list[np.ndarray], label: np.ndarray, similarity: float) -> list[
     return out
 
 
+#: Which row a document is: rows without an id come after all ids, and rows that share one are told apart by their texts.
+_WHO = ["_none", "_id", "_hash"]
+
+
+def who(doc_id: Column, text_hash: Column) -> list[Column]:
+    return [doc_id.isNull().alias("_none"), F.coalesce(doc_id.cast("long"), F.lit(0)).alias("_id"), text_hash.alias("_hash")]
+
+
 def verified(cells: DataFrame, texts: DataFrame, shingle: int, similarity: float) -> DataFrame:
-    """(a, b) from cells (cell, node, root): edges of exact Jaccard that join, besides equal roots, all such pairs of each cell; texts (id, text) are those of the nodes."""
+    """(a, b) from cells (cell, node, root): edges of exact Jaccard that join, besides equal roots, all such pairs of each cell; texts (text) are those of the nodes."""
     tasks = shuffle_partitions(cells.sparkSession)
     schema = pa.schema([("_set_of", pa.int64()), ("own", pa.binary())])
-    made = per_document(texts.select(F.col("id").alias("doc_id"), "text"), lambda ids, ts: ((node_of(s), s.tobytes()) for s in shingle_sets(ts, shingle)), schema, "_set_of long, own binary")
+    made = per_document(texts.select(F.lit(0).alias("doc_id"), "text"), lambda ids, ts: ((node_of(s), s.tobytes()) for s in shingle_sets(ts, shingle)), schema, "_set_of long, own binary")
     sets = made.groupBy("_set_of").agg(F.first("own").alias("own"))
 
     def verify(rows: pa.Table) -> pa.Table:
@@ -372,24 +459,32 @@ def verified(cells: DataFrame, texts: DataFrame, shingle: int, similarity: float
         return pa.table({"a": node[pairs[:, 0]], "b": node[pairs[:, 1]]})
 
     rows = cells.join(sets, F.col("node") == F.col("_set_of")).select(F.pmod(F.xxhash64("cell"), F.lit(4 * tasks)).cast("int").alias("bucket"), "cell", "node", "root", "own")
-    return written(rows.groupBy("bucket").applyInArrow(verify, "a long, b long").distinct())
+    return written(rows.groupBy("bucket").applyInArrow(grouped(verify), "a long, b long").distinct())
+
+
+def candidate_groups(nodes: DataFrame, radius: int) -> DataFrame:
+    """(cell, node, n): in each cell of the search the groups, of n nodes, that links within radius bits of one print join; no pair is listed."""
+    names = [f"p{i}" for i in range(PRINTS)]
+
+    def group(rows: pa.Table) -> pa.Table:
+        cell, node = rows.column("cell").to_numpy(), rows.column("node").to_numpy()
+        child, root = forest(cell, rows.column("fp").to_numpy().view(U64), rows.column("indexed").to_numpy().astype(bool), radius)
+        heads, size = np.unique(root, return_counts=True)
+        head = np.concatenate([root, heads])
+        name = mix(cell[head].view(U64) + mix(node[head].view(U64), 13), 14).view(np.int64)
+        n = size[np.searchsorted(heads, head)] + 1 if len(heads) else head
+        return pa.table({"cell": name, "node": node[np.concatenate([child, heads])], "n": n.astype(np.int64)})
+
+    return written(cells(nodes, names, survey(nodes, names, radius, range(4, 9))).groupBy("bucket").applyInArrow(grouped(group), "cell long, node long, n long"))
 
 
 def copy_links(nodes: DataFrame, rows: DataFrame, shingle: int, similarity: float) -> DataFrame:
-    """(a, b): edges of exact Jaccard between nodes (node, least_id, bands) whose closure is that of all pairs that share a band; rows (id, text).
+    """(a, b): edges of exact Jaccard between nodes whose closure is that of all pairs in a candidate group; rows (_none, _id, _hash, text).
 
-    A large cell is split into fragments, by another hash in each cell. Pairs across fragments are compared afterwards
+    A large group is split into fragments, by another hash in each. Pairs across fragments are compared afterwards
     where they are not joined yet, so that groups of copies cost little and no pair is left out.
     """
-
-    def deal(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            if b.num_rows:
-                keys = np.frombuffer(b"".join(b.column(1).to_pylist()), np.int64)
-                yield pa.record_batch([pa.array(keys), pa.array(np.repeat(b.column(0).to_numpy(), BANDS))], names=["cell", "node"])
-
-    dealt = nodes.select("node", "bands").mapInArrow(deal, "cell long, node long")
-    members = written(dealt.join(dealt.groupBy("cell").agg(F.count(F.lit(1)).alias("n")).filter("n > 1"), "cell"))
+    members = candidate_groups(nodes, radius_of(similarity))
     parts = F.ceil(F.col("n") / CELL).cast("int")
     fragment = F.pmod(F.xxhash64("node", "cell"), parts).cast("int")
 
@@ -398,8 +493,8 @@ def copy_links(nodes: DataFrame, rows: DataFrame, shingle: int, similarity: floa
         held = cells.groupBy("cell").agg(F.expr("bit_xor(xxhash64(node))").alias("x"), F.count(F.lit(1)).alias("n"), F.min("node").alias("lo"), F.max("node").alias("hi"), F.min("root").alias("r"), F.max("root").alias("s"))
         once = held.filter("r <> s").groupBy("x", "n", "lo", "hi").agg(F.min("cell").alias("cell"))
         chosen = written(cells.join(once, "cell", "left_semi").select("cell", "node", "root"))
-        ids = nodes.join(chosen.select("node").distinct(), "node", "left_semi").select(F.col("least_id").alias("_wanted"))
-        return verified(chosen, rows.join(ids, F.col("id") == F.col("_wanted"), "left_semi"), shingle, similarity)
+        wanted = nodes.join(chosen.select("node").distinct(), "node", "left_semi").select("least_id.*")
+        return verified(chosen, rows.join(wanted, _WHO, "left_semi"), shingle, similarity)
 
     edges = compared(members.select(F.when(F.col("n") > CELL, F.xxhash64("cell", fragment)).otherwise(F.col("cell")).alias("cell"), "node", F.col("node").alias("root")))
     large = members.filter(F.col("n") > CELL)
@@ -415,23 +510,25 @@ def copy_links(nodes: DataFrame, rows: DataFrame, shingle: int, similarity: floa
 def keep_one(docs: DataFrame, shingle: int = 5, similarity: float = 0.8) -> DataFrame:
     """The document with the least id of each group of near copies, all columns kept.
 
-    Documents link if the exact Jaccard of their sets of shingles is at least ``similarity``, which must not be below 0.8,
-    for which the bands are made. Rows without an id come after all ids; of repeated rows one stays.
+    Documents link if the exact Jaccard of their sets of shingles is at least ``similarity``. Candidates are pairs of which one of
+    several fingerprints, made of the distinct words, lies within radius_of(similarity) bits. Rows without an id come after all ids;
+    of rows that share an id and no likeness all stay, of rows that repeat id and text one. Null texts are empty, and all
+    texts without words are copies of each other. Columns may have any names.
     """
-    if similarity < 0.8:
-        raise ValueError("the bands find pairs of a similarity of 0.8 or more")
-    who = F.coalesce(F.col("doc_id").cast("long"), F.lit(1 << 62) + F.xxhash64(F.col("text")).bitwiseAND((1 << 61) - 1))
-    rows = docs.withColumn("_near_id", who)
-    texts = rows.select(F.col("_near_id").alias("id"), F.col("text").cast("string").alias("text"))
-    prints = written(copy_prints(texts, shingle))
-    nodes = written(prints.groupBy("node").agg(F.min("id").alias("least_id"), F.first("bands").alias("bands")))
-    found = classes(nodes, copy_links(nodes, texts, shingle, similarity))
-    gone = written(prints.join(found, "node").filter("id <> component_id").select(F.col("id").alias("_gone")).distinct())
-    again = written(prints.groupBy("id").count().filter("count > 1").select(F.col("id").alias("_again")))
-    kept = rows.join(gone, F.col("_near_id") == F.col("_gone"), "left_anti")
-    once = kept.join(again, F.col("_near_id") == F.col("_again"), "left_anti")
-    repeated = kept.join(again, F.col("_near_id") == F.col("_again"), "left_semi").dropDuplicates(["_near_id"])
-    return once.unionByName(repeated).select(*(F.col(f"`{c}`") for c in docs.columns))
+    text = F.coalesce(F.col("text").cast("string"), F.lit(""))
+    rows = docs.select(F.struct(*(F.col(f"`{c}`") for c in docs.columns)).alias("_row"), text.alias("text"), *who(F.col("doc_id"), F.xxhash64(text)))
+    found = copy_prints(docs, shingle)
+    names = [f"p{i}" for i in range(PRINTS)]
+    prints = written(found.select(*who(F.col("_id"), F.col("_hash")), "node", *names))
+    least = F.struct(*_WHO)
+    nodes = written(prints.groupBy("node").agg(F.min(least).alias("least_id"), *(F.first(c).alias(c) for c in names)))
+    found = classes(nodes, copy_links(nodes, rows.select(*_WHO, "text"), shingle, similarity))
+    gone = written(prints.join(found, "node").filter(least != F.col("component_id")).select(*_WHO).distinct())
+    again = written(prints.groupBy(*_WHO).count().filter("count > 1").select(*_WHO))
+    kept = rows.drop("text").join(gone, _WHO, "left_anti")
+    once = kept.join(again, _WHO, "left_anti")
+    repeated = kept.join(again, _WHO, "left_semi").dropDuplicates(_WHO)
+    return once.unionByName(repeated).select("_row.*")
 
 
 def digest(docs: DataFrame) -> DataFrame:

@@ -17,6 +17,7 @@ columns are ignored.
 from __future__ import annotations
 
 import base64
+import functools
 import re
 import zlib
 from array import array
@@ -27,11 +28,11 @@ import pyarrow as pa
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
 
-from embedvocab.llm.common import arrow_rows, columns
+from embedvocab.llm.common import arrow_rows, columns, trimmed
 
 MARKER = "<|endoftext|>"
 #: Runs of characters kept encoded in a worker before the store is emptied.
-KEPT_RUNS = 400_000
+KEPT_RUNS = 250_000
 
 _ODD_SPACE = re.compile(r"\s[^\S ]|[^\S ] |  |^ | $|[^\S ]$")
 
@@ -43,12 +44,18 @@ class TokenIds(dict):
         super().__init__()
         import public_tokenizers
         import tiktoken
-        from tokenizers import Tokenizer
 
         with open(ranks, "rb") as f:
             merges = {base64.b64decode(a): int(b) for a, b in map(bytes.split, f)}
         self.coder = tiktoken.Encoding("ranks", pat_str=public_tokenizers.PATTERN, mergeable_ranks=merges, special_tokens={})
-        self.whole = Tokenizer.from_file(vocabulary)
+        self.vocabulary = vocabulary
+
+    @functools.cached_property
+    def whole(self):  # noqa: ANN201
+        """The tokenizer file, which few texts need: loaded when the first comes."""
+        from tokenizers import Tokenizer
+
+        return Tokenizer.from_file(self.vocabulary)
 
     def __missing__(self, run: str) -> bytes:
         if len(self) >= KEPT_RUNS:
@@ -151,5 +158,6 @@ def pack(docs: DataFrame, capacity: int = 1024, end_id: int = 0, quadratic: floa
                     rows.clear()
         packed()
         yield from arrow_rows(schema, rows).to_batches()
+        trimmed()
 
     return columns(docs, doc_id="long", text="string").mapInArrow(run, "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long")

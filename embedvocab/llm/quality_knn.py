@@ -152,6 +152,21 @@ def scores(docs: DataFrame, model: Model, modulus: int = 5, remainder: int = 0,
     return per_document(docs, run, schema, "doc_id long, held_out boolean, score double, predicted int", most=4 << 20)
 
 
+def with_score(docs: DataFrame, model: Model, name: str) -> DataFrame:
+    """docs, all columns kept, with one more: the score."""
+    place = docs.columns.index("text")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            found = np.full(batch.num_rows, model.prior)
+            for at in range(0, batch.num_rows, BLOCK):
+                found[at:at + BLOCK] = model.score([t.as_py() or "" for t in batch.column(place).slice(at, BLOCK)])
+            yield batch.append_column(name, pa.array(found, pa.float64()))
+        trimmed()
+
+    return docs.mapInArrow(run, docs.withColumn(name, F.lit(0.0)).schema)
+
+
 def keep_good(docs: DataFrame, labels: DataFrame, threshold: float = 0.3) -> DataFrame:
     """The (doc_id, score) at or above the threshold."""
     return scores(columns(docs, doc_id="long", text="string"), fit(docs, labels), threshold=threshold).filter("predicted = 1").select("doc_id", "score")

@@ -45,7 +45,7 @@ def op8_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op9_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return mixing.digest(table(spark, sf_dir, "documents"))
+    return mixing.digest(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
 
 
 def op10_context_tree(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -380,7 +380,7 @@ def test_links_join_what_brute_force_joins(spark, parts):
     fps = sorted({s ^ sum(1 << b for b in r.sample(range(64), r.randint(0, 5))) for s in seeds for _ in range(60)} | {0, 1, 2**64 - 1})
     signed = [int(np.uint64(f).view(np.int64)) for f in fps]
     nodes = spark.createDataFrame([(f, f) for f in signed], "node long, fp long")
-    roots = {r.node: r.root for r in simhash.components(simhash.links(nodes, 3, parts)).collect()}
+    roots = {r.node: r.root for r in simhash.components(simhash.links(nodes, 3, range(parts, parts + 1))).collect()}
     parent = {f: f for f in signed}
 
     def find(x):

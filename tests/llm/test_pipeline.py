@@ -7,7 +7,7 @@ import pytest
 from pyspark.sql import functions as F
 
 import corpus_pipeline as pipeline
-from embedvocab.llm import mixing, packing, substring_dedup, toxicity
+from embedvocab.llm import mixing, packing, quality_knn, substring_dedup, toxicity
 from embedvocab.llm.common import written
 
 NAMES = ["doc_id", "text", "lang", "source", "n_chars"]
@@ -49,9 +49,9 @@ def test_near_copies_go(stages):
     before = {r.doc_id: shingles(r.text or "") for r in docs.collect()}
     kept = {r.doc_id for r in made.collect()}
     for i in kept:
-        assert not any(j in kept and j < i and jaccard(before[i], before[j]) >= 0.9 for j in before)
+        assert not any(j in kept and j < i and jaccard(before[i], before[j]) >= 0.8 for j in before)
     for i in set(before) - kept:
-        assert any(j != i and jaccard(before[i], before[j]) >= 0.4 for j in before), i
+        assert any(j != i and jaccard(before[i], before[j]) >= 0.8 for j in before), i
 
 
 def byte_shingles(text):
@@ -115,15 +115,35 @@ def test_repeats_go(stages):
     assert all(hashlib.sha256(" ".join((t or "").split()).encode()).hexdigest() == want[i][2] for i, t in got.items() if t.isascii())
 
 
-def test_mix_equals_the_query(stages):
+def test_mix_equals_the_query(spark, smoke, stages):
     _, docs, made = stages[3]
-    taken = {r.doc_id: r.taken for r in mixing.digest(docs).collect()}
+    scored = quality_knn.with_score(docs, quality_knn.fit(docs, spark.read.parquet(f"{smoke}/labels.parquet")), "score")
+    taken = {r.doc_id: r.taken for r in mixing.digest(scored, weight=F.greatest(F.lit(0.05), F.col("score"))).collect()}
     got: dict[int, int] = {}
     for r in made.collect():
         got[r.doc_id] = got.get(r.doc_id, 0) + len((r.text or "").encode().split())
     assert got == {i: n for i, n in taken.items() if n or i in got}
 
 
+def test_odd_rows_and_names(spark, smoke):
+    """Null ids and texts, ids that repeat, and columns named like those that the stages make."""
+    text = " ".join(f"w{i}" for i in range(60))
+    rows = [(5, text, "en", "a", 1), (5, "all other words than those " * 9, "en", "a", 1), (1, text + " more", "en", None, 1), (9, "z y x " * 30, None, "b", 1), (9, "z y x " * 30, None, "b", 1),
+            (None, None, None, None, None), (None, "no id " * 20, "en", "a", 1), (7, "", "en", "a", 0), (8, None, "en", "a", 0)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long")
+    for name in ("_near_id", "_id", "_hash", "_none", "node", "rest", "k", "_size", "_row", "score"):
+        docs = docs.withColumn(name, F.lit(3))
+    one = pipeline.drop_near_copies(spark, docs, smoke)
+    assert one.columns == docs.columns
+    # a text that shares an id with another stays; the nulls and the empty text are one group
+    assert sorted((r.doc_id, (r.text or "")[:3]) for r in one.filter("doc_id is not null").collect()) == [(1, "w0 "), (5, "all"), (7, ""), (9, "z y")]
+    assert one.filter("doc_id is null").count() == 1
+    for _, stage in pipeline.STAGES[:-1]:
+        made = stage(spark, docs, smoke)
+        assert made.columns == docs.columns and made.count() > 0
+    assert pipeline.pack_sequences(spark, docs, smoke).filter("doc_tokens = 1").count() == 3
+
+
 def test_every_token_is_packed(stages):
     _, docs, made = stages[4]
     coder = packing.token_ids()
@@ -137,8 +157,7 @@ def test_run_gives_the_last_stage(spark, smoke, stages):
     assert sorted(r.ids_crc32 for r in got.collect()) == sorted(r.ids_crc32 for r in stages[-1][2].collect())
 
 
-def test_empty_tables(spark):
-    random.seed(1)
+def test_empty_tables(spark, smoke):
     docs = spark.createDataFrame([], "doc_id long, text string, lang string, source string, n_chars long")
-    assert pipeline.drop_repeats(spark, docs, "").count() == 0 and pipeline.drop_near_copies(spark, docs, "").count() == 0
-    assert pipeline.mix_sources(spark, docs, "").count() == 0 and pipeline.pack_sequences(spark, docs, "").count() == 0
+    for _, stage in pipeline.STAGES:
+        assert stage(spark, docs, smoke).count() == 0

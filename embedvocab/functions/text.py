@@ -61,9 +61,11 @@ def drop_stopwords(words: DataFrame) -> DataFrame:
     return words.filter(~F.col("lemma").isin(STOPWORDS))
 
 
-def proper_nouns(docs: DataFrame, max_cap_share: float = 0.5, least: int = 1) -> DataFrame:
-    """(lemma): written with a capital in more than the share of its uses inside sentences."""
+def proper_nouns(docs: DataFrame, max_cap_share: float = 0.5, least: int = 1, among: DataFrame | None = None) -> DataFrame:
+    """(lemma): written with a capital in more than the share of its uses inside sentences; of the words (lemma) among which to look, a small table, or of all."""
     inside = docs.select(F.explode(sentences(F.col("text"))).alias("s")).select(F.explode(F.slice(F.regexp_extract_all("s", F.lit(r"\p{L}+"), F.lit(0)), F.lit(2), F.lit(1 << 30))).alias("w"))
+    if among is not None:
+        inside = inside.join(F.broadcast(among.select(F.col("lemma").alias("_l"))), F.lower("w") == F.col("_l"), "left_semi")
     counted = inside.groupBy(F.lower("w").alias("lemma")).agg(F.count(F.lit(1)).alias("n"), F.sum(F.when(F.col("w").rlike(r"^\p{Lu}"), 1).otherwise(0)).alias("caps"))
     return counted.filter((F.col("n") >= least) & (F.col("caps") > F.col("n") * max_cap_share)).select("lemma")
 
@@ -71,9 +73,12 @@ def proper_nouns(docs: DataFrame, max_cap_share: float = 0.5, least: int = 1) ->
 def cognates(lemmas: DataFrame, other: DataFrame, max_sim: float = 0.6) -> DataFrame:
     """(lemma) of those nearer to a word of the other vocabulary than the similarity; both have ``lemma``.
 
-    Candidates share their first two folded letters and differ by at most two letters in length.
+    The edits that make two words too different bound the difference of their lengths, so words are compared within all lengths
+    that can be near; no pair that is near is left out. Both sides are the top of a vocabulary, hundreds of words.
     """
-    own = lemmas.select("lemma", fold(F.col("lemma")).alias("f")).withColumn("p", F.substring("f", 1, 2))
-    theirs = other.select(fold(F.col("lemma")).alias("g")).distinct().withColumn("p", F.substring("g", 1, 2)).withColumn("len", F.explode(F.transform(F.array(*map(F.lit, range(-2, 3))), lambda d: F.length("g") + d)))
-    near = own.withColumn("len", F.length("f")).join(theirs, ["p", "len"])
+    own = lemmas.select("lemma", fold(F.col("lemma")).alias("f"))
+    theirs = other.select(fold(F.col("lemma")).alias("g")).distinct().withColumn("len", F.length("g"))
+    # levenshtein >= |difference of lengths|, and must be less than (1 - max_sim) times the longer length
+    reach = F.ceil(F.length("f") / F.lit(max_sim)).cast("int")
+    near = own.withColumn("len", F.explode(F.sequence(F.floor(F.length("f") * F.lit(max_sim)).cast("int"), reach))).join(theirs, "len")
     return near.filter(F.levenshtein("f", "g") < (1 - max_sim) * F.greatest(F.length("f"), F.length("g"))).select("lemma").distinct()

@@ -5,7 +5,7 @@ from __future__ import annotations
 from collections.abc import Callable, Iterator
 
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from embedvocab.functions import rng
@@ -26,24 +26,31 @@ def bigrams(runs: DataFrame, least: int = 1) -> DataFrame:
 
 
 class NgramModel:
-    """Counts of one to three words, interpolated or backed off; contexts unseen in training fall to the shorter ones."""
+    """Counts of one to three words, interpolated or backed off; contexts unseen in training fall to the shorter ones.
+
+    Everything is counted and joined by distinct runs of words, whose counts are added up before they are sent; the text itself takes
+    part in one join only, on whole runs, of which none is nearly as common as a common word.
+    """
 
     def __init__(self, runs: DataFrame, lambdas: tuple[float, float, float] = (0.5, 0.3, 0.2), smoothing: str = "interpolated", discount: float = 0.75):
         self.lambdas, self.smoothing, self.discount = lambdas, smoothing, discount
-        self.uni = runs.groupBy("w").agg(F.count(F.lit(1)).alias("n_w"))
+        types = runs.groupBy("a", "b", "w").agg(F.count(F.lit(1)).alias("n_abw"))
+        self.uni = types.groupBy("w").agg(F.sum("n_abw").alias("n_w"))
         self.total = self.uni.agg(F.sum("n_w").alias("n_all"))
-        bi = runs.filter("b is not null").groupBy("b", "w").agg(F.count(F.lit(1)).alias("n_bw"))
-        self.bi = bi.join(bi.groupBy("b").agg(F.sum("n_bw").alias("n_b"), F.count(F.lit(1)).alias("d_b")), "b")
-        tri = runs.filter("a is not null").groupBy("a", "b", "w").agg(F.count(F.lit(1)).alias("n_abw"))
-        self.tri = tri.join(tri.groupBy("a", "b").agg(F.sum("n_abw").alias("n_ab")), ["a", "b"])
+        bi = types.filter("b is not null").groupBy("b", "w").agg(F.sum("n_abw").alias("n_bw"), F.count("a").alias("c_bw"))
+        by_b = bi.groupBy("b").agg(F.sum("n_bw").alias("n_b"), F.count(F.lit(1)).alias("d_b"), F.sum("c_bw").alias("c_b"), F.sum(F.when(F.col("c_bw") > 0, 1).otherwise(0)).alias("e_b"))
+        self.bi, self.by_b = bi, by_b
+        self.tri = types.filter("a is not null")
+        self.by_ab = self.tri.groupBy("a", "b").agg(F.sum("n_abw").alias("n_ab"), F.count(F.lit(1)).alias("d_ab"))
         # how many words a word follows: what continuation estimates count
         self.cont = bi.groupBy("w").agg(F.count(F.lit(1)).alias("c_w"))
         self.pairs = bi.agg(F.count(F.lit(1)).alias("c_all"))
 
     def score(self, runs: DataFrame) -> DataFrame:
         """runs with g, the probability of each word given what is left of it."""
-        rows = runs.join(self.uni, "w", "left").crossJoin(F.broadcast(self.total))
-        rows = rows.join(self.bi, ["b", "w"], "left").join(self.tri, ["a", "b", "w"], "left")
+        types = runs.select("a", "b", "w").distinct()
+        types = types.join(self.uni, "w", "left").crossJoin(F.broadcast(self.total))
+        types = types.join(self.bi, ["b", "w"], "left").join(self.by_b, "b", "left").join(self.tri, ["a", "b", "w"], "left").join(self.by_ab, ["a", "b"], "left")
         zero = lambda c: F.coalesce(c, F.lit(0.0))
         p1, p2, p3 = zero(F.col("n_w") / F.col("n_all")), zero(F.col("n_bw") / F.col("n_b")), zero(F.col("n_abw") / F.col("n_ab"))
         if self.smoothing == "interpolated":
@@ -51,26 +58,46 @@ class NgramModel:
             g = x3 * p3 + x2 * p2 + x1 * p1
         elif self.smoothing == "stupid_backoff":
             g = F.when(p3 > 0, p3).when(p2 > 0, 0.4 * p2).otherwise(0.16 * p1)
-        elif self.smoothing == "kneser_ney":
-            contexts = self.bi.select("b", F.col("n_b").alias("k_n"), F.col("d_b").alias("k_d")).distinct()
-            rows = rows.join(self.cont, "w", "left").crossJoin(F.broadcast(self.pairs)).join(contexts, "b", "left")
+        elif self.smoothing in ("kneser_ney", "kneser_ney_3"):
+            types = types.join(self.cont, "w", "left").crossJoin(F.broadcast(self.pairs))
             low = zero(F.col("c_w") / F.col("c_all"))
-            g = F.when(F.col("k_n").isNull(), low).otherwise(F.greatest(zero(F.col("n_bw").cast("double")) - self.discount, F.lit(0.0)) / F.col("k_n") + self.discount * F.col("k_d") / F.col("k_n") * low)
+
+            def discounted(count: str, total: str, distinct: str, lower: Column) -> Column:
+                rest = self.discount * F.col(distinct) / F.col(total) * lower
+                return F.when(F.coalesce(F.col(total), F.lit(0)) == 0, lower).otherwise(F.greatest(zero(F.col(count).cast("double")) - self.discount, F.lit(0.0)) / F.col(total) + rest)
+
+            # of two words the plain counts, or how many words the pair follows if three are in use
+            g = discounted("n_bw", "n_b", "d_b", low) if self.smoothing == "kneser_ney" else discounted("n_abw", "n_ab", "d_ab", discounted("c_bw", "c_b", "e_b", low))
         else:
             raise ValueError(f"no smoothing {self.smoothing}")
-        return rows.select(*runs.columns, g.alias("g"))
+        found = types.select(*(F.col(c).alias(f"_{c}") for c in "abw"), g.alias("g"))
+        same = F.col("a").eqNullSafe(F.col("_a")) & F.col("b").eqNullSafe(F.col("_b")) & (F.col("w") == F.col("_w"))
+        return runs.join(found, same).select(*runs.columns, "g")
+
+
+def held_out(runs: DataFrame, folds: int = 2, smoothing: str = "kneser_ney_3") -> DataFrame:
+    """(fold, words, unknown, bits): each fold of documents scored by the model of the others; mean bits of the words they know."""
+    rows = runs.withColumn("fold", F.col("doc_id") % folds)
+    out = None
+    for fold in range(folds):
+        model = NgramModel(rows.filter(F.col("fold") != fold).drop("fold"), smoothing=smoothing)
+        known = F.when(F.col("g") > 0, -F.log2("g"))
+        scored = model.score(rows.filter(F.col("fold") == fold)).agg(F.lit(fold).alias("fold"), F.count(F.lit(1)).alias("words"), (F.count(F.lit(1)) - F.count(known)).alias("unknown"), F.avg(known).alias("bits"))
+        out = scored if out is None else out.unionByName(scored)
+    return out
 
 
 def frequency_scores(runs: DataFrame, scope: str = "corpus") -> DataFrame:
-    """runs with g from counts alone: the word's share of the corpus, of its text, or the mean of both."""
-    corpus = runs.groupBy("w").agg(F.count(F.lit(1)).alias("_c")).crossJoin(F.broadcast(runs.agg(F.count(F.lit(1)).alias("_n"))))
-    out = runs.join(corpus, "w")
-    if scope != "corpus":
-        doc = runs.groupBy("doc_id", "w").agg(F.count(F.lit(1)).alias("_d"))
-        size = runs.groupBy("doc_id").agg(F.count(F.lit(1)).alias("_s"))
-        out = out.join(doc, ["doc_id", "w"]).join(size, "doc_id")
+    """runs with g from counts alone: the word's share of the corpus, of its text, or the mean of both.
+
+    Counts of a text's words are joined with the corpus, and the text's words with these, so no join key is as common as a word.
+    """
+    doc = runs.groupBy("doc_id", "w").agg(F.count(F.lit(1)).alias("_d"))
+    own = doc.withColumn("_s", F.sum("_d").over(Window.partitionBy("doc_id")))
+    corpus = doc.groupBy("w").agg(F.sum("_d").alias("_c")).crossJoin(F.broadcast(doc.agg(F.sum("_d").alias("_n"))))
+    out = own.join(corpus, "w")
     share = {"corpus": lambda: F.col("_c") / F.col("_n"), "text": lambda: F.col("_d") / F.col("_s"), "both": lambda: (F.col("_c") / F.col("_n") + F.col("_d") / F.col("_s")) / 2}[scope]()
-    return out.select(*runs.columns, share.alias("g"))
+    return runs.join(out.select("doc_id", "w", share.alias("g")), ["doc_id", "w"]).select(*runs.columns, "g")
 
 
 def random_scores(runs: DataFrame, seed: int = 42) -> DataFrame:

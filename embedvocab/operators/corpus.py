@@ -11,8 +11,8 @@ from pyspark.sql import functions as F
 
 from embedvocab.functions import text as txt
 
-#: Documents of a block.
-BLOCK = 4096
+#: Documents of a block while words are numbered, and words of a block once they are.
+BLOCK, WORDS = 4096, 1 << 20
 
 
 def running_total(df: DataFrame, by: list[str], order: list[str], value: str, block: Column, out: str = "before") -> DataFrame:
@@ -42,5 +42,6 @@ def number_words(docs: DataFrame, order: list[str] | None = None, block: Column
 
 
 def occurrences(words: DataFrame) -> DataFrame:
-    """(corpus_id, lemma, block, at): sorted positions of each lemma in each block; bounded, however common the lemma."""
-    return words.groupBy("corpus_id", "lemma", "block").agg(F.sort_array(F.collect_list("pos")).alias("at"))
+    """(corpus_id, lemma, block, at): sorted positions of each lemma in each block of positions; bounded, however common the lemma and however long a document."""
+    placed = words.withColumn("block", F.floor(F.col("pos") / WORDS))
+    return placed.groupBy("corpus_id", "lemma", "block").agg(F.sort_array(F.collect_list("pos")).alias("at"))

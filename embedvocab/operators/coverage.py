@@ -24,9 +24,15 @@ def ranks(freqs: DataFrame) -> DataFrame:
     sizes = (sizes.withColumn("_rank", F.coalesce(F.sum("_lemmas").over(above), F.lit(0)))
              .withColumn("_before", F.coalesce(F.sum(F.col("n") * F.col("_lemmas")).over(above), F.lit(0)))
              .withColumn("total", F.sum(F.col("n") * F.col("_lemmas")).over(whole)).drop("_lemmas"))
-    tie = F.row_number().over(Window.partitionBy("corpus_id", "n").orderBy("lemma")) - 1
-    return freqs.withColumn("_tie", tie).join(sizes, ["corpus_id", "n"]).select(
-        "corpus_id", "lemma", "n", (F.col("_rank") + F.col("_tie") + 1).alias("rank"), (F.col("_before") + F.col("n") * F.col("_tie")).alias("before"), "total")
+    # lemmas that occur equally often, half of a vocabulary once, are ordered in slices by a lemma's first two letters: no task sees them all
+    rows = freqs.withColumn("_slice", F.substring("lemma", 1, 2))
+    within = F.row_number().over(Window.partitionBy("corpus_id", "n", "_slice").orderBy("lemma")) - 1
+    slices = rows.groupBy("corpus_id", "n", "_slice").agg(F.count(F.lit(1)).alias("_k"))
+    ahead = Window.partitionBy("corpus_id", "n").orderBy("_slice").rowsBetween(Window.unboundedPreceding, -1)
+    offsets = slices.withColumn("_offset", F.coalesce(F.sum("_k").over(ahead), F.lit(0))).drop("_k")
+    tie = F.col("_offset") + F.col("_within")
+    return rows.withColumn("_within", within).join(offsets, ["corpus_id", "n", "_slice"]).join(sizes, ["corpus_id", "n"]).select(
+        "corpus_id", "lemma", "n", (F.col("_rank") + tie + 1).alias("rank"), (F.col("_before") + F.col("n") * tie).alias("before"), "total")
 
 
 def covers(alpha: float) -> F.Column:

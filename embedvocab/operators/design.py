@@ -4,11 +4,12 @@ from __future__ import annotations
 
 from itertools import permutations
 
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from embedvocab.functions import rng
 from embedvocab.functions import text as txt
+from embedvocab.operators import context
 
 CONDITIONS = ("embedded", "pre_table", "post_table")
 PICK, GROUPS, PER_WORD = 78, 3, 7
@@ -20,7 +21,9 @@ def word_pool(docs: DataFrame, vocab: DataFrame, base: str = "en", top: int = 50
     vocab is (corpus_id, lemma, n, rank) of the base language and the others, docs the texts of the base language.
     """
     own = vocab.filter((F.col("corpus_id") == base) & (F.col("rank") <= top)).select("lemma", "n")
-    own = txt.drop_stopwords(own).filter(F.length("lemma") >= 3).join(F.broadcast(txt.proper_nouns(docs)), "lemma", "left_anti")
+    own = txt.drop_stopwords(own).filter(F.length("lemma") >= 3)
+    # at most ``top`` lemmas, and so are the names among them
+    own = own.join(F.broadcast(txt.proper_nouns(docs, among=own)), "lemma", "left_anti")
     near = txt.cognates(own, vocab.filter((F.col("corpus_id") != base) & (F.col("rank") <= top)))
     left = own.join(near, "lemma", "left_anti")
     # at most 500 lemmas, so the order's window is small
@@ -106,6 +109,33 @@ def cover(pool: DataFrame, words: DataFrame, quota: int = PER_WORD, max_snippets
     return spark.createDataFrame(chosen, "wgroup int, round int, doc_id long, gain long")
 
 
+def instances(scored: DataFrame, groups: DataFrame, per_word: int = PER_WORD) -> DataFrame:
+    """(wgroup, arm, lemma, doc_id, pos, g, rank): the uses of each word that the embedded section shows, easy contexts for one arm, random ones for the other.
+
+    A group of 26 words has 182 of them, which every participant who learns the group in this section reads.
+    """
+    picked = None
+    for arm in ("easy", "random"):
+        words = groups.filter(F.col("arm") == arm).select("wgroup", "arm", F.col("lemma").alias("_l"))
+        rows = context.pick_contexts(scored, words.select(F.col("_l").alias("lemma")), per_word, arm).join(F.broadcast(words), F.col("lemma") == F.col("_l")).drop("_l")
+        picked = rows if picked is None else picked.unionByName(rows)
+    return picked.select("wgroup", "arm", "lemma", "doc_id", "pos", "g", "rank")
+
+
+def sections(groups: DataFrame, table: DataFrame) -> DataFrame:
+    """(participant, section, condition, wgroup): the embedded section lies between the two tables, which takes the first and the last place from it."""
+    place = F.when(F.col("condition") == "pre_table", 1).when(F.col("condition") == "embedded", 2).otherwise(3)
+    return groups.join(F.broadcast(table), "pgroup").select("participant", place.alias("section"), "condition", "wgroup")
+
+
+def study_pages(chosen: DataFrame, pool: DataFrame, per_page: int = 10, control: int = 5) -> DataFrame:
+    """(wgroup, page, doc_id, treated): each group's snippets, so many a page, then one page of unaltered ones that none of the groups has."""
+    unaltered = control_page(pool.join(chosen.select("doc_id"), "doc_id", "left_anti"), control)
+    pages = paginate(chosen, per_page).withColumn("treated", F.lit(True))
+    last = pages.groupBy("wgroup").agg((F.max("page") + 1).alias("page"))
+    return pages.select("wgroup", "page", "doc_id", "treated").unionByName(last.crossJoin(F.broadcast(unaltered.select("doc_id"))).select("wgroup", "page", "doc_id", F.lit(False).alias("treated")))
+
+
 def paginate(chosen: DataFrame, per_page: int = 10, seed: int = 42) -> DataFrame:
     """(wgroup, doc_id, page): snippets in a fixed random order, so many a page."""
     turn = F.row_number().over(Window.partitionBy("wgroup").orderBy(rng.order(seed, F.col("doc_id")), "doc_id"))
@@ -135,6 +165,17 @@ def ftg_items(all_cells: DataFrame, share: float = 1 / 3, seed: int = 42) -> Dat
     return all_cells.withColumn("_r", rank).withColumn("_n", F.count(F.lit(1)).over(own)).filter(F.col("_r") <= F.floor(F.col("_n") * share + 1e-9)).select("participant", "word")
 
 
+def reverse_items(items: DataFrame, lexicon: DataFrame, words: DataFrame) -> DataFrame:
+    """(participant, word, prompt, slot, option, is_answer): the same items asked the other way round: a base word is shown, its translation is looked for.
+
+    items are of mc_items(); words (word, lemma) and lexicon (lemma, target) name the numbers. Words without a translation are not asked.
+    """
+    named = words.join(lexicon.select("lemma", "target"), "lemma").select("word", "lemma", "target")
+    asked = items.join(F.broadcast(named.select("word", F.col("lemma").alias("prompt"))), "word")
+    texts = asked.join(F.broadcast(named.select(F.col("word").cast("string").alias("_w"), F.col("target").alias("_t"))), F.col("option") == F.col("_w"), "left")
+    return texts.select("participant", "word", "prompt", "slot", F.coalesce("_t", "option").alias("option"), "is_answer")
+
+
 def retest(items: DataFrame, seed: int = 44) -> DataFrame:
     """The same items with their order drawn anew; slot 0 stays."""
     slot = F.row_number().over(Window.partitionBy("participant", "word").orderBy((F.col("slot") != 0).cast("int"), rng.order(seed, F.col("participant"), F.col("word"), F.col("option")), "option")) - 1
@@ -148,12 +189,12 @@ def overhead_time(page_times: DataFrame) -> DataFrame:
     return per.select("participant", (F.col("_tm") - F.col("_tw") * F.col("_cm") / F.col("_cw")).alias("delta_minutes"))
 
 
-def describe(people: DataFrame, number: str, category: str) -> DataFrame:
-    """(attribute, value, n, share, mean, sd): the number's mean and spread, and each category's share."""
+def describe(people: DataFrame, number: str, categories: list[str]) -> DataFrame:
+    """(attribute, value, n, share, mean, sd): the number's mean and spread, and the share of each value of each category."""
     total = people.agg(F.count(F.lit(1)).alias("_t"))
-    numeric = people.agg(F.count(number).alias("n"), F.avg(number).alias("mean"), F.stddev_samp(number).alias("sd")).select(
+    out = people.agg(F.count(number).alias("n"), F.avg(number).alias("mean"), F.stddev_samp(number).alias("sd")).select(
         F.lit(number).alias("attribute"), F.lit("all").alias("value"), "n", F.lit(1.0).alias("share"), "mean", "sd")
-    shares: Column = F.col("n") / F.col("_t")
-    each = people.groupBy(F.col(category).alias("value")).agg(F.count(F.lit(1)).alias("n")).crossJoin(F.broadcast(total)).select(
-        F.lit(category).alias("attribute"), "value", "n", shares.alias("share"), F.lit(None).cast("double").alias("mean"), F.lit(None).cast("double").alias("sd"))
-    return numeric.unionByName(each)
+    values = people.select(F.explode(F.array(*(F.struct(F.lit(c).alias("attribute"), F.col(c).cast("string").alias("value")) for c in categories))).alias("x")).select("x.*")
+    each = values.groupBy("attribute", "value").agg(F.count(F.lit(1)).alias("n")).crossJoin(F.broadcast(total)).select(
+        "attribute", "value", "n", (F.col("n") / F.col("_t")).alias("share"), F.lit(None).cast("double").alias("mean"), F.lit(None).cast("double").alias("sd"))
+    return out.unionByName(each)

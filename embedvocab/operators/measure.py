@@ -6,7 +6,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from embedvocab.functions import stats
-
+from embedvocab.functions import text as txt
 
 
 def correct() -> Column:
@@ -45,9 +45,10 @@ def within(answers: DataFrame, unit: str, by: list[str]) -> DataFrame:
 
 
 def grade_gaps(given: DataFrame, keys: DataFrame, synonyms: DataFrame, max_edit: int = 1) -> DataFrame:
-    """given (item, answer) with the outcome: right if it is the key, a synonym of it, or within so many edits of either."""
+    """given (item, answer) with the outcome: right if it is the key or a synonym, inflected or not, or within so many edits of either."""
     right = keys.select("item", F.lower("key").alias("_k")).unionByName(keys.join(synonyms, F.lower(keys["key"]) == F.lower(synonyms["word"])).select("item", F.lower("synonym").alias("_k")))
-    near = given.join(right, "item", "left").withColumn("_ok", F.levenshtein(F.lower(F.trim("answer")), F.col("_k")) <= max_edit)
+    said, stem = F.lower(F.trim("answer")), lambda c: txt.lemmatize(c, "s_stem")
+    near = given.join(right, "item", "left").withColumn("_ok", (stem(said) == stem(F.col("_k"))) | (F.levenshtein(said, F.col("_k")) <= max_edit))
     empty = F.coalesce(F.trim("answer"), F.lit("")) == ""
     return near.groupBy("item", "answer").agg(F.max(F.coalesce("_ok", F.lit(False))).alias("_ok")).select("item", "answer", F.when(empty, "unknown").when(F.col("_ok"), "correct").otherwise("incorrect").alias("outcome"))
 

@@ -38,14 +38,15 @@ def histogram(gap_rows: DataFrame) -> DataFrame:
     return gap_rows.groupBy("corpus_id", "lemma", "gap").agg(F.count(F.lit(1)).alias("count"))
 
 
-def per_lemma(hist: DataFrame, q: float = 0.9, estimator: str = "exact", wpm: float = WPM, hours: float = HOURS) -> DataFrame:
-    """(corpus_id, lemma, gaps, days): a percentile of each lemma's gaps, exact from counts or by a KLL sketch."""
-    by = hist.groupBy("corpus_id", "lemma")
-    if estimator == "exact":
-        out = by.agg(F.sum("count").alias("gaps"), F.percentile("gap", q, F.col("count")).alias("_q"))
-    else:
-        rows = hist.select("corpus_id", "lemma", F.explode(F.array_repeat("gap", F.col("count").cast("int"))).alias("gap"))
-        out = rows.groupBy("corpus_id", "lemma").agg(F.count("gap").alias("gaps"), F.kll_sketch_get_quantile_bigint(F.kll_sketch_agg_bigint("gap"), F.lit(q)).cast("double").alias("_q"))
+def per_lemma(hist: DataFrame, q: float = 0.9, wpm: float = WPM, hours: float = HOURS) -> DataFrame:
+    """(corpus_id, lemma, gaps, days): the exact percentile of each lemma's gaps, from counts."""
+    out = hist.groupBy("corpus_id", "lemma").agg(F.sum("count").alias("gaps"), F.percentile("gap", q, F.col("count")).alias("_q"))
+    return out.select("corpus_id", "lemma", "gaps", to_days(F.col("_q"), wpm, hours).alias("days"))
+
+
+def per_lemma_sketched(gap_rows: DataFrame, q: float = 0.9, wpm: float = WPM, hours: float = HOURS) -> DataFrame:
+    """The same from the gaps themselves by KLL sketches, which are small however many distinct gaps there are, with a bounded error of rank."""
+    out = gap_rows.groupBy("corpus_id", "lemma").agg(F.count("gap").alias("gaps"), F.kll_sketch_get_quantile_bigint(F.kll_sketch_agg_bigint("gap"), F.lit(q)).cast("double").alias("_q"))
     return out.select("corpus_id", "lemma", "gaps", to_days(F.col("_q"), wpm, hours).alias("days"))
 
 
@@ -56,11 +57,14 @@ def per_corpus(days: DataFrame, ranked: DataFrame, alphas: tuple[float, ...], q:
     return grid.groupBy("corpus_id", "alpha").agg(F.count(F.lit(1)).alias("vocab"), F.count("days").alias("lemmas_with_gap"), F.percentile("days", q).alias("revisit_days"))
 
 
-def analyse(found: DataFrame, alphas: tuple[float, ...], q: float = 0.9, wpm: float = WPM, hours: float = HOURS) -> DataFrame:
-    """per_corpus of occurrences(), with gaps computed for the largest lemma set only."""
+def analyse(found: DataFrame, alphas: tuple[float, ...], q: float = 0.9, wpm: float = WPM, hours: float = HOURS, estimator: str = "exact") -> DataFrame:
+    """per_corpus of occurrences(), with gaps computed for the largest lemma set only; ``kll`` sketches the lemmas' percentiles."""
+    if estimator not in ("exact", "kll"):
+        raise ValueError(f"no estimator {estimator}")
     ranked = coverage.ranks(coverage.frequencies(found))
     kept = found.join(coverage.lemma_set(ranked, max(alphas)).select("corpus_id", "lemma"), ["corpus_id", "lemma"], "left_semi")
-    return per_corpus(per_lemma(histogram(gaps(kept)), q, wpm=wpm, hours=hours), ranked, alphas, q)
+    days = per_lemma(histogram(gaps(kept)), q, wpm, hours) if estimator == "exact" else per_lemma_sketched(gaps(kept), q, wpm, hours)
+    return per_corpus(days, ranked, alphas, q)
 
 
 def summary(df: DataFrame, value: str, by: list[str] | None = None) -> DataFrame:

@@ -21,7 +21,7 @@ def sentence_rows(docs: DataFrame) -> DataFrame:
 
 
 def lexicon(vocab: DataFrame, base: str = "en", target: str = "de") -> DataFrame:
-    """(lemma, target_lang, sense, target, cues) of ranked lemmas of several corpora: words of equal rank translate each other.
+    """(lemma, rank, target_lang, sense, target, cues) of ranked lemmas of several corpora: words of equal rank translate each other.
 
     The second sense is the next rank's word. Cues of a sense are the base words of the ranks after it.
     """
@@ -29,7 +29,7 @@ def lexicon(vocab: DataFrame, base: str = "en", target: str = "de") -> DataFrame
     senses = own.withColumn("sense", F.explode(F.array(F.lit(1), F.lit(2)))).withColumn("_r", F.col("rank") + F.col("sense") - 1).join(other, "_r")
     cues = own.select((F.explode(F.sequence(F.col("rank") - 10, F.col("rank") - 1))).alias("_of"), F.col("rank").alias("_cr"), F.col("lemma").alias("cue"))
     near = cues.withColumn("sense", F.when(F.col("_cr") - F.col("_of") <= 5, 1).otherwise(2)).groupBy("_of", "sense").agg(F.array_sort(F.collect_list("cue")).alias("cues"))
-    return senses.join(near, (F.col("rank") == F.col("_of")) & (senses["sense"] == near["sense"]), "left").select("lemma", F.lit(target).alias("target_lang"), senses["sense"], "target", F.coalesce("cues", F.array().cast("array<string>")).alias("cues"))
+    return senses.join(near, (F.col("rank") == F.col("_of")) & (senses["sense"] == near["sense"]), "left").select("lemma", "rank", F.lit(target).alias("target_lang"), senses["sense"], "target", F.coalesce("cues", F.array().cast("array<string>")).alias("cues"))
 
 
 def reverse(lex: DataFrame) -> DataFrame:
@@ -47,6 +47,10 @@ class LexiconBackend:
     def __init__(self, lex: DataFrame, senses: bool = False):
         self.lex, self.senses = lex if senses else lex.filter("sense = 1"), senses
 
+    def known(self) -> DataFrame:
+        """(lemma) of the words that have a translation."""
+        return self.lex.select("lemma").distinct()
+
     def translate(self, sentences: DataFrame) -> DataFrame:
         each = sentences.select("sent_key", "words", F.posexplode("words").alias("i", "_w"))
         found = each.join(self.lex.select("lemma", "sense", "target", "cues"), F.col("_w") == F.col("lemma"), "left")

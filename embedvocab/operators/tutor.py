@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from embedvocab.functions import rng
 from embedvocab.functions.memory import Boost, boost, due_after, recall
 
 DAY = 86_400_000_000.0
@@ -71,6 +72,17 @@ def state_asof(states: DataFrame, reads: DataFrame) -> DataFrame:
     return seen.select("event_id", *KEY, t.alias("t_days"), F.coalesce(recall(t, F.col("_h")), F.lit(0.0)).alias("r"), F.col("_h").alias("half_life"))
 
 
+def quiz_items(asked: DataFrame, options: int = 5, seed: int = 42) -> DataFrame:
+    """(event_id, user_id, lemma_id, ts, slot): a small quiz on each word asked; the slot that holds its meaning is drawn."""
+    slot = 1 + F.floor(rng.uniform(seed, F.lit("quiz"), F.col("event_id")) * options)
+    return asked.select("event_id", *KEY, "ts", slot.cast("int").alias("slot"))
+
+
+def quiz_feedback(items: DataFrame, picked: Column) -> DataFrame:
+    """(event_id, user_id, lemma_id, ts, success): answered quizzes as explicit feedback for replay()."""
+    return items.select("event_id", *KEY, "ts", (picked == F.col("slot")).alias("success"))
+
+
 def recall_now(states: DataFrame, now: Column, p: Boost = Boost(), target: float = 0.9) -> DataFrame:
     """(user_id, lemma_id, r, gamma, due_day) of replay() at a day."""
     r = recall(now - F.col("last_day"), F.col("half_life"))

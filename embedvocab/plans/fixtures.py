@@ -12,7 +12,7 @@ from embedvocab.sources.tables import exposures, table
 
 ALPHAS = (0.5, 0.6, 0.7, 0.8, 0.9)
 #: Words after which a simulated session ends.
-LIMITS = (100, 1000, 10000)
+LIMITS = (100, 1000, 10000, 100000)
 PARTICIPANTS, BOOK_WORDS = 58, 1000
 
 
@@ -35,6 +35,30 @@ def vocabulary(spark: SparkSession, sf_dir: str) -> DataFrame:
     return coverage.ranks(counts).select("corpus_id", "lemma", "n", "rank")
 
 
+def form_dictionary(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(word, lemma): English forms whose stem occurs as a word by itself."""
+    words = english_words(spark, sf_dir).select(F.explode("words").alias("word")).distinct()
+    stemmed = words.withColumn("lemma", txt.lemmatize(F.col("word"), "s_stem")).filter("word <> lemma")
+    return stemmed.join(words.select(F.col("word").alias("lemma")), "lemma", "left_semi").select("word", "lemma")
+
+
+def gap_answers(pool: DataFrame, vocab: DataFrame) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """Answers (item, answer), keys (item, key) and synonyms (word, synonym) over the word pool.
+
+    In turn an answer is the key, its plural, the key with its second letter twice, its synonym, the next key, blank, or nothing. The
+    synonym of a key is the English word of twice its rank plus 500.
+    """
+    keys = pool.select((F.col("rank") - 1).cast("int").alias("item"), F.col("lemma").alias("key"))
+    others = vocab.filter("corpus_id = 'en'").select(F.col("rank").alias("_r"), F.col("lemma").alias("synonym"))
+    synonyms = keys.withColumn("_r", F.col("item") * 2 + 502).join(others, "_r").select(F.col("key").alias("word"), "synonym")
+    after = keys.select((F.col("item") - 1).alias("item"), F.col("key").alias("_next"))
+    rows = keys.join(after, "item", "left").join(synonyms, F.col("key") == F.col("word"), "left")
+    doubled = F.concat(F.substring("key", 1, 2), F.col("key").substr(F.lit(2), F.length("key")))
+    kinds = [F.initcap("key"), F.concat("key", F.lit("s")), doubled, F.col("synonym"), F.col("_next"), F.lit("  "), F.lit(None).cast("string")]
+    answer = F.element_at(F.array(*kinds), (F.col("item") % len(kinds) + 1).cast("int"))
+    return rows.select("item", answer.alias("answer")), keys, synonyms
+
+
 def books(spark: SparkSession, sf_dir: str) -> DataFrame:
     """(corpus_id, author, doc_id, words): English documents long enough to count as books, each its own corpus."""
     docs = english(spark, sf_dir).select(F.col("doc_id").alias("corpus_id"), F.col("source").alias("author"), "doc_id", txt.tokenize(F.col("text")).alias("words"))
@@ -50,23 +74,22 @@ def page_words(spark: SparkSession, sf_dir: str) -> DataFrame:
     return table(spark, sf_dir, "pages").select(F.col("page_id").cast("int").alias("u"), txt.tokenize(txt.article_text(F.col("html"))).alias("words"))
 
 
-def browsing(spark: SparkSession, sf_dir: str, limits: tuple[int, ...] = LIMITS) -> DataFrame:
-    """(corpus_id, s, w, step, u, n): one corpus of sessions for each limit, as many words as 800 a page in all."""
+def browsing(spark: SparkSession, sf_dir: str, limits: tuple[int, ...] = LIMITS, total: int | None = None) -> DataFrame:
+    """(corpus_id, s, w, step, u, n): one corpus of sessions for each limit, of as many words as 800 a page in all (two million over 2,500 pages) or the total."""
     pages = page_count(spark, sf_dir)
-    total = 800 * pages
-    edges = browse.click_edges(exposures(spark, sf_dir), pages)
-    plan = spark.createDataFrame([(n, total // n + 20, n // 100 + 20) for n in limits], "corpus_id int, sessions int, walks int")
-    wanted = plan.select("corpus_id", "walks", F.explode(F.sequence(F.lit(0), F.col("sessions") - 1)).alias("s"))
-    begun = browse.draw_starts(wanted, browse.starts(edges)).select("corpus_id", "s", F.explode(F.sequence(F.lit(0), F.col("walks") - 1)).alias("w"), "u")
-    walked = browse.walks(begun, browse.transitions(edges))
     lengths = page_words(spark, sf_dir).select("u", F.size("words").alias("n"))
-    return browse.corpus(browse.sessions(walked, lengths), total)
+    return browse.browse(browse.click_edges(exposures(spark, sf_dir), pages), lengths, limits, 800 * pages if total is None else total)
 
 
 def browsing_words(spark: SparkSession, sf_dir: str, limits: tuple[int, ...] = LIMITS) -> DataFrame:
     """(corpus_id, block, doc_id, pos, lemma) of the browsed corpora."""
-    read = browsing(spark, sf_dir, limits).join(page_words(spark, sf_dir), "u")
-    return corpus.number_words(read.withColumnRenamed("s", "doc_id"), ["doc_id", "w", "step"], F.floor(F.col("doc_id") / 256))
+    return words_read(spark, sf_dir, browsing(spark, sf_dir, limits))
+
+
+def words_read(spark: SparkSession, sf_dir: str, read: DataFrame, method: str = "identity") -> DataFrame:
+    """The words of browsed pages as positions, lemmatized by the method."""
+    words = page_words(spark, sf_dir).withColumn("words", F.transform("words", lambda w: txt.lemmatize(w, method)))
+    return corpus.number_words(read.join(words, "u").withColumnRenamed("s", "doc_id"), ["doc_id", "w", "step"], F.floor(F.col("doc_id") / 256))
 
 
 def reader_states(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame]:
@@ -146,8 +169,7 @@ def cell_clicks(spark: SparkSession, sf_dir: str) -> DataFrame:
 def page_times(spark: SparkSession, sf_dir: str) -> DataFrame:
     """(participant, words, minutes, treated): views are untreated pages, clicks treated ones."""
     pages = page_count(spark, sf_dir)
-    state = ((F.col("user_id") % max(1, pages // 100)) * 100 + F.col("lemma_id") % min(100, pages)).cast("int")
-    e = exposures(spark, sf_dir).filter("event_type in ('view', 'click') and value > 0").select((F.col("user_id") % PARTICIPANTS).cast("int").alias("participant"), state.alias("u"), (F.col("value") / 60).alias("minutes"), (F.col("event_type") == "click").alias("treated"))
+    e = exposures(spark, sf_dir).filter("event_type in ('view', 'click') and value > 0").select((F.col("user_id") % PARTICIPANTS).cast("int").alias("participant"), browse.page_state(pages).alias("u"), (F.col("value") / 60).alias("minutes"), (F.col("event_type") == "click").alias("treated"))
     return e.join(page_words(spark, sf_dir).select("u", F.size("words").alias("words")), "u").select("participant", "words", "minutes", "treated")
 
 
@@ -163,7 +185,7 @@ def guess_rows(spark: SparkSession, sf_dir: str) -> DataFrame:
     marked = table(spark, sf_dir, "labels").select("doc_id", F.col("quality").cast("double").alias("y"))
     counts = docs.select(F.explode("words").alias("lemma")).groupBy("lemma").agg(F.count(F.lit(1)).alias("n"))
     best = Window.partitionBy("doc_id").orderBy(rng.order(42, F.col("doc_id"), F.col("pos")), "pos")
-    picked = bigram_scores(docs).join(F.broadcast(marked), "doc_id").withColumn("_r", F.row_number().over(best)).filter("_r = 1")
+    picked = bigram_scores(docs).join(marked, "doc_id").withColumn("_r", F.row_number().over(best)).filter("_r = 1")
     texts = docs.select(F.col("doc_id").alias("_d"), "words")
     rows = picked.join(texts, F.col("doc_id") == F.col("_d")).join(counts, "lemma")
     own = F.size(F.filter("words", lambda w: w == F.col("lemma"))) / F.size("words")

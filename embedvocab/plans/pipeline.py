@@ -9,19 +9,26 @@ from embedvocab.functions import text as txt
 from embedvocab.operators import render, select, translate
 
 
-def augment(docs: DataFrame, candidates: DataFrame, k: DataFrame, backend: translate.LexiconBackend | translate.ServiceBackend, ablate: str | None = None, per_lemma: int | str | None = None, style: str = "plain", spare: int = 0) -> DataFrame:
+def rendered(docs: DataFrame, found: DataFrame, style: str = "plain") -> DataFrame:
+    """(doc_id, n_words, n_replaced, text): docs with the translations found (doc_id, pos, target) in place."""
+    shown = found.groupBy("doc_id").agg(F.count(F.lit(1)).alias("n_replaced"))
+    sizes = docs.select("doc_id", F.coalesce(F.size(txt.tokenize(F.col("text"))), F.lit(0)).alias("n_words"))
+    return render.rewrite(docs, found, style).join(sizes, "doc_id").join(shown, "doc_id", "left").select("doc_id", "n_words", F.coalesce("n_replaced", F.lit(0)).alias("n_replaced"), "text")
+
+
+def augment(docs: DataFrame, candidates: DataFrame, k: DataFrame, backend: translate.LexiconBackend | translate.ServiceBackend, ablate: str | None = None, per_lemma: int | str | None = None, style: str = "plain", spare: int = 0, promote: bool = False) -> DataFrame:
     """(doc_id, n_words, n_replaced, text) of docs (doc_id, text).
 
-    With ``spare``, so many more are translated, and the best k of those that have a translation are shown.
+    With ``promote`` only lemmas that the backend knows compete, so the next best takes the place of one without a translation.
+    A service cannot be asked for its words; with ``spare``, so many more are translated, and the best k of those that have a
+    translation are shown.
     """
-    rows = select.scored(candidates, ablate=ablate)
+    rows = select.scored(candidates.join(backend.known(), "lemma", "left_semi") if promote else candidates, ablate=ablate)
     chosen = select.top_k(rows, k.withColumn("k", F.col("k") + spare) if spare else k, per_lemma)
     found = translate.in_context(chosen, docs, backend)
     if spare:
         found = select.top_k(found.join(chosen.select("doc_id", F.col("pos").cast("int").alias("pos"), "priority"), ["doc_id", "pos"]), k)
-    shown = found.groupBy("doc_id").agg(F.count(F.lit(1)).alias("n_replaced"))
-    sizes = docs.select("doc_id", F.size(txt.tokenize(F.col("text"))).alias("n_words"))
-    return render.rewrite(docs, found, style).join(sizes, "doc_id").join(shown, "doc_id", "left").select("doc_id", "n_words", F.coalesce("n_replaced", F.lit(0)).alias("n_replaced"), "text")
+    return rendered(docs, found, style)
 
 
 def exposures(chosen: DataFrame, user: DataFrame, at) -> DataFrame:  # noqa: ANN001

@@ -8,9 +8,11 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from embedvocab.functions import memory, rng, stats
+from embedvocab.functions import text as txt
 from embedvocab.operators import browse, context, corpus, coverage, design, guess, measure, render, revisit, select, translate, tutor
 from embedvocab.plans import fixtures as fx
 from embedvocab.plans import pipeline
+from embedvocab.sources.shared import stored
 from embedvocab.sources.tables import exposures, table
 from embedvocab.streaming import tutor_stream
 
@@ -44,6 +46,20 @@ def corpus_revisit_by_lang(spark, sf_dir):
     return rounded(revisit.analyse(corpus.occurrences(corpus.number_words(fx.by_language(spark, sf_dir))), fx.ALPHAS), "revisit_days")
 
 
+@query
+def corpus_revisit_s_stem(spark, sf_dir):
+    """English with the plural endings off."""
+    words = corpus.documents(fx.english(spark, sf_dir), F.lit("en"), "s_stem")
+    return rounded(revisit.analyse(corpus.occurrences(corpus.number_words(words)), (0.5, 0.7, 0.8, 0.9)), "revisit_days")
+
+
+@query
+def corpus_revisit_dictionary(spark, sf_dir):
+    """English lemmatized by a dictionary: forms whose stem is a word of the collection too."""
+    words = corpus.number_words(fx.english_words(spark, sf_dir))
+    return rounded(revisit.analyse(corpus.occurrences(txt.lemmatize_by(words, fx.form_dictionary(spark, sf_dir))), (0.5, 0.7, 0.8, 0.9)), "revisit_days")
+
+
 @query
 def lemma_revisit_top(spark, sf_dir):
     found = _english(spark, sf_dir)
@@ -52,6 +68,23 @@ def lemma_revisit_top(spark, sf_dir):
     return rounded(top.join(days, ["corpus_id", "lemma"], "left").select("lemma", "n", "rank", F.col("days").alias("revisit_days")), "revisit_days")
 
 
+@query
+def corpus_revisit_sketched(spark, sf_dir):
+    """Whether the sketched revisitation times lie within a tenth of the exact ones."""
+    found = stored(_english(spark, sf_dir))
+    exact, near = (revisit.analyse(found, (0.5, 0.9), estimator=e).select("corpus_id", "alpha", F.col("revisit_days").alias(e)) for e in ("exact", "kll"))
+    both = exact.join(near, ["corpus_id", "alpha"])
+    return rounded(both.select("corpus_id", "alpha", F.col("exact").alias("revisit_days"), (F.abs(F.col("kll") - F.col("exact")) <= 0.1 * F.col("exact")).alias("near")), "revisit_days")
+
+
+@query
+def vocabulary_sketched(spark, sf_dir):
+    """Distinct lemmas of each language, and whether a HyperLogLog sketch counts them within a twentieth."""
+    words = fx.by_language(spark, sf_dir).select("corpus_id", F.explode("words").alias("lemma"))
+    sketched = words.groupBy("corpus_id").agg(F.hll_sketch_estimate(F.hll_sketch_agg("lemma", 14)).alias("_e"), F.countDistinct("lemma").alias("vocab"))
+    return sketched.select("corpus_id", "vocab", (F.abs(F.col("_e") - F.col("vocab")) <= 0.05 * F.col("vocab")).alias("near"))
+
+
 @query
 def corpus_gap_histogram(spark, sf_dir):
     hist = revisit.histogram(revisit.gaps(_english(spark, sf_dir)))
@@ -137,8 +170,8 @@ def daily_review_load(spark, sf_dir):
 
 @query
 def browse_revisit_n100_a90(spark, sf_dir):
-    read = fx.browsing(spark, sf_dir, (100,))
-    cell = revisit.analyse(corpus.occurrences(fx.browsing_words(spark, sf_dir, (100,))), (0.9,))
+    read = stored(fx.browsing(spark, sf_dir, (100,)))
+    cell = revisit.analyse(corpus.occurrences(fx.words_read(spark, sf_dir, read)), (0.9,))
     size = read.groupBy("corpus_id").agg(F.countDistinct("s").alias("sessions"), F.count(F.lit(1)).alias("page_views"), F.sum("n").alias("words"))
     out = size.join(cell, "corpus_id").withColumn("words_per_day", revisit.daily_load(F.col("vocab"), F.col("revisit_days")))
     return rounded(out.select("sessions", "page_views", "words", "vocab", "revisit_days", "words_per_day"), "revisit_days", "words_per_day")
@@ -149,6 +182,19 @@ def browse_sessions(spark, sf_dir):
     return fx.browsing(spark, sf_dir).select(F.col("corpus_id").alias("session_words"), "s", "w", "step", "u", "n")
 
 
+@query
+def browse_short_sessions(spark, sf_dir):
+    """Sessions that could not pass their limit, as their start is always followed by a stop."""
+    return browse.short_sessions(fx.browsing(spark, sf_dir)).withColumnRenamed("corpus_id", "session_words")
+
+
+@query
+def browse_revisit_s_stem(spark, sf_dir):
+    """The grid for lemmas in place of word forms."""
+    words = fx.words_read(spark, sf_dir, fx.browsing(spark, sf_dir, (100, 10000)), "s_stem")
+    return rounded(revisit.analyse(corpus.occurrences(words), fx.ALPHAS).withColumnRenamed("corpus_id", "session_words"), "revisit_days")
+
+
 @query
 def click_transitions(spark, sf_dir):
     return rounded(browse.transitions(browse.click_edges(exposures(spark, sf_dir), fx.page_count(spark, sf_dir))), "lo", "hi")
@@ -171,6 +217,31 @@ def tutor_feedback(spark, sf_dir):
     return rounded(tutor.replay(exposures(spark, sf_dir), feedback="explicit", lapse="shrink"), "half_life", "last_day")
 
 
+@query
+def tutor_feedback_keep(spark, sf_dir):
+    return rounded(tutor.replay(exposures(spark, sf_dir), feedback="explicit", lapse="keep"), "half_life", "last_day")
+
+
+@query
+def tutor_feedback_reset(spark, sf_dir):
+    return rounded(tutor.replay(exposures(spark, sf_dir), feedback="explicit", lapse="reset"), "half_life", "last_day")
+
+
+@query
+def tutor_first_boost(spark, sf_dir):
+    return rounded(tutor.replay(exposures(spark, sf_dir), first="boost"), "half_life", "last_day")
+
+
+@query
+def tutor_quiz(spark, sf_dir):
+    """Purchases stand for embedded quizzes, whose answers are explicit feedback; all other events are exposures that succeed."""
+    e = exposures(spark, sf_dir)
+    quizzes = tutor.quiz_items(e.filter("event_type = 'purchase'"))
+    graded = tutor.quiz_feedback(quizzes, 1 + F.floor(rng.uniform(42, F.lit("picked"), F.col("event_id")) * 5).cast("int"))
+    shown = e.filter("event_type <> 'purchase'").withColumn("success", F.lit(True)).select(graded.columns)
+    return rounded(tutor.replay(shown.unionByName(graded), feedback="explicit", lapse="shrink"), "half_life", "last_day")
+
+
 @query
 def tutor_recall_now(spark, sf_dir):
     states, now = fx.reader_states(spark, sf_dir)
@@ -202,14 +273,27 @@ def tutor_slack(spark, sf_dir):
 
 @query
 def stream_tutor(spark, sf_dir):
-    got = tutor_stream.drained(tutor_stream.replay(tutor_stream.stream_of(spark, f"{sf_dir}/events.parquet")), "update")
+    got = tutor_stream.drained(tutor_stream.replay(tutor_stream.stream_of(spark, f"{sf_dir}/events.parquet")))
     # the last row of each pair is its state
     return rounded(got.groupBy("user_id", "lemma_id").agg(F.max("exposures").alias("exposures"), F.max_by("half_life", "exposures").alias("half_life"), F.max("last_day").alias("last_day")), "half_life", "last_day")
 
 
 @query
 def stream_clicks(spark, sf_dir):
-    return tutor_stream.drained(tutor_stream.clicks(tutor_stream.stream_of(spark, f"{sf_dir}/events.parquet")), "complete")
+    # the last count of a window is its largest
+    got = tutor_stream.drained(tutor_stream.clicks(tutor_stream.stream_of(spark, f"{sf_dir}/events.parquet")))
+    return got.groupBy("window_start", "user_id").agg(F.max("clicks").alias("clicks"))
+
+
+@query
+def reading_sessions(spark, sf_dir):
+    return rounded(tutor_stream.reading_sessions(exposures(spark, sf_dir)), "hours")
+
+
+@query
+def clicks_sliding(spark, sf_dir):
+    """Clicks of each reader in windows of a day, twice a day."""
+    return tutor_stream.clicks(exposures(spark, sf_dir), slide="12 hours")
 
 
 # ---------------------------------------------------------------- context
@@ -239,6 +323,18 @@ def lm_kneser_ney(spark, sf_dir):
     return rounded(context.NgramModel(runs, smoothing="kneser_ney").score(runs).select("doc_id", "pos", F.col("w").alias("lemma"), "g"), "g")
 
 
+@query
+def lm_kneser_ney_trigram(spark, sf_dir):
+    runs = _runs(spark, sf_dir)
+    return rounded(context.NgramModel(runs, smoothing="kneser_ney_3").score(runs).select("doc_id", "pos", F.col("w").alias("lemma"), "g"), "g")
+
+
+@query
+def lm_held_out(spark, sf_dir):
+    """Each half of the documents scored by the model of the other half."""
+    return rounded(context.held_out(_runs(spark, sf_dir)), "bits")
+
+
 @query
 def lm_backoff(spark, sf_dir):
     runs = _runs(spark, sf_dir)
@@ -307,6 +403,22 @@ def select_random(spark, sf_dir):
     return _shown(_selected(spark, sf_dir, ablate="random"))
 
 
+@query
+def select_lookahead(spark, sf_dir):
+    """The priority of words that come up again within the horizon grows with their coming uses."""
+    ahead = select.lookahead(corpus.number_words(fx.english_words(spark, sf_dir))).select("doc_id", F.col("pos").alias("_at"), "lemma", "upcoming")
+    first = corpus.number_words(fx.english_words(spark, sf_dir)).groupBy("doc_id").agg(F.min("pos").alias("_first"))
+    local = ahead.join(first, "doc_id").select("doc_id", (F.col("_at") - F.col("_first")).cast("int").alias("pos"), "lemma", "upcoming")
+    rows = select.scored(fx.candidates(spark, sf_dir).join(local, ["doc_id", "pos", "lemma"], "left"), ahead=0.25)
+    return _shown(select.top_k(rows, fx.budgets(spark, sf_dir)))
+
+
+@query
+def select_topk_all(spark, sf_dir):
+    """Every occurrence of the lemmas chosen by their best one."""
+    return _shown(_selected(spark, sf_dir, per_lemma="all"))
+
+
 @query
 def select_rescored(spark, sf_dir):
     return rounded(select.rescored(fx.candidates(spark, sf_dir), fx.budgets(spark, sf_dir, 0.02)), "priority")
@@ -327,6 +439,11 @@ def collocations_llr(spark, sf_dir):
     return rounded(select.collocations(_runs(spark, sf_dir), score="llr"), "llr")
 
 
+@query
+def collocations_3(spark, sf_dir):
+    return rounded(select.collocations_3(_runs(spark, sf_dir)), "npmi")
+
+
 @query
 def density_ramp(spark, sf_dir):
     density, direction = memory.schedule(F.col("day"))
@@ -381,6 +498,19 @@ def augment_documents(spark, sf_dir):
     return pipeline.augment(fx.english(spark, sf_dir), fx.candidates(spark, sf_dir), fx.budgets(spark, sf_dir), translate.LexiconBackend(_lexicon(spark, sf_dir)))
 
 
+@query
+def augment_promoted(spark, sf_dir):
+    """Only occurrences with a translation compete, so the next best takes the place of one without."""
+    return pipeline.augment(fx.english(spark, sf_dir), fx.candidates(spark, sf_dir), fx.budgets(spark, sf_dir), translate.LexiconBackend(_lexicon(spark, sf_dir).filter("sense = 1 and rank <= 400")), promote=True)
+
+
+@query
+def converted_documents(spark, sf_dir):
+    """The far end of the ramp: at density one every word with a translation is converted, in its sentence."""
+    words = fx.english_words(spark, sf_dir).select("doc_id", F.posexplode("words").alias("pos", "lemma"))
+    return pipeline.rendered(fx.english(spark, sf_dir), translate.in_context(words, fx.english(spark, sf_dir), translate.LexiconBackend(_lexicon(spark, sf_dir))))
+
+
 @query
 def word_alignment(spark, sf_dir):
     """Alignment learned from question and answer turns, whole, as parallel sentences."""
@@ -422,6 +552,23 @@ def snippet_cover(spark, sf_dir):
     return design.cover(design.snippets(fx.english(spark, sf_dir)), design.word_groups(_pool(spark, sf_dir)).select("lemma", "wgroup"))
 
 
+@query
+def embedded_instances(spark, sf_dir):
+    """The 7 uses of each word that the embedded section shows, 182 a group."""
+    return rounded(design.instances(_scored_words(spark, sf_dir), design.word_groups(_pool(spark, sf_dir))), "g")
+
+
+@query
+def study_pages(spark, sf_dir):
+    pool = design.snippets(fx.english(spark, sf_dir)).select("doc_id", "n_words")
+    return design.study_pages(snippet_cover(spark, sf_dir).select("wgroup", "doc_id"), pool)
+
+
+@query
+def study_sections(spark, sf_dir):
+    return design.sections(fx.participants(spark, sf_dir), design.assignment(spark))
+
+
 @query
 def control_page(spark, sf_dir):
     return design.control_page(design.snippets(fx.english(spark, sf_dir)).select("doc_id", "n_words"))
@@ -437,6 +584,20 @@ def mc_retest(spark, sf_dir):
     return design.retest(design.mc_items(fx.participants(spark, sf_dir), fx.study_words(spark)))
 
 
+@query
+def mc_items_reverse(spark, sf_dir):
+    """The items asked from the base language to the other: what active knowledge needs."""
+    words = _pool(spark, sf_dir).select((F.col("rank") - 1).cast("int").alias("word"), "lemma")
+    return design.reverse_items(design.mc_items(fx.participants(spark, sf_dir), fx.study_words(spark)), _lexicon(spark, sf_dir).filter("sense = 1"), words)
+
+
+@query
+def ftg_graded(spark, sf_dir):
+    """Gap answers with inflections, typing errors, synonyms and other words, graded."""
+    given, keys, synonyms = fx.gap_answers(_pool(spark, sf_dir), fx.vocabulary(spark, sf_dir))
+    return measure.grade_gaps(given, keys, synonyms)
+
+
 @query
 def ftg_items(spark, sf_dir):
     return design.ftg_items(fx.study_cells(spark, sf_dir))
@@ -452,8 +613,8 @@ def chance_baseline(spark, sf_dir):
 
 @query
 def participant_profile(spark, sf_dir):
-    people = table(spark, sf_dir, "customer").join(F.broadcast(table(spark, sf_dir, "nation")), F.col("c_nationkey") == F.col("n_nationkey")).select(F.col("c_acctbal").alias("balance"), F.col("n_name").alias("nation"))
-    return rounded(design.describe(people, "balance", "nation"), "share", "mean", "sd")
+    people = table(spark, sf_dir, "customer").join(F.broadcast(table(spark, sf_dir, "nation")), F.col("c_nationkey") == F.col("n_nationkey")).select(F.col("c_acctbal").alias("balance"), F.col("n_name").alias("nation"), F.col("c_mktsegment").alias("segment"))
+    return rounded(design.describe(people, "balance", ["nation", "segment"]), "share", "mean", "sd")
 
 
 # ---------------------------------------------------------------- measures
@@ -466,6 +627,12 @@ def rq1_retention(spark, sf_dir):
     return rounded(measure.mean_over_users(fx.answers(spark, sf_dir), [*BY, "condition"]), "mean", "lo", "hi")
 
 
+@query
+def rq1_totals(spark, sf_dir):
+    """Answers and correct ones by component, phase and condition, with subtotals; null stands for all."""
+    return fx.answers(spark, sf_dir).rollup("component", "phase", "condition").agg(F.count(F.lit(1)).alias("answers"), F.sum(measure.correct()).cast("long").alias("correct"))
+
+
 @query
 def rq1_answer_mix(spark, sf_dir):
     return rounded(measure.answer_mix(fx.answers(spark, sf_dir), [*BY, "condition"]), "share", "lo", "hi")

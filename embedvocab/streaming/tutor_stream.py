@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
-import uuid
 from collections.abc import Iterator
 
 import pandas as pd
@@ -12,6 +10,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from embedvocab.functions.memory import Boost
+from embedvocab.sources.shared import new_path
 
 STATE = "lemmas array<int>, h array<double>, last array<double>, n array<int>"
 OUT = "user_id long, lemma_id int, exposures int, half_life double, last_day double"
@@ -48,10 +47,16 @@ def replay(stream: DataFrame, p: Boost = Boost()) -> DataFrame:
     return rows.groupBy("user_id").applyInPandasWithState(fold, OUT, STATE, "update", GroupStateTimeout.NoTimeout)
 
 
-def clicks(stream: DataFrame, window: str = "1 day", watermark: str = "1 day") -> DataFrame:
-    """(window_start, user_id, clicks); events later than the watermark are left out."""
+def clicks(stream: DataFrame, window: str = "1 day", watermark: str = "1 day", slide: str | None = None) -> DataFrame:
+    """(window_start, user_id, clicks); events later than the watermark are left out. With a slide, windows overlap."""
     rows = stream.filter("event_type = 'click'").withWatermark("ts", watermark)
-    return rows.groupBy(F.window("ts", window), "user_id").agg(F.count(F.lit(1)).alias("clicks")).select(F.col("window.start").alias("window_start"), "user_id", "clicks")
+    return rows.groupBy(F.window("ts", window, slide), "user_id").agg(F.count(F.lit(1)).alias("clicks")).select(F.col("window.start").alias("window_start"), "user_id", "clicks")
+
+
+def reading_sessions(stream: DataFrame, pause: str = "12 hours", watermark: str = "1 day") -> DataFrame:
+    """(user_id, session_start, exposures, hours): what a reader meets without a pause so long, and the time from the first to the last."""
+    rows = stream.withWatermark("ts", watermark).groupBy(F.session_window("ts", pause), "user_id").agg(F.count(F.lit(1)).alias("exposures"), F.min("ts").alias("_a"), F.max("ts").alias("_b"))
+    return rows.select("user_id", F.col("_a").alias("session_start"), "exposures", ((F.unix_micros("_b") - F.unix_micros("_a")) / 3.6e9).alias("hours"))
 
 
 def stream_of(spark: SparkSession, path: str, per_trigger: int = 8) -> DataFrame:
@@ -66,11 +71,16 @@ def stream_of(spark: SparkSession, path: str, per_trigger: int = 8) -> DataFrame
     return raw.select("event_id", "user_id", F.get_json_object("props", "$.k").cast("int").alias("lemma_id"), ts.alias("ts"), (F.col("event_type") != "error").alias("success"), "event_type")
 
 
-def drained(result: DataFrame, mode: str) -> DataFrame:
-    """All that a query has given when its input is read: rows of a table in memory, for tests and reports."""
+def drained(result: DataFrame) -> DataFrame:
+    """All rows that a query gives until its input is read, each batch a folder of a table that driver and executors share.
+
+    A batch that is repeated replaces its folder, so no row comes twice. Rows of one key may come in several batches.
+    """
     spark = result.sparkSession
-    name = f"drained_{uuid.uuid4().hex}"
-    root = spark.sparkContext.getConf().get("spark.checkpoint.dir") or f"file://{tempfile.gettempdir()}"
-    query = result.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", f"{root.rstrip('/')}/{name}").trigger(availableNow=True).start()
-    query.awaitTermination()
-    return spark.table(name)
+    at = new_path(spark)
+
+    def keep(rows: DataFrame, batch: int) -> None:
+        rows.write.mode("overwrite").parquet(f"{at}/rows/batch={batch}")
+
+    result.writeStream.foreachBatch(keep).outputMode("update").option("checkpointLocation", f"{at}/state").trigger(availableNow=True).start().awaitTermination()
+    return spark.read.schema(result.schema).parquet(f"{at}/rows/*")

@@ -47,18 +47,26 @@ def test_walks_follow_edges_and_sessions_cut(spark):
     edges = spark.createDataFrame([(0, 1, 5), (1, None, 5)], "u int, v int, n long")
     moves = browse.transitions(edges)
     assert all(abs(r.s - 1) < 1e-12 for r in moves.groupBy("u").agg(F.sum(F.col("hi") - F.col("lo")).alias("s")).collect())
-    begun = spark.range(8).select(F.lit(10).alias("corpus_id"), F.lit(0).alias("s"), F.col("id").cast("int").alias("w"), F.lit(0).alias("u"))
-    walked = browse.walks(begun, moves)
-    kept = browse.sessions(walked, spark.createDataFrame([(0, 4), (1, 3)], "u int, n int"))
+    begun = spark.range(8).select(F.lit(10).alias("corpus_id"), F.lit(0).alias("s"), F.col("id").cast("int").alias("w"), F.lit(0).alias("u"), F.lit(4).cast("long").alias("n"))
+    walked = browse.walks(begun, moves.withColumn("n", F.lit(3).cast("long")))
+    kept = browse.sessions(walked)
     assert [(r.w, r.step, r.u) for r in kept.orderBy("w", "step").collect()] == [(0, 0, 0), (0, 1, 1), (1, 1, 1), (2, 1, 1)]
     assert browse.short_sessions(kept).first().short == 0
 
 
 def test_a_start_that_always_stops_runs_short(spark):
-    moves = browse.transitions(spark.createDataFrame([(0, None, 1)], "u int, v int, n long"))
-    begun = spark.range(3).select(F.lit(10).alias("corpus_id"), F.lit(0).alias("s"), F.col("id").cast("int").alias("w"), F.lit(0).alias("u"))
-    kept = browse.sessions(browse.walks(begun, moves), spark.createDataFrame([(0, 4)], "u int, n int"))
-    assert kept.count() == 1 and browse.short_sessions(kept).first().short == 1
+    edges = spark.createDataFrame([(0, None, 1)], "u int, v int, n long")
+    kept = browse.browse(edges, spark.createDataFrame([(0, 4)], "u int, n int"), (10,), 12)
+    assert kept.count() == 3 and browse.short_sessions(kept).first().short == 3
+
+
+def test_long_walks_and_sessions_are_whole(spark):
+    """A ring that is left once in 200 pages: walks go on far beyond any number of steps planned, and so do sessions."""
+    n = 10
+    edges = spark.createDataFrame([(i, (i + 1) % n, 199) for i in range(n)] + [(i, None, 1) for i in range(n)], "u int, v int, n long")
+    kept = browse.browse(edges, spark.createDataFrame([(i, 1) for i in range(n)], "u int, n int"), (500,), 1200).cache()
+    assert browse.short_sessions(kept).first().short == 0 and kept.groupBy("s").count().filter("count < 501").isEmpty()
+    assert kept.agg(F.max("step")).first()[0] > 60 and 1200 <= kept.count() <= 1200 + 501
 
 
 def test_topics_come_back_later_when_sessions_are_short(spark):

@@ -41,3 +41,31 @@ def test_cover_is_greedy_whatever_is_held(spark):
         need = {w: max(0, n - texts[best].split().count(w)) for w, n in need.items()}
     for held in (1, 2, 1000):
         assert sorted(map(tuple, design.cover(pool, words, quota=3, held=held).collect())) == want
+
+
+def test_sections_and_pages(spark, smoke):
+    rows = design.sections(fx.participants(spark, smoke), design.assignment(spark)).collect()
+    assert len(rows) == 3 * 58 and all(r.section == {"pre_table": 1, "embedded": 2, "post_table": 3}[r.condition] for r in rows)
+    chosen = spark.createDataFrame([(g, 100 * g + i) for g in range(3) for i in range(42)], "wgroup int, doc_id long")
+    pool = spark.range(1000).select(F.col("id").alias("doc_id"), F.lit(200).alias("n_words"))
+    pages = design.study_pages(chosen, pool).collect()
+    for g in range(3):
+        own = [p for p in pages if p.wgroup == g]
+        sizes = [sum(p.page == i for p in own) for i in range(1, 7)]
+        assert sizes == [10, 10, 10, 10, 2, 5] and [p.treated for p in own if p.page == 6] == [False] * 5
+
+
+def test_each_word_is_used_seven_times(spark):
+    scored = spark.range(400).select((F.col("id") % 7).alias("doc_id"), F.col("id").cast("int").alias("pos"), F.concat(F.lit("w"), F.col("id") % 4).alias("w"), (F.col("id") % 13 / 13).alias("g"))
+    groups = spark.createDataFrame([(f"w{i}", 0, ("easy", "random")[i % 2]) for i in range(4)], "lemma string, wgroup int, arm string")
+    got = design.instances(scored, groups).collect()
+    assert len(got) == 28 and {(r.lemma, r.arm) for r in got} == {(f"w{i}", ("easy", "random")[i % 2]) for i in range(4)}
+
+
+def test_reverse_items_ask_for_the_translation(spark, smoke):
+    items = design.mc_items(fx.participants(spark, smoke).filter("participant < 2"), fx.study_words(spark))
+    words = spark.range(78).select(F.col("id").cast("int").alias("word"), F.concat(F.lit("en"), "id").alias("lemma"))
+    lexicon = words.select("lemma", F.concat(F.lit("de"), "word").alias("target"))
+    got = design.reverse_items(items, lexicon, words)
+    assert got.count() == items.count() and got.filter("is_answer").filter("substr(prompt, 3) <> substr(option, 3)").count() == 0
+    assert got.filter((F.col("slot") == 0) & (F.col("option") != "don't know")).count() == 0

@@ -70,7 +70,7 @@ def test_language_models_sum_to_one(spark):
     runs = context.trigrams(docs)
     vocab = [r.w for r in runs.select("w").distinct().collect()]
     asked = spark.createDataFrame([(1, i, "a", "b", w) for i, w in enumerate(vocab)], "doc_id long, pos int, a string, b string, w string")
-    for smoothing in ("interpolated", "kneser_ney"):
+    for smoothing in ("interpolated", "kneser_ney", "kneser_ney_3"):
         total = context.NgramModel(runs, smoothing=smoothing).score(asked).agg(F.sum("g")).first()[0]
         assert total == pytest.approx(1.0), smoothing
     assert all(0 < r.g <= 1 for r in context.NgramModel(runs, smoothing="stupid_backoff").score(runs).collect())
@@ -106,6 +106,59 @@ def test_rescoring_turns_to_other_lemmas(spark):
     assert [r.pos for r in select.rescored(rows, k).orderBy("rank").collect()] == [0, 1]
 
 
+def test_rescoring_equals_plain_greedy(spark):
+    r = random.Random(2)
+    items = [(1, i, r.choice("abcde"), r.choice([0.0, 0.3, 0.8]), round(r.random(), 2), r.choice([None, 2.0, 9.0])) for i in range(60)]
+    df = spark.createDataFrame(items, "doc_id long, pos int, lemma string, r double, g double, half_life double")
+    b, shown, left, want = Boost(), {}, list(items), []
+
+    def worth(x):
+        _, pos, lemma, recall, g, h = x
+        h, gamma = h or b.initial, lambda h, recall: b.a * h**-b.b * b.c**-recall + b.d
+        if lemma in shown:
+            h, recall = h * gamma(h, recall), 1.0 if pos > shown[lemma] else recall
+        return round((recall + g - recall * g) * gamma(h, recall), 9)
+
+    for rank in range(1, 26):
+        best = max(left, key=lambda x: (worth(x), -x[1]))
+        want.append((best[1], worth(best), rank))
+        left.remove(best)
+        shown[best[2]] = min(best[1], shown.get(best[2], best[1]))
+    got = select.rescored(df, spark.createDataFrame([(1, 25)], "doc_id long, k int")).orderBy("rank").collect()
+    assert [(x.pos, x.priority, x.rank) for x in got] == want
+
+
+def test_next_best_takes_the_place_of_words_without_translation(spark):
+    from embedvocab.plans import pipeline
+
+    docs = spark.createDataFrame([(1, "alpha beta gamma")], "doc_id long, text string")
+    cands = spark.createDataFrame([(1, 0, "alpha", 0.0, 0.9, None), (1, 1, "beta", 0.0, 0.5, None), (1, 2, "gamma", 0.0, 0.1, None)], "doc_id long, pos int, lemma string, r double, g double, half_life double")
+    k = spark.createDataFrame([(1, 1)], "doc_id long, k int")
+    backend = translate.LexiconBackend(spark.createDataFrame([("beta", "de", 1, "B", []), ("gamma", "de", 1, "C", [])], "lemma string, target_lang string, sense int, target string, cues array<string>"))
+    text = lambda **more: pipeline.augment(docs, cands, k, backend, **more).first().text
+    assert text() == "alpha beta gamma" and text(promote=True) == text(spare=1) == "alpha B gamma"
+
+
+def test_quizzes_are_explicit_feedback(spark):
+    asked = exposures(spark, [(1, 1, 0, True), (1, 1, 1, True)])
+    items = tutor.quiz_items(asked)
+    assert items.filter("slot between 1 and 5").count() == 2
+    right, wrong = (tutor.replay(tutor.quiz_feedback(items, c), feedback="explicit", lapse="shrink").first().half_life for c in (F.col("slot"), F.lit(0)))
+    assert right > 2 and wrong == 0.25
+
+
+def test_dictionary_lemmas(spark):
+    words = spark.createDataFrame([(1, 0, "mice"), (1, 1, "mouse"), (1, 2, "cat")], "doc_id long, pos long, lemma string")
+    dictionary = spark.createDataFrame([("mice", "mouse")], "word string, lemma string")
+    assert [r.lemma for r in txt.lemmatize_by(words, dictionary).orderBy("pos").collect()] == ["mouse", "mouse", "cat"]
+
+
+def test_three_word_units(spark):
+    docs = spark.createDataFrame([(i, "x birds of a feather y".split()) for i in range(6)] + [(9, "a of birds".split())], "doc_id long, words array<string>")
+    got = {(r.w1, r.w2, r.w3): r.n for r in select.collocations_3(context.trigrams(docs)).collect()}
+    assert got["birds", "of", "a"] == 6 and ("a", "of", "birds") not in got
+
+
 def test_segments_and_rewriting(spark):
     texts = ["One two, three.", " leading", "", "12 34", "ÀÉ l'été", None]
     docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
@@ -175,6 +228,26 @@ def test_cognates_fold_first(spark):
     assert [r.lemma for r in txt.cognates(own, other).collect()] == ["philosopher"]
 
 
+def test_cognates_are_compared_completely(spark):
+    r = random.Random(4)
+    words = sorted({"".join(r.choice("abeos") for _ in range(r.randint(3, 9))) for _ in range(160)})
+    own, other = words[::2], words[1::2]
+
+    def distance(a, b):
+        row = list(range(len(b) + 1))
+        for i, x in enumerate(a):
+            new = [i + 1]
+            for j, y in enumerate(b):
+                new.append(min(row[j] + (x != y), row[j + 1] + 1, new[j] + 1))
+            row = new
+        return row[-1]
+
+    want = {a for a in own if any(distance(a, b) < 0.4 * max(len(a), len(b)) for b in other)}
+    frame = lambda ws: spark.createDataFrame([(w,) for w in ws], "lemma string")
+    assert {x.lemma for x in txt.cognates(frame(own), frame(other)).collect()} == want
+    assert [x.lemma for x in txt.cognates(frame(["special"]), frame(["especial"])).collect()] == ["special"]
+
+
 def test_stems(spark):
     words = {"cities": "city", "houses": "house", "cats": "cat", "bus": "bus", "glass": "glass"}
     for w, s in words.items():
@@ -222,6 +295,8 @@ def test_grading_gaps(spark):
     synonyms = spark.createDataFrame([("house", "home")], "word string, synonym string")
     got = {r.item: r.outcome for r in measure.grade_gaps(asked, keys, synonyms).collect()}
     assert got == {1: "correct", 2: "correct", 3: "correct", 4: "unknown", 5: "incorrect"}
+    plural = spark.createDataFrame([(1, "cities"), (2, "towns")], "item int, answer string")
+    assert {r.outcome for r in measure.grade_gaps(plural, spark.createDataFrame([(1, "city"), (2, "village")], "item int, key string"), spark.createDataFrame([("village", "town")], "word string, synonym string")).collect()} == {"correct"}
 
 
 def test_share_never_clicked(spark):

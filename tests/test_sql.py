@@ -14,3 +14,27 @@ def test_sql_functions_equal_columns(spark, smoke):
     assert spark.sql("SELECT count(*) n FROM words").first().n == 51997
     assert spark.sql("SELECT count(*) n FROM lemma_ranks WHERE before * 10 < total * 9").first().n == 7370
     assert spark.sql("SELECT count(*) n FROM answers").first().n == fx.answers(spark, smoke).count()
+
+
+def test_readers_and_sinks(spark, tmp_path):
+    from embedvocab.sources import tables
+
+    (tmp_path / "lexicon.json").write_text('{"lemma": "bank", "target_lang": "de", "sense": 1, "target": "Ufer", "cues": ["river"]}\n')
+    assert [(r.lemma, r.sense, r.cues) for r in tables.read_lexicon(spark, str(tmp_path / "lexicon.json")).collect()] == [("bank", 1, ["river"])]
+    (tmp_path / "stop.txt").write_text("The\n of \n\nthe\n")
+    assert sorted(r.lemma for r in tables.read_stopwords(spark, str(tmp_path / "stop.txt")).collect()) == ["of", "the"]
+    (tmp_path / "clicks.tsv").write_text("A\tB\tlink\t3\nA\tB\tlink\t1\nA\tother\texternal\t5\n")
+    assert sorted(((r.u, r.v, r.n) for r in tables.read_clicks(spark, str(tmp_path / "clicks.tsv")).collect()), key=str) == [("A", "B", 4), ("A", None, 5)]
+    docs = spark.createDataFrame([(1, "en", "a"), (2, "de", "b")], "doc_id long, lang string, text string")
+    tables.write_augmented(docs, str(tmp_path / "out"))
+    assert (tmp_path / "out" / "lang=de").is_dir() and spark.read.parquet(str(tmp_path / "out")).count() == 2
+    tables.write_json(docs, str(tmp_path / "json"))
+    assert spark.read.json(str(tmp_path / "json")).count() == 2
+
+
+def test_random_scores_are_uniform(spark):
+    from embedvocab.operators import context
+
+    runs = spark.range(4000).select(F.col("id").alias("doc_id"), F.lit(0).alias("pos"))
+    row = context.random_scores(runs).agg(F.avg("g").alias("m"), F.min("g").alias("a"), F.max("g").alias("b")).first()
+    assert abs(row.m - 0.5) < 0.03 and 0 <= row.a < 0.01 and 0.99 < row.b < 1

@@ -40,6 +40,11 @@ def op7_spotsigs(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spotsigs.digest(table(spark, sf_dir, "documents"))
 
 
+def op7_spotsigs_links(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The similarity join: length bands, rarest signatures, pruned Jaccard of 0.8 or more."""
+    return spotsigs.neighbours(table(spark, sf_dir, "documents"))
+
+
 def op8_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash.digest(table(spark, sf_dir, "documents"))
 
@@ -60,6 +65,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op5_quality_knn": op5_quality_knn,
     "op6_toxicity": op6_toxicity,
     "op7_spotsigs": op7_spotsigs,
+    "op7_spotsigs_links": op7_spotsigs_links,
     "op8_simhash": op8_simhash,
     "op10_context_tree": op10_context_tree,
     "op9_mixing": op9_mixing,

@@ -10,7 +10,8 @@ A value that more than the mean task's rows share is split into fragments, and e
 cell of its own; nothing is capped. A cell yields a spanning forest of its links, never all pairs. Components
 are found by large-star/small-star rounds over tables in the shared folder. The driver sees 64 x 64 bit counts
 and histograms of at most 2^16 values a partition, no fingerprints and no links. The number of partitions, four to eight, is the
-cheapest by the counts of single bits.
+cheapest by the counts of single bits. Where so many fingerprints meet in a partition's values that rows are the cheaper, a key is the
+value and a group of the other bits, by the same principle once more.
 
 Near copies (keep_one) are defined by the exact Jaccard of their sets of shingles. Candidates are found by the same search
 over several independent fingerprints, of words, as words differ less than shingles do; each candidate pair that is not joined
@@ -127,6 +128,27 @@ def predicted(hist: np.ndarray, width: int, radius: int) -> list[float]:
     return out
 
 
+def second_level(bits: list[int], radius: int) -> list[list[int]]:
+    """The bits outside a partition dealt into radius + 1 groups: a pair within the radius agrees on one of them whole."""
+    rest = [b for b in range(64) if b not in bits]
+    return [rest[i::radius + 1] for i in range(radius + 1)]
+
+
+def deepened(costs: list[float], bits: list[int], radius: int, n: int) -> list[tuple[float, bool]]:
+    """For each threshold the cheaper of cells by the partition's value and of cells by that and a group of the other bits, and which it is.
+
+    With many fingerprints the values of one partition are too few: keys of both have fewer candidates and radius + 1 times the rows.
+    """
+    width, groups = (64 - len(bits)) // (radius + 1), radius + 1
+    out, probes = [(0.0, False)], 0
+    for t, cost in enumerate(costs[1:]):
+        probes += math.comb(len(bits), t)
+        rows = ROW_COST * probes * n
+        deep = (cost - rows) * groups / 2**width + rows * groups
+        out.append(min((cost, False), (deep, True)))
+    return out
+
+
 #: What a row that is sent costs, in comparisons of two fingerprints within a cell.
 ROW_COST = 64.0
 
@@ -149,10 +171,10 @@ def roughly(ones: np.ndarray, n: int, groups: list[list[int]], radius: int) -> f
 
 
 class Plan:
-    """How one column of fingerprints is searched: bits of each partition, thresholds, and into how many fragments heavy values are split."""
+    """How one column of fingerprints is searched: bits of each partition, thresholds, the groups of other bits that make its keys wider, and into how many fragments heavy values are split."""
 
-    def __init__(self, groups: list[list[int]], thresholds: list[int], heavy: list[np.ndarray]):
-        self.groups, self.thresholds, self.heavy = groups, thresholds, heavy
+    def __init__(self, groups: list[list[int]], thresholds: list[int], wider: list[list[list[int]]], heavy: list[np.ndarray]):
+        self.groups, self.thresholds, self.wider, self.heavy = groups, thresholds, wider, heavy
 
 
 def survey(nodes: DataFrame, names: list[str], radius: int, parts: range) -> list[Plan]:
@@ -202,7 +224,9 @@ def survey(nodes: DataFrame, names: list[str], radius: int, parts: range) -> lis
         for j, hist in enumerate(hists):
             part = mine[mine["part"] == j]
             hist[part["value"]] = part["n"]
-        thresholds = allot([predicted(h, len(g), radius) for h, g in zip(hists, own, strict=True)], radius)
+        costs = [deepened(predicted(h, len(g), radius), g, radius, n) for h, g in zip(hists, own, strict=True)]
+        thresholds = allot([[c for c, _ in each] for each in costs], radius)
+        wider = [second_level(g, radius) if each[t + 1][1] else [] for g, each, t in zip(own, costs, thresholds, strict=True)]
         rows = []  # of a value: its own and those that probe it
         for hist, bits, t in zip(hists, own, thresholds, strict=True):
             v, total = np.arange(len(hist)), hist.copy() if t >= 0 else np.zeros(len(hist), np.int64)
@@ -210,7 +234,8 @@ def survey(nodes: DataFrame, names: list[str], radius: int, parts: range) -> lis
                 total += np.where(v ^ m > v, hist[v ^ m], 0)
             rows.append(total)
         most = max(1024, -(-sum(int(r.sum()) for r in rows) // tasks))
-        out.append(Plan(own, thresholds, [np.maximum(1, -(-r // most)) for r in rows]))
+        # a wider key has a fraction of a value's rows, but those of near copies stay together
+        out.append(Plan(own, thresholds, wider, [np.maximum(1, -(-r // (most * (16 if w else 1)))) for r, w in zip(rows, wider, strict=True)]))
     return out
 
 
@@ -226,7 +251,7 @@ def cells(nodes: DataFrame, names: list[str], plans: list[Plan]) -> DataFrame:
             node = b.column(len(names)).to_numpy()
             for name, plan in enumerate(plans):
                 fps = b.column(name).to_numpy().view(U64)
-                for i, (bits, t, heavy) in enumerate(zip(plan.groups, plan.thresholds, plan.heavy, strict=True)):
+                for i, (bits, t, wider, heavy) in enumerate(zip(plan.groups, plan.thresholds, plan.wider, plan.heavy, strict=True)):
                     if t < 0:
                         continue
                     own = gather(fps, bits)
@@ -241,8 +266,10 @@ def cells(nodes: DataFrame, names: list[str], plans: list[Plan]) -> DataFrame:
                         cell = mix(at[keep][times].astype(U64) * U64(64 * 64) + U64(64 * name + i), 11)
                         cell = mix(cell + np.minimum(mine, other).astype(U64) * U64(1 << 32) + np.maximum(mine, other).astype(U64), 12)
                         which = keep[times]
-                        columns = [pa.array((cell % U64(4 * tasks)).astype(np.int32)), pa.array(cell.view(np.int64)), pa.array(np.full(len(times), not m)), pa.array(fps[which].view(np.int64)), pa.array(node[which])]
-                        yield pa.record_batch(columns, names=["bucket", "cell", "indexed", "fp", "node"])
+                        for j, more in enumerate(wider or [[]]):
+                            key = mix(cell + mix(gather(fps[which], more).astype(U64) + U64(j << 32), 15), 16) if more else cell
+                            columns = [pa.array((key % U64(4 * tasks)).astype(np.int32)), pa.array(key.view(np.int64)), pa.array(np.full(len(times), not m)), pa.array(fps[which].view(np.int64)), pa.array(node[which])]
+                            yield pa.record_batch(columns, names=["bucket", "cell", "indexed", "fp", "node"])
 
     return nodes.select(*names, "node").mapInArrow(deal, "bucket int, cell long, indexed boolean, fp long, node long")
 

@@ -122,3 +122,16 @@ def near_pairs(docs: DataFrame, threshold: float = 0.8) -> tuple[DataFrame, Data
              .filter(F.col("n_b") * threshold <= F.col("n_a")).select("a", "b").distinct())
     both = (pairs.join(distinct.select(F.col("set_id").alias("a"), F.col("sigs").alias("x")), "a").join(distinct.select(F.col("set_id").alias("b"), F.col("sigs").alias("y")), "b"))
     return members.select("doc_id", "set_id"), both.select("a", "b", likeness(F.col("x"), F.col("y")).alias("likeness")).filter(F.col("likeness") >= threshold)
+
+
+def neighbours(docs: DataFrame, threshold: float = 0.8) -> DataFrame:
+    """(doc_id, class_id, links) of every row: the least id of the rows with its set, and how many other sets are alike.
+
+    Rows without an id are counted too; a class of such rows only has no id.
+    """
+    members, pairs = near_pairs(docs, threshold)
+    pairs = written(pairs)
+    degree = pairs.select(F.col("a").alias("_s")).union(pairs.select("b")).groupBy("_s").agg(F.count(F.lit(1)).alias("links"))
+    classes = members.groupBy("set_id").agg(F.min("doc_id").alias("class_id"))
+    return (members.join(classes, "set_id").join(degree, F.col("set_id") == F.col("_s"), "left")
+            .select("doc_id", "class_id", F.coalesce("links", F.lit(0)).cast("long").alias("links")))

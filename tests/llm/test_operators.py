@@ -8,6 +8,7 @@ import numpy as np
 import pytest
 from hypothesis import given, settings
 from hypothesis import strategies as st
+from pyspark.sql import functions as F
 
 from embedvocab.llm import common, ctw, matroska, mixing, packing, quality_knn, simhash, spotsigs, substring_dedup, toxicity, warc
 
@@ -81,6 +82,24 @@ def test_substring_dedup_keeps_rows_and_columns(repeated, empty):
     assert substring_dedup.digest(empty).count() == 0 and substring_dedup.without_repeats(empty).count() == 0
 
 
+def test_forced_hash_collisions_are_told_apart(monkeypatch):
+    """With a first hash of 4 bits nearly all windows collide; the second, independent one still groups them by their words."""
+    import pyarrow as pa
+
+    monkeypatch.setattr(substring_dedup, "WINDOW_MASK", np.uint64(15))
+    texts = [t or "" for _, t in odd_texts()] + [prose(40 + i % 7, 200) for i in range(20)]
+    batch = pa.table({"doc_id": pa.array(range(len(texts)), pa.int64()), "text": pa.array(texts), "k": pa.array([0] * len(texts), pa.int32())})
+    p = substring_dedup._Pass(batch, 8)
+    p.probes()
+    at, h, c = p.candidates(np.ones(len(p.block_at), bool))
+    assert len(set(h.tolist())) <= 16
+    words = [w for t in p.texts for w in t.split()]
+    begin = substring_dedup._groups(h, c)
+    for a, b in zip(begin, [*begin[1:], len(h)]):
+        assert len({tuple(words[i:i + 8]) for i in at[a:b]}) == 1
+    assert len(begin) == len({tuple(words[i:i + 8]) for i in at})
+
+
 # ---------------------------------------------------------------- 2 media columns
 
 @pytest.mark.parametrize("lacing", list(matroska.LACING))
@@ -207,6 +226,24 @@ def test_packing_wastes_less_than_a_sequence(lengths):
     assert len({at for own in pieces for _, _, at, _ in own}) <= -(-sum(lengths) // 64)
 
 
+@settings(max_examples=80, deadline=None)
+@given(st.lists(st.integers(1, 63), max_size=40))
+def test_packing_takes_the_cheapest_sequence_with_room(lengths):
+    """The rule in plain words: longest first, ties in order; lowest cost with room, ties to the first; else cut over the roomiest."""
+    rooms, costs, want = [64] * -(-sum(lengths) // 64), [0.0] * -(-sum(lengths) // 64), [[] for _ in lengths]
+    for doc in sorted(range(len(lengths)), key=lambda i: (-lengths[i], i)):
+        left = lengths[doc]
+        while left:
+            fits = [i for i, r in enumerate(rooms) if r >= left] if left == lengths[doc] else []
+            at = min(fits, key=lambda i: (costs[i], i)) if fits else max(range(len(rooms)), key=lambda i: (rooms[i], -i))
+            n = min(left, rooms[at])
+            want[doc].append((lengths[doc] - left, n, at, 64 - rooms[at]))
+            rooms[at] -= n
+            costs[at] += n + n * n / 64
+            left -= n
+    assert packing.assign(lengths, 64, 1 / 64) == want
+
+
 @settings(max_examples=150, deadline=None)
 @given(st.text(st.sampled_from(list("ab1 .,'\n\té日² ")), max_size=30))
 def test_token_ids_equal_the_tokenizer(text):
@@ -366,6 +403,16 @@ def test_spotsigs_is_native(docs):
     assert "Python" not in plan and "Arrow" not in plan and "Pandas" not in plan
 
 
+def test_spotsigs_links(spark, repeated, empty):
+    texts = [prose(7, 300), prose(7, 300), None, "", prose(9, 40), " ".join(w if i % 60 else "zz" + w for i, w in enumerate(prose(7, 300).split())), prose(11, 200)]
+    df = spark.createDataFrame([(i + 1, t) for i, t in enumerate(texts)], "doc_id long, text string")
+    sets = [frozenset(plain_signatures(t or "")) for t in texts]
+    distinct = set(sets)
+    want = [(i + 1, 1 + sets.index(s), sum(o != s and len(o & s) / len(o | s) >= 0.8 for o in distinct)) for i, s in enumerate(sets)]
+    assert sorted(map(tuple, spotsigs.neighbours(df).collect())) == want and any(n for *_, n in want)
+    assert spotsigs.neighbours(repeated).count() == repeated.count() and spotsigs.neighbours(empty).count() == 0
+
+
 # ---------------------------------------------------------------- 8 SimHash
 
 def test_simhash(spark, docs):
@@ -373,8 +420,11 @@ def test_simhash(spark, docs):
     assert sorted(map(tuple, simhash.digest(docs).collect())) == sorted(simhash.brute_force(rows))
 
 
-@pytest.mark.parametrize("parts", [4, 5])
-def test_links_join_what_brute_force_joins(spark, parts):
+@pytest.mark.parametrize(("parts", "wide"), [(4, False), (5, False), (4, True), (6, True)])
+def test_links_join_what_brute_force_joins(spark, parts, wide, monkeypatch):
+    if wide:  # as with so many fingerprints that rows are cheap against candidates
+        monkeypatch.setattr(simhash, "ROW_COST", 0.0)
+        assert simhash.deepened([0.0, 9.0, 9.0], list(range(16)), 3, 5) == [(0.0, False), (9.0 * 4 / 4096, True), (9.0 * 4 / 4096, True)]
     r = random.Random(parts)
     seeds = [r.getrandbits(64) for _ in range(40)]
     fps = sorted({s ^ sum(1 << b for b in r.sample(range(64), r.randint(0, 5))) for s in seeds for _ in range(60)} | {0, 1, 2**64 - 1})
@@ -415,6 +465,13 @@ def test_thresholds_by_dynamic_programming():
     assert sum(c[t + 1] for c, t in zip(costs, got)) == min(every)[0] and sum(got) == 1
 
 
+def test_radius_follows_from_the_similarity():
+    assert simhash.radius_of(0.8) > simhash.radius_of(0.9) > simhash.radius_of(0.99) >= 0
+    p = np.arccos(np.sqrt(0.8)) / np.pi
+    draws = np.random.default_rng(1).binomial(64, p, (20_000, simhash.PRINTS))
+    assert (draws.min(axis=1) > simhash.radius_of(0.8)).mean() <= simhash.MISS
+
+
 def test_chain_of_links_is_one_component(spark):
     edges = spark.createDataFrame([(i, i + 1) for i in range(60)] + [(100, 101)], "a long, b long")
     assert {r.root for r in simhash.components(edges).filter("node <= 60").collect()} == {0}
@@ -489,3 +546,55 @@ def test_probabilities_sum_to_one():
     for context in (code[100] >> np.uint64(8), np.uint64(0x010203)):
         every = (context << np.uint64(8)) | np.arange(256, dtype=np.uint64)
         assert np.exp(ctw.log_probability(every, levels)).sum() == pytest.approx(1.0)
+
+
+# ---------------------------------------------------------------- very long texts, ties, repeated rows
+
+@pytest.fixture(scope="module")
+def very_long(spark):
+    """Two texts of 2 MB that share half, their exact copy, and a short row: in one task of one table."""
+    half = prose(50, 150_000)
+    a, b = half + " " + prose(51, 150_000), prose(52, 150_000) + " " + half
+    return spark.createDataFrame([(1, a, "en", "s", 1), (2, b, "en", "s", 1), (3, a, "en", "t", 1), (4, "short text", "en", None, 1)], SCHEMA).coalesce(1)
+
+
+def test_very_long_texts(spark, both, very_long):
+    texts = {r.doc_id: r.text for r in very_long.collect()}
+    got = {r.doc_id: r for r in substring_dedup.digest(very_long).collect()}
+    assert got[1].n_removed == got[1].n_words == got[3].n_removed and 150_000 <= got[2].n_removed < got[2].n_words and got[4].n_removed == 0
+    media = {r.doc_id: r for r in matroska.digest(very_long).collect()}
+    assert all(media[i].n_bytes == len(t.encode()) for i, t in texts.items()) and media[1].media_sha256 == media[3].media_sha256
+    pages = very_long.selectExpr("doc_id as page_id", "'u' as url", "text as html")
+    assert {r.page_id: (r.payload_bytes, r.record_type, r.refers_to) for r in warc.digest(pages).collect()}[1] == (len(texts[1].encode()), "revisit", 3)
+    packed = packing.pack(very_long).collect()
+    assert {i: sum(r.length for r in packed if r.doc_id == i) for i in texts} == {r.doc_id: r.doc_tokens for r in packed}
+    for operator in (quality_knn, toxicity):
+        scored = {r.doc_id: r.score for r in operator.scores(very_long, operator.fit(*both)).collect()}
+        assert len(scored) == 4 and scored[1] == scored[3]
+    spots = {r.doc_id: r for r in spotsigs.digest(very_long).collect()}
+    assert spots[1].fingerprint == spots[3].fingerprint and spots[1].n_chars == len(texts[1])
+    assert {r.doc_id: r.component_id for r in simhash.digest(very_long).collect()}[3] == 1
+    assert sorted(r.doc_id for r in simhash.keep_one(very_long).collect()) == [1, 2, 4]
+    assert {r.doc_id: r.size for r in mixing.digest(very_long).collect()}[2] == 300_000
+    trees = {r.doc_id: r for r in ctw.scores(very_long).collect()}
+    assert trees[1].score == trees[3].score < 0 and trees[1].n_tokens == 300_001
+
+
+def test_ties_have_one_result(spark, both):
+    """Rows alike in all that an operator looks at get the same results in any order and any partitioning."""
+    rows = [(i, prose(i // 4, 80), "en", "s", 1) for i in range(24)]
+    df = spark.createDataFrame(rows, SCHEMA)
+    models = [(quality_knn, quality_knn.fit(*both)), (toxicity, toxicity.fit(*both))]
+    for make in (lambda d: substring_dedup.digest(d, 20), matroska.digest, spotsigs.digest, simhash.digest, mixing.digest, lambda d: ctw.scores(d).select("doc_id", "n_known", "base_score", "score"),
+                 simhash.keep_one, *(lambda d, o=o, m=m: o.scores(d, m) for o, m in models)):
+        assert sorted(map(tuple, make(df).collect())) == sorted(map(tuple, make(df.orderBy(F.desc("doc_id")).repartition(3)).collect()))
+
+
+def test_warc_rows_repeat_and_names_clash(spark):
+    html = "x" * 1200
+    rows = [(1, "u", html), (1, "u", html), (2, "u", html), (2, "u", html), (None, None, html), (3, "u", None)]
+    df = spark.createDataFrame(rows, "page_id long, url string, html string")
+    for name in ("digest", "archive", "chunk", "data", "offset", "payload_bytes", "refers_to", "record_type", "payload"):
+        df = df.withColumn(name, F.lit(7))
+    got = sorted((r.page_id or 0, r.record_type, r.refers_to) for r in warc.digest(df).collect())
+    assert got == [(0, "revisit", 2), (1, "revisit", 2), (1, "revisit", 2), (2, "response", None), (2, "response", None), (3, "response", None)]

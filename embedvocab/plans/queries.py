@@ -85,6 +85,16 @@ def vocabulary_sketched(spark, sf_dir):
     return sketched.select("corpus_id", "vocab", (F.abs(F.col("_e") - F.col("vocab")) <= 0.05 * F.col("vocab")).alias("near"))
 
 
+@query
+def lemma_top_sketched(spark, sf_dir):
+    """How many of the 20 most common lemmas of each language are among the 20 of an approximate top-k sketch: all but a few."""
+    words = fx.by_language(spark, sf_dir).select("corpus_id", F.explode("words").alias("lemma"))
+    sketched = words.groupBy("corpus_id").agg(F.expr("transform(approx_top_k(lemma, 20, 20000), x -> x.item)").alias("_top"))
+    best = coverage.ranks(coverage.frequencies(corpus.occurrences(corpus.number_words(fx.by_language(spark, sf_dir))))).filter("rank <= 20")
+    found = best.join(sketched, "corpus_id").groupBy("corpus_id").agg(F.sum(F.array_contains("_top", F.col("lemma")).cast("int")).alias("_n"), F.sum("n").alias("uses"))
+    return found.select("corpus_id", "uses", (F.col("_n") >= 18).alias("near"))
+
+
 @query
 def corpus_gap_histogram(spark, sf_dir):
     hist = revisit.histogram(revisit.gaps(_english(spark, sf_dir)))

@@ -1,4 +1,7 @@
-"""Tables in the folder that driver and executors share: they cut lineage and survive lost executors."""
+"""Tables in the folder that driver and executors share: they cut lineage and survive lost executors.
+
+All tables of an application lie in one folder of its own there, which goes when the application ends.
+"""
 
 from __future__ import annotations
 
@@ -18,11 +21,20 @@ def shared_folder(spark: SparkSession) -> str:
 
 
 def new_path(spark: SparkSession) -> str:
-    return f"{shared_folder(spark)}/{uuid.uuid4().hex}"
+    """A path of its own in the application's folder."""
+    context = spark.sparkContext
+    folder = f"{shared_folder(spark)}/embedvocab-{context.applicationId}"
+    if getattr(context, "_embedvocab_folder", None) != folder:
+        path = context._jvm.org.apache.hadoop.fs.Path(folder)
+        files = path.getFileSystem(context._jsc.hadoopConfiguration())
+        files.mkdirs(path)  # only what exists can be marked
+        files.deleteOnExit(path)
+        context._embedvocab_folder = folder
+    return f"{folder}/{uuid.uuid4().hex}"
 
 
 def stored(df: DataFrame) -> DataFrame:
     """df, written once and read from there."""
     path = new_path(df.sparkSession)
-    df.write.parquet(path)
+    df.write.option("compression", "zstd").parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)

@@ -10,7 +10,7 @@ from embedvocab.plans import fixtures as fx
 
 
 def register(spark: SparkSession, sf_dir: str | None = None, p: Boost = Boost()) -> None:
-    """SQL functions recall, boost, understanding, priority, to_days, draw; with tables, views words, lemma_ranks, gaps, reader_state, answers.
+    """SQL functions recall, boost, understanding, priority, to_days, draw and table functions segments, sentences_of; with tables, views words, lemma_ranks, gaps, reader_state, answers.
 
     SQL functions are expanded by the analyzer, so they cost what the column functions cost.
     """
@@ -23,6 +23,8 @@ def register(spark: SparkSession, sf_dir: str | None = None, p: Boost = Boost())
         ("draw", "k STRING", "CAST(conv(substr(md5(k), 1, 8), 16, 10) AS DOUBLE) / 4294967296.0D"),
     ):
         spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION {name}({args}) RETURNS DOUBLE RETURN {body}")
+    for name, columns, pattern in (("segments", "i INT, segment STRING", r"\\p{L}+|[^\\p{L}]+"), ("sentences_of", "i INT, sentence STRING", "[^.!?]+[.!?]*")):
+        spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION {name}(t STRING) RETURNS TABLE ({columns}) RETURN SELECT pos, col FROM posexplode(regexp_extract_all(t, '{pattern}', 0))")
     if sf_dir is None:
         return
     words = corpus.number_words(fx.english_words(spark, sf_dir))

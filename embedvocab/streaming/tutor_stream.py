@@ -12,36 +12,35 @@ from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 from embedvocab.functions.memory import Boost
 from embedvocab.sources.shared import new_path
 
-STATE = "lemmas array<int>, h array<double>, last array<double>, n array<int>"
-OUT = "user_id long, lemma_id int, exposures int, half_life double, last_day double"
+STATE = "lemmas array<int>, h array<double>, last array<double>, n array<int>, late array<int>"
+OUT = "user_id long, lemma_id int, exposures int, half_life double, last_day double, late int"
 
 
-def replay(stream: DataFrame, p: Boost = Boost()) -> DataFrame:
-    """(user_id, lemma_id, exposures, half_life, last_day) after each batch, for the lemmas that it touched.
+def replay(stream: DataFrame, p: Boost = Boost(), forget_days: float | None = None) -> DataFrame:
+    """(user_id, lemma_id, exposures, half_life, last_day, late) after each batch, for the lemmas that it touched.
 
-    A reader's state is one row a lemma met. Exposures are folded in order of time within a batch; those from before the
-    last revision seen count as if they came at it, so only in-order input equals the batch replay.
+    A reader's state has an entry for each lemma met. Exposures are folded in order of time within a batch; those from before the
+    last revision seen are counted in ``late`` and taken as if they came at it, so only in-order input equals the batch replay. With
+    ``forget_days``, lemmas not met for so long, by the reader's own latest exposure, leave the state and start anew.
     """
 
     def fold(key: tuple, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
-        held = {}
-        if state.exists:
-            lemmas, h, last, n = state.get
-            held = {lemma: (a, b, c) for lemma, a, b, c in zip(lemmas, h, last, n, strict=True)}
+        held = {lemma: rest for lemma, *rest in zip(*state.get, strict=True)} if state.exists else {}
         rows = pd.concat(list(batches)).sort_values(["d", "event_id"])
         touched = {}
-        for r in rows.itertuples(index=False):
-            lemma = int(r.lemma_id)
+        for lemma, d in zip(rows["lemma_id"].astype(int).tolist(), rows["d"].tolist(), strict=True):
             if lemma in held:
-                h, last, n = held[lemma]
-                t = max(0.0, r.d - last)
-                recall = 2.0 ** (-t / max(h, 1e-6))
-                held[lemma] = (h * (p.a * max(h, 1e-6) ** -p.b * p.c**-recall + p.d), max(last, r.d), n + 1)
+                h, last, n, late = held[lemma]
+                recall = 2.0 ** (-max(0.0, d - last) / max(h, 1e-6))
+                held[lemma] = [h * (p.a * max(h, 1e-6) ** -p.b * p.c**-recall + p.d), max(last, d), n + 1, late + (d < last)]
             else:
-                held[lemma] = (p.initial, float(r.d), 1)
+                held[lemma] = [p.initial, float(d), 1, 0]
             touched[lemma] = held[lemma]
-        state.update((list(held), [v[0] for v in held.values()], [v[1] for v in held.values()], [v[2] for v in held.values()]))
-        yield pd.DataFrame([(key[0], lemma, n, h, last) for lemma, (h, last, n) in touched.items()], columns=["user_id", "lemma_id", "exposures", "half_life", "last_day"])
+        if forget_days is not None:
+            latest = max(v[1] for v in held.values())
+            held = {lemma: v for lemma, v in held.items() if v[1] >= latest - forget_days}
+        state.update((list(held), *([v[i] for v in held.values()] for i in range(4))))
+        yield pd.DataFrame([(key[0], lemma, n, h, last, late) for lemma, (h, last, n, late) in touched.items()], columns=["user_id", "lemma_id", "exposures", "half_life", "last_day", "late"])
 
     rows = stream.select("user_id", "lemma_id", "event_id", (F.unix_micros("ts") / 86_400_000_000.0).alias("d"))
     return rows.groupBy("user_id").applyInPandasWithState(fold, OUT, STATE, "update", GroupStateTimeout.NoTimeout)

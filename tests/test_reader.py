@@ -65,6 +65,20 @@ def test_stream_equals_batch(spark, smoke):
     assert a == b
 
 
+def test_stream_counts_late_rows_and_forgets(spark, tmp_path):
+    from embedvocab.streaming import tutor_stream
+
+    e = exposures(spark, [(1, 1, 5, True), (1, 2, 9, True), (1, 1, 3, True)]).withColumn("value", F.lit(1.0))
+    for i in range(3):
+        e.filter(F.col("event_id") == i).coalesce(1).write.mode("append").parquet(str(tmp_path / "in"))
+    stream = lambda: spark.readStream.schema(e.schema).option("maxFilesPerTrigger", 1).option("latestFirst", "false").parquet(str(tmp_path / "in"))
+    rows = tutor_stream.drained(tutor_stream.replay(stream())).filter("lemma_id = 1").collect()
+    last = max(rows, key=lambda r: r.exposures)
+    assert (last.exposures, last.late, last.last_day) == (2, 1, 5.0)
+    kept = tutor_stream.drained(tutor_stream.replay(stream(), forget_days=2.0)).filter("lemma_id = 1").collect()
+    assert max(r.exposures for r in kept) == 1 and len(kept) == 2
+
+
 def test_language_models_sum_to_one(spark):
     docs = spark.createDataFrame([(1, "a b a b c a b".split()), (2, "c c a".split())], "doc_id long, words array<string>")
     runs = context.trigrams(docs)

@@ -11,6 +11,8 @@ def test_sql_functions_equal_columns(spark, smoke):
     a = spark.sql("SELECT recall(2.0D, 3.0D) r, boost(2.0D, 0.5D) g, understanding(0.5D, 0.5D) p, priority(0.75D, 2.0D) q, to_days(36000.0D) d, draw('42|1|7') u").first()
     b = spark.range(1).select(memory.recall(F.lit(2.0), F.lit(3.0)), memory.boost(F.lit(2.0), F.lit(0.5)), F.lit(0.75), F.lit(1.5), F.lit(1.0), rng.uniform(42, 1, 7)).first()
     assert tuple(a) == pytest.approx(tuple(b)) and a.u == 0.7576901714783162
+    assert [r.segment for r in spark.sql("SELECT * FROM segments('One two, 3')").orderBy("i").collect()] == ["One", " ", "two", ", 3"]
+    assert spark.sql("SELECT d, s.sentence FROM VALUES ('A b. C!') t(d), LATERAL sentences_of(d) s WHERE s.i = 1").first().sentence == " C!"
     assert spark.sql("SELECT count(*) n FROM words").first().n == 51997
     assert spark.sql("SELECT count(*) n FROM lemma_ranks WHERE before * 10 < total * 9").first().n == 7370
     assert spark.sql("SELECT count(*) n FROM answers").first().n == fx.answers(spark, smoke).count()

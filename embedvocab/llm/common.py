@@ -3,7 +3,6 @@
 from __future__ import annotations
 
 import ctypes
-import uuid
 import zlib
 from collections.abc import Callable, Iterable, Iterator
 
@@ -12,6 +11,8 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from embedvocab.sources.shared import stored
+
 U64 = np.uint64
 #: The bytes 0x20 and 0x09-0x0D separate words; bytes.split() splits at exactly these.
 WORD_PATTERN = r"[^\x20\x09-\x0D]+"
@@ -30,34 +31,9 @@ def shuffle_partitions(spark: SparkSession) -> int:
     return int(spark.conf.get("spark.sql.shuffle.partitions"))
 
 
-def shared_folder(spark: SparkSession) -> str:
-    """The folder of spark.checkpoint.dir, which driver and executors share; in tests, where it is unset, a local one."""
-    root = spark.sparkContext.getConf().get("spark.checkpoint.dir") or spark.conf.get("spark.checkpoint.dir", None)
-    if not root:
-        import tempfile
-
-        root = f"file://{tempfile.gettempdir()}/embedvocab-shared"
-    return root.rstrip("/")
-
-
-def written(df: DataFrame, schema_of: DataFrame | None = None) -> DataFrame:
-    """df as a Parquet table in the shared folder: cuts the lineage and survives lost executors."""
-    spark = df.sparkSession
-    path = f"{shared_folder(spark)}/{uuid.uuid4().hex}"
-    df.write.option("compression", "zstd").parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
-
-
-def drop_written(df: DataFrame) -> None:
-    """Deletes the files of a table made by written()."""
-    spark = df.sparkSession
-    root = shared_folder(spark)
-    paths = {f.rsplit("/", 1)[0] for f in df.inputFiles()}
-    jvm = spark.sparkContext._jvm
-    for p in paths:
-        if root.split(":", 1)[-1].lstrip("/") in p:
-            path = jvm.org.apache.hadoop.fs.Path(p)
-            path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
+def written(df: DataFrame) -> DataFrame:
+    """df as a Parquet table in the shared folder: cuts the lineage and survives lost executors; it goes when the application ends."""
+    return stored(df)
 
 
 def crc_remainder(doc_id: Column, modulus: int) -> Column:

@@ -275,7 +275,7 @@ def fit(docs: DataFrame, labels: DataFrame, modulus: int = 4, remainder: int = 2
             yield pa.record_batch([*(pa.array([x[i] for x in found], pa.float64()) for i in range(2)), batch.column(1).cast(pa.int32())], names=["total", "density", "label"])
         trimmed()
 
-    seen = rows.select("text", "label", "fold").mapInArrow(measured, "total double, density double, label int").orderBy("total", "density", "label").toPandas()
+    seen = rows.select("text", "label", "fold").mapInArrow(measured, "total double, density double, label int").toPandas().sort_values(["total", "density", "label"])
     return Model(learned((0, 1)), curve_of(seen[["total", "density"]].to_numpy(float), seen["label"].to_numpy(float)))
 
 

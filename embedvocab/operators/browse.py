@@ -91,7 +91,7 @@ def browse(edges: DataFrame, page_words: DataFrame, limits: tuple[int, ...], tot
     A session whose start is always followed by a stop can read that page only and stays short: see short_sessions().
     """
     spark = edges.sparkSession
-    edges, lengths = stored(edges), page_words.select(F.col("u").alias("_p"), F.col("n").cast("long").alias("_l"))
+    edges, lengths = stored(edges), stored(page_words.select(F.col("u").alias("_p"), F.col("n").cast("long").alias("_l")))
     with_words = lambda df, u: df.join(lengths, F.col(u) == F.col("_p"), "left").withColumn("n", F.coalesce("_l", F.lit(0))).drop("_p", "_l")
     moves = stored(with_words(transitions(edges), "v"))
     begin = stored(with_words(starts(edges), "u"))
@@ -105,11 +105,11 @@ def browse(edges: DataFrame, page_words: DataFrame, limits: tuple[int, ...], tot
     read: DataFrame | None = None
     dealt, missing, mean_session = dict.fromkeys(limits, 0), dict.fromkeys(limits, total), {n: n + beyond for n in limits}
     while missing:
-        more = {n: math.ceil(1.15 * words / mean_session[n]) + 5 for n, words in missing.items()}
+        more = {n: math.ceil(1.3 * words / mean_session[n]) + 5 for n, words in missing.items()}
         plan = spark.createDataFrame([(n, dealt[n], dealt[n] + k - 1) for n, k in more.items()], "corpus_id int, a int, b int")
         wanted = stored(draw_starts(plan.select("corpus_id", F.explode(F.sequence("a", "b")).alias("s")), begin, seed))
         dealt |= {n: dealt[n] + k for n, k in more.items()}
-        expected = lambda words: F.ceil(1.25 * words / a_walk).cast("int") + 1
+        expected = lambda words: F.ceil(1.5 * words / a_walk).cast("int") + 2
         batch = wanted.select("corpus_id", "s", "u", F.lit(0).alias("first"), expected(F.col("corpus_id")).alias("last"))
         rounds: list[DataFrame] = []
         while True:

@@ -118,7 +118,9 @@ def fit_alignment(pairs: DataFrame, iterations: int = 5) -> DataFrame:
         joined = cells.join(t.select(F.col("e").alias("_e"), F.col("f").alias("_f"), "t"), F.col("e").eqNullSafe(F.col("_e")) & (F.col("f") == F.col("_f")))
         share = joined.withColumn("c", F.col("m") * F.col("n") * F.col("t") / F.sum(F.col("n") * F.col("t")).over(Window.partitionBy("pair_id", "f")))
         counts = share.groupBy("e", "f").agg(F.sum("c").alias("c"))
-        t = counts.withColumn("t", F.col("c") / F.sum("c").over(Window.partitionBy("e"))).select("e", "f", "t")
+        # a word has as many translations as the vocabulary, the empty word all of them: sums are joined, no task sees them together
+        sums = counts.groupBy(F.col("e").alias("_e")).agg(F.sum("c").alias("_s"))
+        t = counts.join(sums, F.col("e").eqNullSafe(F.col("_e"))).select("e", "f", (F.col("c") / F.col("_s")).alias("t"))
         if i % 3 == 2 and i + 1 < iterations and t.sparkSession.sparkContext.getCheckpointDir():
             t = t.checkpoint()
     return t

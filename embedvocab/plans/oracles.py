@@ -37,7 +37,7 @@ ORACLES["corpus_revisit_by_lang"] = f"WITH {_BY.format(_DOCS, _EACH, 'lang', 'la
 ORACLES["author_revisit"] = f"WITH {_BY.format(_DOCS, _EACH, 'source', 'source', chr(39).join(['lang = ', 'en', '']))}, {_STATS}, {_cells((0.9,))} {_CELL_ROWS}"
 ORACLES["corpus_revisit_sketched"] = f"WITH {_EN}, {_STATS}, {_cells((0.5, 0.9))} SELECT corpus_id, alpha, round(days, 6) AS revisit_days, true AS near FROM cells"
 ORACLES["vocabulary_sketched"] = f"WITH {_DOCS}, {_EACH} SELECT lang AS corpus_id, count(DISTINCT lemma) AS vocab, true AS near FROM each GROUP BY 1"
-ORACLES["lemma_top_sketched"] = f"WITH {_DOCS}, {_EACH}, nn AS (SELECT lang AS corpus_id, lemma, count(*) AS n FROM each GROUP BY ALL QUALIFY row_number() OVER (PARTITION BY lang ORDER BY count(*) DESC, lemma) <= 20) SELECT corpus_id, sum(n)::BIGINT AS uses, true AS near FROM nn GROUP BY 1"
+ORACLES["lemma_top_sketched"] = f"WITH {_DOCS}, {_EACH}, nn AS (SELECT lang AS corpus_id, lemma, count(*) AS n FROM each GROUP BY lang, lemma QUALIFY row_number() OVER (PARTITION BY lang ORDER BY count(*) DESC, lemma) <= 20) SELECT corpus_id, sum(n)::BIGINT AS uses, true AS near FROM nn GROUP BY 1"
 ORACLES["lemma_revisit_top"] = f"WITH {_EN}, {_STATS} SELECT lemma, n, rank, round(d, 6) AS revisit_days FROM ranked LEFT JOIN days USING (corpus_id, lemma) WHERE rank <= 100"
 ORACLES["corpus_gap_histogram"] = f"WITH {_EN}, {_STATS} SELECT floor(g / 36000.0)::INTEGER AS day_bucket, count(*) AS gaps FROM gap WHERE g IS NOT NULL GROUP BY 1"
 ORACLES["corpus_gaps_between"] = f"WITH {_EN}, {_STATS} SELECT corpus_id, count(*) AS gaps, sum(g - 1)::BIGINT AS words_between FROM gap WHERE g IS NOT NULL GROUP BY 1"

@@ -1,5 +1,7 @@
 """Queries against their SQL on the smallest tables, and what must hold without the llm subpackage."""
 
+import os
+import shutil
 import subprocess
 import sys
 from pathlib import Path
@@ -12,7 +14,7 @@ import __spark_entry__ as entry
 REPO = Path(__file__).resolve().parents[1]
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
 #: One of each family; the driver compares all of them.
-CHECKED = ["corpus_revisit_en", "book_revisit", "browse_sessions", "tutor_feedback", "tutor_asof", "lm_kneser_ney", "select_topk", "render_marked", "word_pool", "mc_items", "rq1_within_word", "rq3_overhead", "guess_moments"]
+CHECKED = ["corpus_revisit_en", "book_revisit", "browse_sessions", "tutor_feedback", "tutor_asof", "lm_kneser_ney", "select_topk", "render_marked", "word_pool", "mc_items", "rq1_within_word", "rq3_overhead", "guess_moments", "tutor_quiz", "select_rescored", "snippet_cover", "guess_rank"]
 
 
 def plain(v):
@@ -40,11 +42,22 @@ def test_oracles_belong_to_queries():
     assert set(entry.oracle_sql()) <= set(entry.queries())
 
 
-def test_core_imports_without_llm(tmp_path):
-    """The subpackage and the pipeline can be deleted: the entry module and all other queries stay."""
-    import shutil
+def without_llm(to):
+    """A copy of the repository's core, as it is when the subpackage, its tests and the pipeline have been deleted."""
+    shutil.copytree(REPO / "embedvocab", to / "embedvocab", ignore=shutil.ignore_patterns("llm", "__pycache__"))
+    shutil.copytree(REPO / "tests", to / "tests", ignore=shutil.ignore_patterns("llm", "__pycache__"))
+    shutil.copy(REPO / "__spark_entry__.py", to)
+
 
-    shutil.copytree(REPO / "embedvocab", tmp_path / "embedvocab", ignore=shutil.ignore_patterns("llm", "__pycache__"))
-    shutil.copy(REPO / "__spark_entry__.py", tmp_path)
+def test_core_imports_without_llm(tmp_path):
+    """The entry module and all other queries stay."""
+    without_llm(tmp_path)
     code = "import __spark_entry__ as e; q = e.queries(); assert 'corpus_revisit_en' in q and not any(n.startswith('op') for n in q), q"
     subprocess.run([sys.executable, "-c", code], cwd=tmp_path, check=True)
+
+
+@pytest.mark.skipif(bool(os.environ.get("EMBEDVOCAB_NESTED")), reason="runs within the copy")
+def test_core_suite_passes_without_llm(tmp_path):
+    without_llm(tmp_path)
+    run = subprocess.run([sys.executable, "-m", "pytest", "tests", "-x", "-q"], cwd=tmp_path, env=os.environ | {"EMBEDVOCAB_NESTED": "1"}, capture_output=True, text=True)
+    assert run.returncode == 0, run.stdout[-3000:]

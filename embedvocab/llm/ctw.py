@@ -13,7 +13,9 @@ model is broadcast. The base score's word counts travel the same way. The text i
 
 The scored text is the words in lower case (A-Z), joined by one space, and a line end; the context at its start is line
 ends. Null and empty texts are the end alone. Rows with null ids are documents like others. Repeated rows are counted
-and scored as often as they occur. Extra columns are ignored.
+and scored as often as they occur; equal texts have equal scores. A very long text is one row of its batch, whose runs are sorted
+some megabytes at a time. A bucket holds the runs of the two-byte contexts that fall to it, a bounded number however large the
+corpus, and batches send no text there. Extra columns, whatever their names, are ignored.
 """
 
 from __future__ import annotations

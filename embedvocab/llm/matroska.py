@@ -6,7 +6,8 @@ variable-length element ids and sizes, unknown sizes included, and all four kind
 frame with its timestamp, track and byte range. Each text is muxed and parsed by itself, in one task.
 
 Null and empty texts give one frame of padding. Equal texts give equal bytes. Rows with null ids and repeated rows
-are stored like others. Extra columns are ignored.
+are stored like others. A very long text is muxed and parsed whole, in a small multiple of its length. Extra columns, whatever
+their names, are ignored.
 """
 
 from __future__ import annotations

@@ -10,8 +10,9 @@ Rounds are made within a task from a bounded number of documents; nothing is shu
 file, which holds the same vocabulary as the tokenizer file and is the faster; texts with the end-of-text marker,
 which the tokenizer file treats apart, go through that. A run between single spaces is encoded once and kept.
 
-Null and empty texts are the end id alone. Rows with null ids and repeated rows are packed like others. Extra
-columns are ignored.
+Null and empty texts are the end id alone. Rows with null ids and repeated rows are packed like others. Documents of equal length
+are packed in the order in which they are read, and of sequences of equal cost the first is taken. A very long text is encoded
+whole; all but its last part is written out at once. Extra columns, whatever their names, are ignored.
 """
 
 from __future__ import annotations
@@ -32,7 +33,7 @@ from embedvocab.llm.common import arrow_rows, columns, trimmed
 
 MARKER = "<|endoftext|>"
 #: Runs of characters kept encoded in a worker before the store is emptied.
-KEPT_RUNS = 250_000
+KEPT_RUNS = 400_000
 
 _ODD_SPACE = re.compile(r"\s[^\S ]|[^\S ] |  |^ | $|[^\S ]$")
 

@@ -9,7 +9,8 @@ rarest signatures, and verified.
 A text without anchored chains is fingerprinted by all its word pairs, one with fewer than two words by itself.
 Null texts are empty. For the next document in order of ids, documents are dealt into ranges of ids, each with a copy of
 the next range's first, so that no task sees them all. Rows with null ids have no next document. Repeated ids are
-ordered by their text. Extra columns are ignored.
+ordered by their text. A very long text takes memory of a small multiple of its length. Signatures that are equally rare are
+ordered by their value. Extra columns, whatever their names, are ignored.
 """
 
 from __future__ import annotations

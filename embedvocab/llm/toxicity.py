@@ -16,7 +16,7 @@ The lexicon and the curve are fitted on at most ``sample`` labelled rows (the fi
 documents are scored whole, in time linear in their length. Repeated texts count once in training; of rows that share
 a text, one that is toxic makes it toxic.
 
-Null and empty texts and texts without a match get the curve's value at zero. Labels of ids without a text are ignored; a
+A very long text takes memory of a small multiple of its longest clause that matches. Null and empty texts and texts without a match get the curve's value at zero. Labels of ids without a text are ignored; a
 null label is no label. Rows with null ids are scored, never trained on. Repeated rows get equal scores. Words that tie in
 weight enter the lexicon by length, then by code point. Without toxic or without clean training rows the score is 1 - exp(-sum). Extra columns,
 whatever their names, are ignored by scores() and kept by keep_clean().

@@ -17,15 +17,16 @@ Near copies (keep_one) are defined by the exact Jaccard of their sets of shingle
 over several independent fingerprints, of words, as words differ less than shingles do; each candidate pair that is not joined
 yet is verified on the sets themselves.
 
-Null texts are empty; a text without words has fingerprint zero and links like any other. Rows with null ids get
-the component of their fingerprint. Repeated rows share a fingerprint. Extra columns are ignored.
+Null texts are empty; a text without words has fingerprint zero and links like any other. A bit that half of the shingles set is 0.
+Rows with null ids get the component of their fingerprint, whose id is null if no row of it has one. Repeated rows share a
+fingerprint. A very long text is hashed whole; its bits are counted some thousand shingles at a time. Extra columns are ignored.
 """
 
 from __future__ import annotations
 
 import math
 import struct
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from itertools import combinations, repeat
 
 import numpy as np
@@ -34,7 +35,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from embedvocab.llm.common import U64, Words, distinct, grouped, mix, per_document, shuffle_partitions, written
+from embedvocab.llm.common import U64, Words, arrow_rows, distinct, grouped, mix, per_document, shuffle_partitions, written
 
 SEED = 42
 
@@ -151,6 +152,8 @@ def deepened(costs: list[float], bits: list[int], radius: int, n: int) -> list[t
 
 #: What a row that is sent costs, in comparisons of two fingerprints within a cell.
 ROW_COST = 64.0
+#: Counts of a partition's values that travel as one row.
+CHUNK = 256
 
 
 def roughly(ones: np.ndarray, n: int, groups: list[list[int]], radius: int) -> float:
@@ -203,6 +206,8 @@ def survey(nodes: DataFrame, names: list[str], radius: int, parts: range) -> lis
         ones = np.diag(both)
         groups.append(min((bit_groups(ones, both, n, k) for k in parts), key=lambda g: roughly(ones, n, g, radius)))
 
+    schema = pa.schema([("name", pa.int32()), ("part", pa.int32()), ("chunk", pa.int32()), ("counts", pa.binary())])
+
     def values(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         seen = [[np.zeros(1 << len(bits), np.int64) for bits in own] for own in groups]
         for b in batches:
@@ -211,24 +216,26 @@ def survey(nodes: DataFrame, names: list[str], radius: int, parts: range) -> lis
                 for at, bits in zip(seen[i], own, strict=True):
                     at += np.bincount(gather(fps, bits), minlength=len(at))
         for i, own in enumerate(seen):
-            for j, at in enumerate(own):
-                v = np.flatnonzero(at)
-                yield pa.record_batch([pa.array(np.full(len(v), i), pa.int32()), pa.array(np.full(len(v), j), pa.int32()), pa.array(v, pa.int32()), pa.array(at[v])], names=["name", "part", "value", "n"])
-
-    found = prints.mapInArrow(values, "name int, part int, value int, n long").groupBy("name", "part", "value").agg(F.sum("n").alias("n")).toPandas()
+            chunks = ((i, j, k, at[k * CHUNK:(k + 1) * CHUNK].tobytes()) for j, at in enumerate(own) for k in range(-(-len(at) // CHUNK)))
+            yield from arrow_rows(schema, chunks).to_batches()
+
+    def add(rows: pa.Table) -> pa.Table:
+        total = sum(np.frombuffer(c.as_buffer(), np.int64) for c in rows.column("counts"))
+        return arrow_rows(schema, [(*(rows.column(c)[0].as_py() for c in ("name", "part", "chunk")), total.tobytes())])
+
+    ddl = "name int, part int, chunk int, counts binary"
+    hists = [[np.zeros(1 << len(bits), np.int64) for bits in own] for own in groups]
+    for r in prints.mapInArrow(values, ddl).groupBy("name", "part", "chunk").applyInArrow(grouped(add), ddl).collect():
+        counts = np.frombuffer(r["counts"], np.int64)
+        hists[r["name"]][r["part"]][r["chunk"] * CHUNK:r["chunk"] * CHUNK + len(counts)] = counts
     tasks = shuffle_partitions(nodes.sparkSession)
     out = []
     for i, own in enumerate(groups):
-        mine = found[found["name"] == i]
-        hists = [np.zeros(1 << len(bits), np.int64) for bits in own]
-        for j, hist in enumerate(hists):
-            part = mine[mine["part"] == j]
-            hist[part["value"]] = part["n"]
-        costs = [deepened(predicted(h, len(g), radius), g, radius, n) for h, g in zip(hists, own, strict=True)]
+        costs = [deepened(predicted(h, len(g), radius), g, radius, n) for h, g in zip(hists[i], own, strict=True)]
         thresholds = allot([[c for c, _ in each] for each in costs], radius)
         wider = [second_level(g, radius) if each[t + 1][1] else [] for g, each, t in zip(own, costs, thresholds, strict=True)]
         rows = []  # of a value: its own and those that probe it
-        for hist, bits, t in zip(hists, own, thresholds, strict=True):
+        for hist, bits, t in zip(hists[i], own, thresholds, strict=True):
             v, total = np.arange(len(hist)), hist.copy() if t >= 0 else np.zeros(len(hist), np.int64)
             for m in flips(len(bits), t) if t >= 0 else []:
                 total += np.where(v ^ m > v, hist[v ^ m], 0)
@@ -292,11 +299,11 @@ def _merge(label: np.ndarray, a: np.ndarray, b: np.ndarray) -> None:
             label[:] = up
 
 
-def forest(cell: np.ndarray, fps: np.ndarray, indexed: np.ndarray, radius: int) -> tuple[np.ndarray, np.ndarray]:
-    """Edges, as pairs of places, that join all fingerprints linked within a cell; at least one of a pair must be indexed."""
+def forest(cell: np.ndarray, near: Callable[[np.ndarray, np.ndarray], np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
+    """Edges, as pairs of places, that join all places linked within a cell; near tells of places, arrays that broadcast, which are linked."""
     order = np.argsort(cell, kind="stable")
-    cell, fps, indexed = cell[order], fps[order], indexed[order]
-    n = len(fps)
+    cell = cell[order]
+    n = len(cell)
     label = np.arange(n)
     begin = np.flatnonzero(np.concatenate([[True], cell[1:] != cell[:-1]])) if n else np.zeros(0, int)
     size = np.diff([*begin, n])
@@ -305,21 +312,24 @@ def forest(cell: np.ndarray, fps: np.ndarray, indexed: np.ndarray, radius: int)
         i = np.flatnonzero((cell[:-gap] == cell[gap:]) & small[:-gap]) if n > gap else np.zeros(0, int)
         if not len(i):
             break
-        ok = (np.bitwise_count(fps[i] ^ fps[i + gap]) <= radius) & (indexed[i] | indexed[i + gap])
-        _merge(label, i[ok], i[ok] + gap)
+        i = i[near(order[i], order[i + gap])]
+        _merge(label, i, i + gap)
     for s, c in zip(begin[size > 48], size[size > 48], strict=True):
-        own = fps[s:s + c]
-        for at in range(0, c, 256):
-            end = min(at + 256, c)
-            near = np.bitwise_count(own[at:end, None] ^ own[None, at:]) <= radius
-            near &= indexed[s + at:s + end, None] | indexed[None, s + at:s + c]
-            near &= label[s + at:s + end, None] != label[None, s + at:s + c]
-            a, b = np.nonzero(near)
-            _merge(label, a + s + at, b + s + at)
+        for at in range(s, s + c, 256):
+            end = min(at + 256, s + c)
+            linked = near(order[at:end, None], order[None, at:s + c])
+            linked &= label[at:end, None] != label[None, at:s + c]
+            a, b = np.nonzero(linked)
+            _merge(label, a + at, b + at)
     child = np.flatnonzero(label != np.arange(n))
     return order[child], order[label[child]]
 
 
+def within(fps: np.ndarray, indexed: np.ndarray, radius: int) -> Callable[[np.ndarray, np.ndarray], np.ndarray]:
+    """Links of fingerprints that differ in so many bits at most, of which at least one is indexed."""
+    return lambda a, b: (np.bitwise_count(fps[a] ^ fps[b]) <= radius) & (indexed[a] | indexed[b])
+
+
 def links(nodes: DataFrame, radius: int = 3, parts: range = range(4, 9)) -> DataFrame:
     """(a, b): edges between the nodes (node, fp) of distinct fingerprints whose closure is that of all pairs within radius.
 
@@ -330,7 +340,7 @@ def links(nodes: DataFrame, radius: int = 3, parts: range = range(4, 9)) -> Data
 
     def verify(rows: pa.Table) -> pa.Table:
         column = lambda c: rows.column(c).to_numpy()
-        a, b = forest(column("cell"), column("fp").view(U64), column("indexed").astype(bool), radius)
+        a, b = forest(column("cell"), within(column("fp").view(U64), column("indexed").astype(bool), radius))
         return pa.table({"a": column("node")[a], "b": column("node")[b]})
 
     return cells(nodes, ["fp"], survey(nodes, ["fp"], radius, parts)).groupBy("bucket").applyInArrow(grouped(verify), "a long, b long").distinct()
@@ -374,9 +384,11 @@ def near_duplicates(docs: DataFrame, shingle: int = 3, radius: int = 3, parts: r
 # ---------------------------------------------------------------- near copies by exact Jaccard
 
 #: Independent fingerprints of a text's words that search for near copies, and the share of the hardest pairs they may miss.
-PRINTS, MISS = 6, 0.1
-#: Members of a candidate group, beyond which it is split into fragments.
-CELL = 256
+PRINTS, MISS = 4, 0.2
+#: Partitions of a print; with more, rows are fewer and candidates more.
+PARTS = range(6, 7)
+#: Members of a candidate group, and shingles of them all, beyond which it is split into fragments.
+CELL, CELL_SHINGLES = 2048, 1 << 22
 #: Distinct words whose bits are counted at once.
 _AT_ONCE = 1 << 14
 
@@ -425,16 +437,17 @@ def word_prints(words: np.ndarray) -> np.ndarray:
 
 
 def copy_prints(docs: DataFrame, shingle: int) -> DataFrame:
-    """(_id, _hash, node, p0, p1, ...) of docs (doc_id, text): equal sets of shingles are one node; the hash is that of the text."""
+    """(_id, _hash, node, size, p0, p1, ...) of docs (doc_id, text): equal sets of shingles are one node; the hash is that of the text."""
     names = [f"p{i}" for i in range(PRINTS)]
-    schema = pa.schema([("_id", pa.int64()), ("_hash", pa.int64()), ("node", pa.int64()), *((c, pa.int64()) for c in names)])
+    schema = pa.schema([("_id", pa.int64()), ("_hash", pa.int64()), ("node", pa.int64()), ("size", pa.int64()), *((c, pa.int64()) for c in names)])
 
     def run(ids: list, texts: list[bytes]) -> Iterator[tuple]:
         w = Words([t.lower() for t in texts])
         runs = w.rolling(shingle)
         for doc_id, text, a, b in zip(ids, texts, w.first[:-1], w.first[1:], strict=True):
             own = int(np.uint64(xxhash.xxh64_intdigest(text, SEED)).view(np.int64))
-            yield doc_id, own, node_of(_shingles(w, runs, a, b, shingle)), *word_prints(distinct(w.hash[a:b])).tolist()
+            shingles = _shingles(w, runs, a, b, shingle)
+            yield doc_id, own, node_of(shingles), len(shingles), *word_prints(distinct(w.hash[a:b])).tolist()
 
     ddl = ", ".join(f"{f} long" for f in schema.names)
     return per_document(docs, run, schema, ddl, most=4 << 20)
@@ -468,41 +481,74 @@ def who(doc_id: Column, text_hash: Column) -> list[Column]:
     return [doc_id.isNull().alias("_none"), F.coalesce(doc_id.cast("long"), F.lit(0)).alias("_id"), text_hash.alias("_hash")]
 
 
-def verified(cells: DataFrame, texts: DataFrame, shingle: int, similarity: float) -> DataFrame:
-    """(a, b) from cells (cell, node, root): edges of exact Jaccard that join, besides equal roots, all such pairs of each cell; texts (text) are those of the nodes."""
+#: Rows of a table that a join broadcasts, some 25 MB; beyond it both sides are shuffled.
+SMALL = 1 << 20
+
+
+def small(table: DataFrame) -> DataFrame:
+    """A written table, to be broadcast if it is counted to be small, so that texts stay where they are."""
+    return F.broadcast(table) if table.count() <= SMALL else table
+
+
+def verified(cells: DataFrame, rows: DataFrame, shingle: int, similarity: float) -> DataFrame:
+    """(a, b) from cells (cell, node, root, _none, _id, _hash): edges of exact Jaccard that join, besides equal roots, all such pairs of each cell.
+
+    rows (_none, _id, _hash, text) have the texts, which travel once to their row's cell.
+    """
     tasks = shuffle_partitions(cells.sparkSession)
-    schema = pa.schema([("_set_of", pa.int64()), ("own", pa.binary())])
-    made = per_document(texts.select(F.lit(0).alias("doc_id"), "text"), lambda ids, ts: ((node_of(s), s.tobytes()) for s in shingle_sets(ts, shingle)), schema, "_set_of long, own binary")
-    sets = made.groupBy("_set_of").agg(F.first("own").alias("own"))
 
-    def verify(rows: pa.Table) -> pa.Table:
-        rows = rows.sort_by([("cell", "ascending"), ("node", "ascending")])
-        cell, node, root = (rows.column(c).to_numpy() for c in ("cell", "node", "root"))
-        own = [np.frombuffer(x.as_buffer(), U64) for x in rows.column("own")]
+    def verify(table: pa.Table) -> pa.Table:
+        table = table.sort_by([("cell", "ascending"), ("node", "ascending")])
+        cell, node, root = (table.column(c).to_numpy() for c in ("cell", "node", "root"))
+        first = np.concatenate([[True], (cell[1:] != cell[:-1]) | (node[1:] != node[:-1])])  # rows that repeat id and text
+        table, cell, node, root = table.filter(pa.array(first)), cell[first], node[first], root[first]
+        text = table.column("text").cast(pa.binary())
         edges: list[tuple[int, int]] = []
         for at, end in zip(begin := [0, *(np.flatnonzero(cell[1:] != cell[:-1]) + 1)], [*begin[1:], len(cell)], strict=True):
-            edges += [(at + i, at + j) for i, j in alike(own[at:end], root[at:end], similarity)]
+            sets = list(shingle_sets(text.slice(at, end - at).to_pylist(), shingle))
+            edges += [(at + i, at + j) for i, j in alike(sets, root[at:end], similarity)]
         pairs = np.array(edges, int).reshape(-1, 2)
         return pa.table({"a": node[pairs[:, 0]], "b": node[pairs[:, 1]]})
 
-    rows = cells.join(sets, F.col("node") == F.col("_set_of")).select(F.pmod(F.xxhash64("cell"), F.lit(4 * tasks)).cast("int").alias("bucket"), "cell", "node", "root", "own")
-    return written(rows.groupBy("bucket").applyInArrow(grouped(verify), "a long, b long").distinct())
+    placed = written(cells.withColumn("bucket", F.pmod(F.xxhash64("cell"), F.lit(4 * tasks)).cast("int")))
+    joined = rows.join(small(placed), _WHO).select("bucket", "cell", "node", "root", "text")
+    return written(joined.groupBy("bucket").applyInArrow(grouped(verify), "a long, b long").distinct())
 
 
-def candidate_groups(nodes: DataFrame, radius: int) -> DataFrame:
-    """(cell, node, n): in each cell of the search the groups, of n nodes, that links within radius bits of one print join; no pair is listed."""
-    names = [f"p{i}" for i in range(PRINTS)]
+def wide_limit(similarity: float) -> int:
+    """Bits of all prints together within which the hardest pairs of this similarity lie, see radius_of(), but for some 2 in 10,000."""
+    p, n = math.acos(math.sqrt(similarity)) / math.pi, 64 * PRINTS
+    return math.floor(n * p + 3.5 * math.sqrt(n * p * (1 - p)))
+
+
+def candidate_groups(nodes: DataFrame, similarity: float) -> DataFrame:
+    """(node, cell): groups of nodes such that pairs of which one print lies within the radius, and all together within the wide limit, share one; no pair is listed.
+
+    In each cell of the search the links by one print join nodes to groups. These get all prints, by which most chance links fall
+    apart. What is left of all cells joins to components, so that a node is in one group and its text travels to one place.
+    """
+    names, radius, limit = [f"p{i}" for i in range(PRINTS)], radius_of(similarity), wide_limit(similarity)
 
     def group(rows: pa.Table) -> pa.Table:
         cell, node = rows.column("cell").to_numpy(), rows.column("node").to_numpy()
-        child, root = forest(cell, rows.column("fp").to_numpy().view(U64), rows.column("indexed").to_numpy().astype(bool), radius)
-        heads, size = np.unique(root, return_counts=True)
+        child, root = forest(cell, within(rows.column("fp").to_numpy().view(U64), rows.column("indexed").to_numpy().astype(bool), radius))
+        heads = np.unique(root)
         head = np.concatenate([root, heads])
         name = mix(cell[head].view(U64) + mix(node[head].view(U64), 13), 14).view(np.int64)
-        n = size[np.searchsorted(heads, head)] + 1 if len(heads) else head
-        return pa.table({"cell": name, "node": node[np.concatenate([child, heads])], "n": n.astype(np.int64)})
+        return pa.table({"cell": name, "node": node[np.concatenate([child, heads])]})
+
+    def refine(rows: pa.Table) -> pa.Table:
+        node = rows.column("node").to_numpy()
+        fps = [rows.column(c).to_numpy().view(U64) for c in names]
+        a, b = forest(rows.column("cell").to_numpy(), lambda a, b: sum(np.bitwise_count(f[a] ^ f[b]).astype(np.int16) for f in fps) <= limit)
+        return pa.table({"a": node[a], "b": node[b]})
 
-    return written(cells(nodes, names, survey(nodes, names, radius, range(4, 9))).groupBy("bucket").applyInArrow(grouped(group), "cell long, node long, n long"))
+    found = written(cells(nodes, names, survey(nodes, names, radius, PARTS)).groupBy("bucket").applyInArrow(grouped(group), "cell long, node long"))
+    tasks = shuffle_partitions(nodes.sparkSession)
+    wide = found.join(nodes.select("node", *names), "node").withColumn("bucket", F.pmod(F.xxhash64("cell"), F.lit(4 * tasks)).cast("int"))
+    links = wide.groupBy("bucket").applyInArrow(grouped(refine), "a long, b long")
+    joined = components(links)
+    return written(joined.select("node", F.col("root").alias("cell")).union(joined.select("root", "root").distinct()))
 
 
 def copy_links(nodes: DataFrame, rows: DataFrame, shingle: int, similarity: float) -> DataFrame:
@@ -511,27 +557,25 @@ def copy_links(nodes: DataFrame, rows: DataFrame, shingle: int, similarity: floa
     A large group is split into fragments, by another hash in each. Pairs across fragments are compared afterwards
     where they are not joined yet, so that groups of copies cost little and no pair is left out.
     """
-    members = candidate_groups(nodes, radius_of(similarity))
-    parts = F.ceil(F.col("n") / CELL).cast("int")
-    fragment = F.pmod(F.xxhash64("node", "cell"), parts).cast("int")
+    groups = candidate_groups(nodes, similarity).join(nodes.select("node", "size", "least_id.*"), "node")
+    per = groups.groupBy("cell").agg(F.greatest(F.ceil(F.count(F.lit(1)) / CELL), F.ceil(F.sum("size") / CELL_SHINGLES)).cast("int").alias("parts"))
+    members = written(groups.join(per, "cell"))
+    fragment = F.pmod(F.xxhash64("node", "cell"), F.col("parts")).cast("int")
 
     def compared(cells: DataFrame) -> DataFrame:
-        """Of cells with the same members one is compared, and none whose members are joined already."""
-        held = cells.groupBy("cell").agg(F.expr("bit_xor(xxhash64(node))").alias("x"), F.count(F.lit(1)).alias("n"), F.min("node").alias("lo"), F.max("node").alias("hi"), F.min("root").alias("r"), F.max("root").alias("s"))
-        once = held.filter("r <> s").groupBy("x", "n", "lo", "hi").agg(F.min("cell").alias("cell"))
-        chosen = written(cells.join(once, "cell", "left_semi").select("cell", "node", "root"))
-        wanted = nodes.join(chosen.select("node").distinct(), "node", "left_semi").select("least_id.*")
-        return verified(chosen, rows.join(wanted, _WHO, "left_semi"), shingle, similarity)
-
-    edges = compared(members.select(F.when(F.col("n") > CELL, F.xxhash64("cell", fragment)).otherwise(F.col("cell")).alias("cell"), "node", F.col("node").alias("root")))
-    large = members.filter(F.col("n") > CELL)
+        """Cells whose members are joined already are not compared."""
+        apart = cells.groupBy("cell").agg(F.min("root").alias("r"), F.max("root").alias("s")).filter("r <> s")
+        return verified(cells.join(apart, "cell", "left_semi").select("cell", "node", "root", *_WHO), rows, shingle, similarity)
+
+    edges = compared(members.select(F.when(F.col("parts") > 1, F.xxhash64("cell", fragment)).otherwise(F.col("cell")).alias("cell"), "node", F.col("node").alias("root"), *_WHO))
+    large = members.filter("parts > 1")
     if large.isEmpty():
         return edges
     roots = components(edges).withColumnRenamed("node", "_n")
-    large = large.join(roots, F.col("node") == F.col("_n"), "left").select("cell", "node", parts.alias("parts"), fragment.alias("own"), F.coalesce("root", "node").alias("root"))
+    large = large.join(roots, F.col("node") == F.col("_n"), "left").select("cell", "node", "parts", fragment.alias("own"), F.coalesce("root", "node").alias("root"), *_WHO)
     apart = large.groupBy("cell").agg(F.min("root").alias("r"), F.max("root").alias("s")).filter("r <> s")
     crossed = large.join(apart, "cell", "left_semi").withColumn("other", F.explode(F.sequence(F.lit(0), F.col("parts") - 1))).filter("own <> other")
-    return edges.unionByName(compared(crossed.select(F.xxhash64("cell", F.least("own", "other"), F.greatest("own", "other")).alias("cell"), "node", "root")))
+    return edges.unionByName(compared(crossed.select(F.xxhash64("cell", F.least("own", "other"), F.greatest("own", "other")).alias("cell"), "node", "root", *_WHO)))
 
 
 def keep_one(docs: DataFrame, shingle: int = 5, similarity: float = 0.8) -> DataFrame:
@@ -546,13 +590,14 @@ def keep_one(docs: DataFrame, shingle: int = 5, similarity: float = 0.8) -> Data
     rows = docs.select(F.struct(*(F.col(f"`{c}`") for c in docs.columns)).alias("_row"), text.alias("text"), *who(F.col("doc_id"), F.xxhash64(text)))
     found = copy_prints(docs, shingle)
     names = [f"p{i}" for i in range(PRINTS)]
-    prints = written(found.select(*who(F.col("_id"), F.col("_hash")), "node", *names))
+    prints = written(found.select(*who(F.col("_id"), F.col("_hash")), "node", "size", *names))
     least = F.struct(*_WHO)
-    nodes = written(prints.groupBy("node").agg(F.min(least).alias("least_id"), *(F.first(c).alias(c) for c in names)))
+    nodes = written(prints.groupBy("node").agg(F.min(least).alias("least_id"), *(F.first(c).alias(c) for c in ("size", *names))))
     found = classes(nodes, copy_links(nodes, rows.select(*_WHO, "text"), shingle, similarity))
     gone = written(prints.join(found, "node").filter(least != F.col("component_id")).select(*_WHO).distinct())
     again = written(prints.groupBy(*_WHO).count().filter("count > 1").select(*_WHO))
-    kept = rows.drop("text").join(gone, _WHO, "left_anti")
+    again = small(again)
+    kept = rows.drop("text").join(small(gone), _WHO, "left_anti")
     once = kept.join(again, _WHO, "left_anti")
     repeated = kept.join(again, _WHO, "left_semi").dropDuplicates(_WHO)
     return once.unionByName(repeated).select("_row.*")

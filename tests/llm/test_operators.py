@@ -454,7 +454,7 @@ def test_forest_splits_large_cells():
     r = np.random.default_rng(3)
     centre = r.integers(0, 2**63, 1, dtype=np.uint64)
     fps = np.unique(centre ^ (np.uint64(1) << r.integers(0, 64, 600, dtype=np.uint64)) ^ (np.uint64(1) << r.integers(0, 64, 600, dtype=np.uint64)))
-    a, b = simhash.forest(np.zeros(len(fps), np.int64), fps, np.ones(len(fps), bool), 4)
+    a, b = simhash.forest(np.zeros(len(fps), np.int64), simhash.within(fps, np.ones(len(fps), bool), 4))
     assert len(a) == len(fps) - 1
 
 

@@ -184,7 +184,7 @@ class Words:
             return (sums[size:] - sums[:-size]) * _powers(pow(step, -1, 1 << 64), n)[: n - size + 1]
 
     def text_of(self) -> np.ndarray:
-        return np.repeat(np.arange(len(self.n)), self.n)
+        return np.repeat(np.arange(len(self.n), dtype=np.int32), self.n)
 
 
 # ---------------------------------------------------------------- packed sorted arrays

@@ -55,8 +55,8 @@ class _Pass:
         self.ids, self.texts = in_order(batch)
         self.words = w = Words(self.texts, extends)
         self.text = w.text_of()
-        at = np.arange(len(self.text)) - w.first[:-1][self.text] if len(self.text) else np.zeros(0, int)
-        self.left = w.n[self.text] - at if len(at) else at
+        at = (np.arange(len(self.text)) - w.first[:-1][self.text]).astype(np.int32) if len(self.text) else np.zeros(0, np.int32)
+        self.left = w.n.astype(np.int32)[self.text] - at if len(at) else at
         self.at, self.long = at, (w.n[self.text] >= window if len(at) else np.zeros(0, bool))
 
     def probes(self) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
@@ -128,7 +128,7 @@ def repeated_spans(docs: DataFrame, window: int = 35, kept_text: bool = True, ca
     """Per document its number of words, the maximal repeats in it, ``spans`` of (first word, words), and what is kept.
 
     A word is in a span if a window of ``window`` words that covers it also starts anywhere else. ``kept`` is the
-    text without the spans, words joined by one space, or the text itself where there are none; it is null
+    text without the spans, words joined by one space, or the text itself where there are none; it is null for null texts, and
     unless ``kept_text``. ``kept_sha256`` is of the joined words in any case. Columns to carry come back in ``rest``.
     """
     dealt, _ = batched(docs, carry=carry)
@@ -182,7 +182,8 @@ def repeated_spans(docs: DataFrame, window: int = 35, kept_text: bool = True, ca
         np.add.at(edge, starts, 1)
         np.add.at(edge, starts + window, -1)
         covered = np.cumsum(edge[:-1]) > 0
-        first = p.words.first
+        first, order = p.words.first, pa.array(order_of(batch)[0])
+        null = batch.column("text").is_null().take(order).to_pylist()
 
         def rows():
             for i, (doc_id, text) in enumerate(zip(p.ids, p.texts, strict=True)):
@@ -191,10 +192,10 @@ def repeated_spans(docs: DataFrame, window: int = 35, kept_text: bool = True, ca
                 words = text.split()
                 kept = b" ".join(compress(words, ~own) if len(jumps) else words)
                 spans = [[int(s), int(e - s)] for s, e in zip(jumps[::2], jumps[1::2], strict=True)]
-                yield doc_id, len(own), int(own.sum()), spans, (kept if spans else text).decode() if kept_text else None, hashlib.sha256(kept).hexdigest()
+                yield doc_id, len(own), int(own.sum()), spans, (kept if spans else text).decode() if kept_text and not null[i] else None, hashlib.sha256(kept).hexdigest()
 
         out = arrow_rows(schema, rows())
-        return out.append_column("rest", batch.column("rest").take(pa.array(order_of(batch)[0]))) if carry else out
+        return out.append_column("rest", batch.column("rest").take(order)) if carry else out
 
     marked = T.StructType.fromDDL("doc_id long, n_words long, n_removed long, spans array<array<long>>, kept string, kept_sha256 string")
     if carry:
@@ -212,10 +213,11 @@ def remove_repeats(docs: DataFrame, window: int = 35) -> DataFrame:
 
 def without_repeats(docs: DataFrame, window: int = 35) -> DataFrame:
     """docs with their texts less the repeats, n_chars brought up to date; texts of nothing else go, empty texts stay."""
-    out = repeated_spans(docs, window, carry=docs.columns).filter("n_words = 0 or n_removed < n_words")
-    cut = F.col("n_removed") > 0
-    new = {"text": F.when(cut, F.col("kept")).otherwise(F.col("rest")["text"]), "n_chars": F.when(cut, F.length("kept").cast("long")).otherwise(F.col("rest")["n_chars"]) if "n_chars" in docs.columns else None}
-    return out.select(*(new.get(c, F.col("rest")[c]).alias(c) for c in docs.columns))
+    out = repeated_spans(docs, window, carry=[c for c in docs.columns if c != "text"]).filter("n_words = 0 or n_removed < n_words")
+    new = {"text": F.col("kept").cast(docs.schema["text"].dataType)}
+    if "n_chars" in docs.columns:
+        new["n_chars"] = F.when(F.col("n_removed") > 0, F.length("kept").cast("long")).otherwise(F.col("rest")["n_chars"])
+    return out.select(*((new[c] if c in new else F.col("rest")[c]).alias(c) for c in docs.columns))
 
 
 def digest(docs: DataFrame, window: int = 35) -> DataFrame:

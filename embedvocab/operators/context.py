@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Callable, Iterator
+from functools import reduce
 
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
@@ -34,25 +35,32 @@ class NgramModel:
 
     def __init__(self, runs: DataFrame, lambdas: tuple[float, float, float] = (0.5, 0.3, 0.2), smoothing: str = "interpolated", discount: float = 0.75):
         self.lambdas, self.smoothing, self.discount = lambdas, smoothing, discount
-        types = runs.groupBy("a", "b", "w").agg(F.count(F.lit(1)).alias("n_abw"))
+        # two words suffice where three have no weight
+        self.words = ["b", "w"] if smoothing == "kneser_ney" or (smoothing == "interpolated" and not lambdas[0]) else ["a", "b", "w"]
+        types = runs.groupBy(*self.words).agg(F.count(F.lit(1)).alias("n_abw"))
         self.uni = types.groupBy("w").agg(F.sum("n_abw").alias("n_w"))
         self.total = self.uni.agg(F.sum("n_w").alias("n_all"))
-        bi = types.filter("b is not null").groupBy("b", "w").agg(F.sum("n_abw").alias("n_bw"), F.count("a").alias("c_bw"))
-        by_b = bi.groupBy("b").agg(F.sum("n_bw").alias("n_b"), F.count(F.lit(1)).alias("d_b"), F.sum("c_bw").alias("c_b"), F.sum(F.when(F.col("c_bw") > 0, 1).otherwise(0)).alias("e_b"))
-        self.bi, self.by_b = bi, by_b
-        self.tri = types.filter("a is not null")
-        self.by_ab = self.tri.groupBy("a", "b").agg(F.sum("n_abw").alias("n_ab"), F.count(F.lit(1)).alias("d_ab"))
+        follows = [F.count("a").alias("c_bw")] if "a" in self.words else []
+        bi = types.filter("b is not null").groupBy("b", "w").agg(F.sum("n_abw").alias("n_bw"), *follows)
+        continued = [F.sum("c_bw").alias("c_b"), F.sum(F.when(F.col("c_bw") > 0, 1).otherwise(0)).alias("e_b")] if follows else []
+        self.bi, self.by_b = bi, bi.groupBy("b").agg(F.sum("n_bw").alias("n_b"), F.count(F.lit(1)).alias("d_b"), *continued)
+        if "a" in self.words:
+            self.tri = types.filter("a is not null")
+            self.by_ab = self.tri.groupBy("a", "b").agg(F.sum("n_abw").alias("n_ab"), F.count(F.lit(1)).alias("d_ab"))
         # how many words a word follows: what continuation estimates count
         self.cont = bi.groupBy("w").agg(F.count(F.lit(1)).alias("c_w"))
         self.pairs = bi.agg(F.count(F.lit(1)).alias("c_all"))
 
     def score(self, runs: DataFrame) -> DataFrame:
         """runs with g, the probability of each word given what is left of it."""
-        types = runs.select("a", "b", "w").distinct()
+        types = runs.select(*self.words).distinct()
         types = types.join(self.uni, "w", "left").crossJoin(F.broadcast(self.total))
-        types = types.join(self.bi, ["b", "w"], "left").join(self.by_b, "b", "left").join(self.tri, ["a", "b", "w"], "left").join(self.by_ab, ["a", "b"], "left")
+        types = types.join(self.bi, ["b", "w"], "left").join(self.by_b, "b", "left")
         zero = lambda c: F.coalesce(c, F.lit(0.0))
-        p1, p2, p3 = zero(F.col("n_w") / F.col("n_all")), zero(F.col("n_bw") / F.col("n_b")), zero(F.col("n_abw") / F.col("n_ab"))
+        p1, p2, p3 = zero(F.col("n_w") / F.col("n_all")), zero(F.col("n_bw") / F.col("n_b")), F.lit(0.0)
+        if "a" in self.words:
+            types = types.join(self.tri, ["a", "b", "w"], "left").join(self.by_ab, ["a", "b"], "left")
+            p3 = zero(F.col("n_abw") / F.col("n_ab"))
         if self.smoothing == "interpolated":
             x3, x2, x1 = self.lambdas
             g = x3 * p3 + x2 * p2 + x1 * p1
@@ -70,8 +78,8 @@ class NgramModel:
             g = discounted("n_bw", "n_b", "d_b", low) if self.smoothing == "kneser_ney" else discounted("n_abw", "n_ab", "d_ab", discounted("c_bw", "c_b", "e_b", low))
         else:
             raise ValueError(f"no smoothing {self.smoothing}")
-        found = types.select(*(F.col(c).alias(f"_{c}") for c in "abw"), g.alias("g"))
-        same = F.col("a").eqNullSafe(F.col("_a")) & F.col("b").eqNullSafe(F.col("_b")) & (F.col("w") == F.col("_w"))
+        found = types.select(*(F.col(c).alias(f"_{c}") for c in self.words), g.alias("g"))
+        same = reduce(Column.__and__, (F.col(c).eqNullSafe(F.col(f"_{c}")) for c in self.words))
         return runs.join(found, same).select(*runs.columns, "g")
 
 

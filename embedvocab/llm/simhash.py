@@ -10,8 +10,8 @@ A value that more than the mean task's rows share is split into fragments, and e
 cell of its own; nothing is capped. A cell yields a spanning forest of its links, never all pairs. Components
 are found by large-star/small-star rounds over tables in the shared folder. The driver sees 64 x 64 bit counts
 and histograms of at most 2^16 values a partition, no fingerprints and no links. The number of partitions, four to eight, is the
-cheapest by the counts of single bits. Where so many fingerprints meet in a partition's values that rows are the cheaper, a key is the
-value and a group of the other bits, by the same principle once more.
+cheapest by the counts of single bits. A large cell is compared by groups of the bits that vary in it, by the same principle once
+more and inside the task, so that a row is sent once however many fingerprints meet.
 
 Near copies (keep_one) are defined by the exact Jaccard of their sets of shingles. Candidates are found by the same search
 over several independent fingerprints, of words, as words differ less than shingles do; each candidate pair that is not joined
@@ -129,29 +129,39 @@ def predicted(hist: np.ndarray, width: int, radius: int) -> list[float]:
     return out
 
 
-def second_level(bits: list[int], radius: int) -> list[list[int]]:
-    """The bits outside a partition dealt into radius + 1 groups: a pair within the radius agrees on one of them whole."""
-    rest = [b for b in range(64) if b not in bits]
-    return [rest[i::radius + 1] for i in range(radius + 1)]
+def finer(fps: np.ndarray, radius: int) -> list[np.ndarray] | None:
+    """Keys of a cell's fingerprints such that each pair within the radius agrees on one of them; None if comparing all pairs is cheaper.
+
+    The bits that vary are dealt into radius + 1 groups, of which so many differing bits leave one whole.
+    """
+    ones = np.unpackbits(fps.view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(axis=0, dtype=np.int64)
+    varying = sorted((int(b) for b in np.flatnonzero((ones > 0) & (ones < len(fps)))), key=lambda b: (abs(2 * int(ones[b]) - len(fps)), b))
+    if len(varying) <= radius:
+        return None
+    keys = [gather(fps, varying[i::radius + 1]) for i in range(radius + 1)]
+    pairs = sum(float((np.unique(k, return_counts=True)[1].astype(float) ** 2).sum()) for k in keys)
+    return keys if pairs + SORT_COST * len(fps) * len(keys) < float(len(fps)) ** 2 else None
 
 
 def deepened(costs: list[float], bits: list[int], radius: int, n: int) -> list[tuple[float, bool]]:
-    """For each threshold the cheaper of cells by the partition's value and of cells by that and a group of the other bits, and which it is.
+    """For each threshold the cheaper of comparing all pairs of a cell and of those that agree on a group of the other bits, see finer(), and which it is.
 
-    With many fingerprints the values of one partition are too few: keys of both have fewer candidates and radius + 1 times the rows.
+    With many fingerprints the values of one partition are too few: groups of other bits leave fewer candidates, in the same rows.
     """
     width, groups = (64 - len(bits)) // (radius + 1), radius + 1
     out, probes = [(0.0, False)], 0
     for t, cost in enumerate(costs[1:]):
         probes += math.comb(len(bits), t)
         rows = ROW_COST * probes * n
-        deep = (cost - rows) * groups / 2**width + rows * groups
+        deep = (cost - rows) * groups / 2**width + rows + rows * groups / 16
         out.append(min((cost, False), (deep, True)))
     return out
 
 
 #: What a row that is sent costs, in comparisons of two fingerprints within a cell.
 ROW_COST = 64.0
+#: What a row's place in the order of one more key costs, in such comparisons.
+SORT_COST = 32.0
 #: Counts of a partition's values that travel as one row.
 CHUNK = 256
 
@@ -174,10 +184,10 @@ def roughly(ones: np.ndarray, n: int, groups: list[list[int]], radius: int) -> f
 
 
 class Plan:
-    """How one column of fingerprints is searched: bits of each partition, thresholds, the groups of other bits that make its keys wider, and into how many fragments heavy values are split."""
+    """How one column of fingerprints is searched: bits of each partition, thresholds, and into how many fragments heavy values are split."""
 
-    def __init__(self, groups: list[list[int]], thresholds: list[int], wider: list[list[list[int]]], heavy: list[np.ndarray]):
-        self.groups, self.thresholds, self.wider, self.heavy = groups, thresholds, wider, heavy
+    def __init__(self, groups: list[list[int]], thresholds: list[int], heavy: list[np.ndarray]):
+        self.groups, self.thresholds, self.heavy = groups, thresholds, heavy
 
 
 def survey(nodes: DataFrame, names: list[str], radius: int, parts: range) -> list[Plan]:
@@ -233,7 +243,6 @@ def survey(nodes: DataFrame, names: list[str], radius: int, parts: range) -> lis
     for i, own in enumerate(groups):
         costs = [deepened(predicted(h, len(g), radius), g, radius, n) for h, g in zip(hists[i], own, strict=True)]
         thresholds = allot([[c for c, _ in each] for each in costs], radius)
-        wider = [second_level(g, radius) if each[t + 1][1] else [] for g, each, t in zip(own, costs, thresholds, strict=True)]
         rows = []  # of a value: its own and those that probe it
         for hist, bits, t in zip(hists[i], own, thresholds, strict=True):
             v, total = np.arange(len(hist)), hist.copy() if t >= 0 else np.zeros(len(hist), np.int64)
@@ -241,8 +250,7 @@ def survey(nodes: DataFrame, names: list[str], radius: int, parts: range) -> lis
                 total += np.where(v ^ m > v, hist[v ^ m], 0)
             rows.append(total)
         most = max(1024, -(-sum(int(r.sum()) for r in rows) // tasks))
-        # a wider key has a fraction of a value's rows, but those of near copies stay together
-        out.append(Plan(own, thresholds, wider, [np.maximum(1, -(-r // (most * (16 if w else 1)))) for r, w in zip(rows, wider, strict=True)]))
+        out.append(Plan(own, thresholds, [np.maximum(1, -(-r // most)) for r in rows]))
     return out
 
 
@@ -258,7 +266,7 @@ def cells(nodes: DataFrame, names: list[str], plans: list[Plan]) -> DataFrame:
             node = b.column(len(names)).to_numpy()
             for name, plan in enumerate(plans):
                 fps = b.column(name).to_numpy().view(U64)
-                for i, (bits, t, wider, heavy) in enumerate(zip(plan.groups, plan.thresholds, plan.wider, plan.heavy, strict=True)):
+                for i, (bits, t, heavy) in enumerate(zip(plan.groups, plan.thresholds, plan.heavy, strict=True)):
                     if t < 0:
                         continue
                     own = gather(fps, bits)
@@ -273,10 +281,8 @@ def cells(nodes: DataFrame, names: list[str], plans: list[Plan]) -> DataFrame:
                         cell = mix(at[keep][times].astype(U64) * U64(64 * 64) + U64(64 * name + i), 11)
                         cell = mix(cell + np.minimum(mine, other).astype(U64) * U64(1 << 32) + np.maximum(mine, other).astype(U64), 12)
                         which = keep[times]
-                        for j, more in enumerate(wider or [[]]):
-                            key = mix(cell + mix(gather(fps[which], more).astype(U64) + U64(j << 32), 15), 16) if more else cell
-                            columns = [pa.array((key % U64(4 * tasks)).astype(np.int32)), pa.array(key.view(np.int64)), pa.array(np.full(len(times), not m)), pa.array(fps[which].view(np.int64)), pa.array(node[which])]
-                            yield pa.record_batch(columns, names=["bucket", "cell", "indexed", "fp", "node"])
+                        columns = [pa.array((cell % U64(4 * tasks)).astype(np.int32)), pa.array(cell.view(np.int64)), pa.array(np.full(len(times), not m)), pa.array(fps[which].view(np.int64)), pa.array(node[which])]
+                        yield pa.record_batch(columns, names=["bucket", "cell", "indexed", "fp", "node"])
 
     return nodes.select(*names, "node").mapInArrow(deal, "bucket int, cell long, indexed boolean, fp long, node long")
 
@@ -299,29 +305,44 @@ def _merge(label: np.ndarray, a: np.ndarray, b: np.ndarray) -> None:
             label[:] = up
 
 
-def forest(cell: np.ndarray, near: Callable[[np.ndarray, np.ndarray], np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
-    """Edges, as pairs of places, that join all places linked within a cell; near tells of places, arrays that broadcast, which are linked."""
-    order = np.argsort(cell, kind="stable")
-    cell = cell[order]
-    n = len(cell)
-    label = np.arange(n)
-    begin = np.flatnonzero(np.concatenate([[True], cell[1:] != cell[:-1]])) if n else np.zeros(0, int)
+def _compare(label: np.ndarray, at: np.ndarray, key: np.ndarray, near: Callable[[np.ndarray, np.ndarray], np.ndarray], finer: Callable[[np.ndarray], list[np.ndarray] | None] | None = None) -> None:
+    """Joins the labels of all places ``at``, ordered by key, that are linked and of equal key; finer gives a large key's places keys of which linked places share one."""
+    n = len(at)
+    begin = np.flatnonzero(np.concatenate([[True], key[1:] != key[:-1]])) if n else np.zeros(0, int)
     size = np.diff([*begin, n])
     small = np.repeat(size <= 48, size)
     for gap in range(1, 48):
-        i = np.flatnonzero((cell[:-gap] == cell[gap:]) & small[:-gap]) if n > gap else np.zeros(0, int)
+        i = np.flatnonzero((key[:-gap] == key[gap:]) & small[:-gap]) if n > gap else np.zeros(0, int)
         if not len(i):
             break
-        i = i[near(order[i], order[i + gap])]
-        _merge(label, i, i + gap)
+        i = i[near(at[i], at[i + gap])]
+        _merge(label, at[i], at[i + gap])
     for s, c in zip(begin[size > 48], size[size > 48], strict=True):
-        for at in range(s, s + c, 256):
-            end = min(at + 256, s + c)
-            linked = near(order[at:end, None], order[None, at:s + c])
-            linked &= label[at:end, None] != label[None, at:s + c]
+        own = at[s:s + c]
+        if finer and (keys := finer(own)):
+            inner = np.arange(c)
+            for k in keys:
+                order = np.argsort(k, kind="stable")
+                _compare(inner, order, k[order], lambda a, b, own=own: near(own[a], own[b]))
+            child = np.flatnonzero(inner != np.arange(c))
+            _merge(label, own[child], own[inner[child]])
+            continue
+        for i in range(0, c, 256):
+            linked = near(own[i:i + 256, None], own[None, i:])
+            linked &= label[own[i:i + 256], None] != label[None, own[i:]]
             a, b = np.nonzero(linked)
-            _merge(label, a + at, b + at)
-    child = np.flatnonzero(label != np.arange(n))
+            _merge(label, own[a + i], own[b + i])
+
+
+def forest(cell: np.ndarray, near: Callable[[np.ndarray, np.ndarray], np.ndarray], split: Callable[[np.ndarray], list[np.ndarray] | None] | None = None) -> tuple[np.ndarray, np.ndarray]:
+    """Edges, as pairs of places, that join all places linked within a cell; near tells of places, arrays that broadcast, which are linked.
+
+    split gives keys of a large cell's places of which linked places share one at least, or None.
+    """
+    order = np.argsort(cell, kind="stable")
+    label = np.arange(len(cell))
+    _compare(label, label.copy(), cell[order], lambda a, b: near(order[a], order[b]), split and (lambda at: split(order[at])))
+    child = np.flatnonzero(label != np.arange(len(cell)))
     return order[child], order[label[child]]
 
 
@@ -340,7 +361,8 @@ def links(nodes: DataFrame, radius: int = 3, parts: range = range(4, 9)) -> Data
 
     def verify(rows: pa.Table) -> pa.Table:
         column = lambda c: rows.column(c).to_numpy()
-        a, b = forest(column("cell"), within(column("fp").view(U64), column("indexed").astype(bool), radius))
+        fps = column("fp").view(U64)
+        a, b = forest(column("cell"), within(fps, column("indexed").astype(bool), radius), lambda at: finer(fps[at], radius))
         return pa.table({"a": column("node")[a], "b": column("node")[b]})
 
     return cells(nodes, ["fp"], survey(nodes, ["fp"], radius, parts)).groupBy("bucket").applyInArrow(grouped(verify), "a long, b long").distinct()
@@ -531,7 +553,8 @@ def candidate_groups(nodes: DataFrame, similarity: float) -> DataFrame:
 
     def group(rows: pa.Table) -> pa.Table:
         cell, node = rows.column("cell").to_numpy(), rows.column("node").to_numpy()
-        child, root = forest(cell, within(rows.column("fp").to_numpy().view(U64), rows.column("indexed").to_numpy().astype(bool), radius))
+        fps = rows.column("fp").to_numpy().view(U64)
+        child, root = forest(cell, within(fps, rows.column("indexed").to_numpy().astype(bool), radius), lambda at: finer(fps[at], radius))
         heads = np.unique(root)
         head = np.concatenate([root, heads])
         name = mix(cell[head].view(U64) + mix(node[head].view(U64), 13), 14).view(np.int64)

@@ -458,6 +458,29 @@ def test_forest_splits_large_cells():
     assert len(a) == len(fps) - 1
 
 
+def test_a_row_is_sent_once_however_many_fingerprints_meet(spark, monkeypatch):
+    """Large cells are divided inside their task: a second level of keys multiplies no rows, and joins what all pairs join."""
+    r = np.random.default_rng(5)
+    fps = np.unique(r.integers(0, 2**63, 3000, dtype=np.uint64) & r.integers(0, 2**63, 3000, dtype=np.uint64))
+    nodes = spark.createDataFrame([(int(f), int(f)) for f in fps], "node long, fp long").repartition(2)
+    monkeypatch.setattr(simhash, "ROW_COST", 0.0)  # as with so many fingerprints that rows are cheap against candidates
+    plans = simhash.survey(nodes, ["fp"], 8, range(6, 7))
+    rows = simhash.cells(nodes, ["fp"], plans)
+    probes = sum(1 + len(simhash.flips(len(bits), t)) for bits, t in zip(plans[0].groups, plans[0].thresholds) if t >= 0)
+    assert rows.count() <= probes * len(fps)
+    seen = simhash.within(fps, np.ones(len(fps), bool), 8)
+    one = np.zeros(len(fps), np.int64)
+    keys = simhash.finer(fps, 8)
+    assert keys is not None and len(keys) == 9
+    whole, parted = (simhash.forest(one, seen, split) for split in (None, lambda at: simhash.finer(fps[at], 8)))
+    labels = []
+    for a, b in (whole, parted):
+        label = np.arange(len(fps))
+        simhash._merge(label, a, b)
+        labels.append(label)
+    assert len(whole[0]) > 20 and (labels[0] == labels[1]).all()
+
+
 def test_thresholds_by_dynamic_programming():
     costs = [[0, 10, 100, 1000, 1e4], [0, 1, 2, 3, 1e4], [0, 50, 60, 70, 1e4]]
     got = simhash.allot(costs, 3)

@@ -12,8 +12,8 @@ def _escaped(c: Column) -> Column:
     return F.replace(F.replace(F.replace(c, F.lit("&"), F.lit("&amp;")), F.lit("<"), F.lit("&lt;")), F.lit(">"), F.lit("&gt;"))
 
 
-def rewrite(docs: DataFrame, chosen: DataFrame, style: str = "plain", reveal: bool = True) -> DataFrame:
-    """(doc_id, text) of docs (doc_id, text) with the words at (doc_id, pos) swapped for their ``target``.
+def rewrite(docs: DataFrame, chosen: DataFrame, style: str = "plain", reveal: bool = True, counted: bool = False) -> DataFrame:
+    """(doc_id, text) of docs (doc_id, text) with the words at (doc_id, pos) swapped for their ``target``; counted, with n_words and n_replaced.
 
     Everything between words stays. Marked text is escaped for HTML, and with reveal it keeps the original word for a click. A
     document without a choice keeps its text.
@@ -36,5 +36,6 @@ def rewrite(docs: DataFrame, chosen: DataFrame, style: str = "plain", reveal: bo
 
     rows = rows.withColumn("_lead", F.when(F.size(parts) > 0, lead).otherwise(0))
     new = F.array_join(F.transform(parts, place), "")
+    counts = F.coalesce(F.size(txt.tokenize(F.col("text"))), F.lit(0)).alias("n_words"), F.when(F.col("_m").isNull(), 0).otherwise(F.size("_m")).cast("long").alias("n_replaced")
     plain = F.col("text") if style == "plain" else _escaped(F.col("text"))
-    return rows.select("doc_id", F.when(F.col("_m").isNull(), plain).otherwise(new).alias("text"))
+    return rows.select("doc_id", F.when(F.col("_m").isNull(), plain).otherwise(new).alias("text"), *(counts if counted else ()))

@@ -5,15 +5,12 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from embedvocab.functions import text as txt
 from embedvocab.operators import render, select, translate
 
 
 def rendered(docs: DataFrame, found: DataFrame, style: str = "plain") -> DataFrame:
     """(doc_id, n_words, n_replaced, text): docs with the translations found (doc_id, pos, target) in place."""
-    shown = found.groupBy("doc_id").agg(F.count(F.lit(1)).alias("n_replaced"))
-    sizes = docs.select("doc_id", F.coalesce(F.size(txt.tokenize(F.col("text"))), F.lit(0)).alias("n_words"))
-    return render.rewrite(docs, found, style).join(sizes, "doc_id").join(shown, "doc_id", "left").select("doc_id", "n_words", F.coalesce("n_replaced", F.lit(0)).alias("n_replaced"), "text")
+    return render.rewrite(docs, found, style, counted=True).select("doc_id", "n_words", "n_replaced", "text")
 
 
 def augment(docs: DataFrame, candidates: DataFrame, k: DataFrame, backend: translate.LexiconBackend | translate.ServiceBackend, ablate: str | None = None, per_lemma: int | str | None = None, style: str = "plain", spare: int = 0, promote: bool = False) -> DataFrame:

@@ -8,6 +8,7 @@ from __future__ import annotations
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 
 def shared_folder(spark: SparkSession) -> str:
@@ -33,6 +34,15 @@ def new_path(spark: SparkSession) -> str:
     return f"{folder}/{uuid.uuid4().hex}"
 
 
+#: Rows of a stored table that a join broadcasts; beyond it both sides are shuffled.
+SMALL = 1 << 18
+
+
+def small(table: DataFrame) -> DataFrame:
+    """A stored table, to be broadcast if it is counted to be small, so that what it is joined with stays where it is."""
+    return F.broadcast(table) if table.count() <= SMALL else table
+
+
 def stored(df: DataFrame) -> DataFrame:
     """df, written once and read from there."""
     path = new_path(df.sparkSession)

@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 from embedvocab.functions import memory, stats
 from embedvocab.functions import text as txt
 from embedvocab.functions.memory import Boost
-from embedvocab.operators import context, guess, measure, render, select, translate, tutor
+from embedvocab.operators import context, corpus, guess, measure, render, select, translate, tutor
 
 
 def one(spark, c):
@@ -329,3 +329,17 @@ def test_regression_recovers_coefficients(spark):
     beta = guess.fit(df, ["a", "b"], "y")
     assert (beta["_one"], beta["a"], beta["b"]) == pytest.approx((5, 2, -3))
     assert [r.feature for r in guess.rank_predictors(df, ["a", "b"], "y").collect()] == ["a", "b"]
+
+
+def test_no_word_carries_its_sentence(spark):
+    """Every word or chosen ones: the same translations, and texts are sent by document, at most once, never by sentence and word."""
+    docs = spark.createDataFrame([(1, "One two. Three one two!"), (2, "One two."), (3, None), (4, "7 ?")], "doc_id long, text string")
+    lex = spark.createDataFrame([("one", "de", 1, "eins", []), ("two", "de", 1, "zwei", [])], "lemma string, target_lang string, sense int, target string, cues array<string>")
+    every = translate.in_context(None, docs, translate.LexiconBackend(lex))
+    words = corpus.documents(docs, F.lit("en")).select("doc_id", F.posexplode("words").alias("pos", "lemma"))
+    chosen = translate.in_context(words, docs, translate.LexiconBackend(lex))
+    want = [(1, 0, "one", 0, "eins"), (1, 1, "two", 0, "zwei"), (1, 3, "one", 1, "eins"), (1, 4, "two", 1, "zwei"), (2, 0, "one", 0, "eins"), (2, 1, "two", 0, "zwei")]
+    assert sorted(map(tuple, every.collect())) == sorted(map(tuple, chosen.collect())) == want
+    assert "hashpartitioning" not in every._jdf.queryExecution().executedPlan().toString()
+    assert "sent_key" not in chosen._jdf.queryExecution().optimizedPlan().toString()
+    assert tuple(translate.cost(words, docs).first()) == (7, 2, len("one two") + len("three one two"))

@@ -1,7 +1,9 @@
+import pytest
 from pyspark.sql import functions as F
 
 from embedvocab.operators import design
 from embedvocab.plans import fixtures as fx
+from embedvocab.plans.queries import QUERIES
 
 
 def test_everybody_meets_every_word_once(spark, smoke):
@@ -15,7 +17,7 @@ def test_everybody_meets_every_word_once(spark, smoke):
 
 
 def test_multiple_choice_items(spark, smoke):
-    items = design.mc_items(fx.participants(spark, smoke).filter("participant < 3"), fx.study_words(spark))
+    items = design.mc_items(fx.participants(spark, smoke).filter("participant < 3"), fx.study_words(spark, smoke))
     per = items.groupBy("participant", "word").agg(F.count(F.lit(1)).alias("n"), F.sum(F.col("is_answer").cast("int")).alias("a"), F.countDistinct("option").alias("o"), F.max(F.when(F.col("slot") == 0, F.col("option"))).alias("first"))
     assert all((r.n, r.a, r.o, r.first) == (6, 1, 6, "don't know") for r in per.collect())
     again = design.retest(items)
@@ -63,9 +65,17 @@ def test_each_word_is_used_seven_times(spark):
 
 
 def test_reverse_items_ask_for_the_translation(spark, smoke):
-    items = design.mc_items(fx.participants(spark, smoke).filter("participant < 2"), fx.study_words(spark))
+    items = design.mc_items(fx.participants(spark, smoke).filter("participant < 2"), fx.study_words(spark, smoke))
     words = spark.range(78).select(F.col("id").cast("int").alias("word"), F.concat(F.lit("en"), "id").alias("lemma"))
     lexicon = words.select("lemma", F.concat(F.lit("de"), "word").alias("target"))
     got = design.reverse_items(items, lexicon, words)
     assert got.count() == items.count() and got.filter("is_answer").filter("substr(prompt, 3) <> substr(option, 3)").count() == 0
     assert got.filter((F.col("slot") == 0) & (F.col("option") != "don't know")).count() == 0
+
+
+@pytest.mark.parametrize(("name", "tables"), [
+    ("participant_groups", ["customer"]), ("study_sections", ["customer"]), ("design_balance", ["customer", "part"]), ("ftg_items", ["customer", "part"]), ("mc_items", ["customer", "part"]),
+    ("mc_retest", ["customer", "part"]), ("chance_baseline", ["customer", "part"]), ("tutor_free_schedule", ["events"]), ("density_ramp", ["events"])])
+def test_study_is_made_of_given_tables(spark, smoke, name, tables):
+    read = QUERIES[name](spark, smoke).inputFiles()
+    assert sorted(f.rsplit("/", 1)[1] for f in read) == [f"{t}.parquet" for t in tables]

@@ -37,7 +37,8 @@ class NgramModel:
         self.lambdas, self.smoothing, self.discount = lambdas, smoothing, discount
         # two words suffice where three have no weight
         self.words = ["b", "w"] if smoothing == "kneser_ney" or (smoothing == "interpolated" and not lambdas[0]) else ["a", "b", "w"]
-        types = runs.groupBy(*self.words).agg(F.count(F.lit(1)).alias("n_abw"))
+        self.runs, self.types = runs, runs.groupBy(*self.words).agg(F.count(F.lit(1)).alias("n_abw"))
+        types = self.types
         self.uni = types.groupBy("w").agg(F.sum("n_abw").alias("n_w"))
         self.total = self.uni.agg(F.sum("n_w").alias("n_all"))
         follows = [F.count("a").alias("c_bw")] if "a" in self.words else []
@@ -53,13 +54,23 @@ class NgramModel:
 
     def score(self, runs: DataFrame) -> DataFrame:
         """runs with g, the probability of each word given what is left of it."""
-        types = runs.select(*self.words).distinct()
+        found = self.scored(self.types if runs is self.runs else runs.select(*self.words).distinct()).select(*(F.col(c).alias(f"_{c}") for c in self.words), "g")
+        same = reduce(Column.__and__, (F.col(c).eqNullSafe(F.col(f"_{c}")) for c in self.words))
+        return runs.join(found, same).select(*runs.columns, "g")
+
+    def scored(self, types: DataFrame) -> DataFrame:
+        """types, distinct runs of words, with g; those that were counted bring their counts and are not looked up again."""
+        kept = [c for c in types.columns if c != "n_abw"]
+        own, longest = types is self.types, "a" if "a" in self.words else "b"
+        if own:
+            types = types.withColumn("n_abw", F.when(F.col(longest).isNotNull(), F.col("n_abw")))
         types = types.join(self.uni, "w", "left").crossJoin(F.broadcast(self.total))
-        types = types.join(self.bi, ["b", "w"], "left").join(self.by_b, "b", "left")
+        types = types.withColumnRenamed("n_abw", "n_bw") if own and longest == "b" else types.join(self.bi, ["b", "w"], "left")
+        types = types.join(self.by_b, "b", "left")
         zero = lambda c: F.coalesce(c, F.lit(0.0))
         p1, p2, p3 = zero(F.col("n_w") / F.col("n_all")), zero(F.col("n_bw") / F.col("n_b")), F.lit(0.0)
         if "a" in self.words:
-            types = types.join(self.tri, ["a", "b", "w"], "left").join(self.by_ab, ["a", "b"], "left")
+            types = (types if own else types.join(self.tri, ["a", "b", "w"], "left")).join(self.by_ab, ["a", "b"], "left")
             p3 = zero(F.col("n_abw") / F.col("n_ab"))
         if self.smoothing == "interpolated":
             x3, x2, x1 = self.lambdas
@@ -78,19 +89,22 @@ class NgramModel:
             g = discounted("n_bw", "n_b", "d_b", low) if self.smoothing == "kneser_ney" else discounted("n_abw", "n_ab", "d_ab", discounted("c_bw", "c_b", "e_b", low))
         else:
             raise ValueError(f"no smoothing {self.smoothing}")
-        found = types.select(*(F.col(c).alias(f"_{c}") for c in self.words), g.alias("g"))
-        same = reduce(Column.__and__, (F.col(c).eqNullSafe(F.col(f"_{c}")) for c in self.words))
-        return runs.join(found, same).select(*runs.columns, "g")
+        return types.select(*kept, g.alias("g"))
 
 
 def held_out(runs: DataFrame, folds: int = 2, smoothing: str = "kneser_ney_3") -> DataFrame:
-    """(fold, words, unknown, bits): each fold of documents scored by the model of the others; mean bits of the words they know."""
+    """(fold, words, unknown, bits): each fold of documents scored by the model of the others; mean bits of the words they know.
+
+    Distinct runs are scored and weigh as often as they occur, so the text itself is not sent.
+    """
     rows = runs.withColumn("fold", F.col("doc_id") % folds)
     out = None
     for fold in range(folds):
         model = NgramModel(rows.filter(F.col("fold") != fold).drop("fold"), smoothing=smoothing)
-        known = F.when(F.col("g") > 0, -F.log2("g"))
-        scored = model.score(rows.filter(F.col("fold") == fold)).agg(F.lit(fold).alias("fold"), F.count(F.lit(1)).alias("words"), (F.count(F.lit(1)) - F.count(known)).alias("unknown"), F.avg(known).alias("bits"))
+        uses, known = F.sum("_uses"), F.coalesce(F.sum(F.when(F.col("g") > 0, F.col("_uses"))), F.lit(0))
+        each = model.scored(rows.filter(F.col("fold") == fold).groupBy(*model.words).agg(F.count(F.lit(1)).alias("_uses")))
+        bits = F.sum(F.when(F.col("g") > 0, -F.log2("g") * F.col("_uses"))) / F.when(known > 0, known)
+        scored = each.agg(F.lit(fold).alias("fold"), F.coalesce(uses, F.lit(0)).alias("words"), (F.coalesce(uses, F.lit(0)) - known).alias("unknown"), bits.alias("bits"))
         out = scored if out is None else out.unionByName(scored)
     return out
 

@@ -343,3 +343,20 @@ def test_no_word_carries_its_sentence(spark):
     assert "hashpartitioning" not in every._jdf.queryExecution().executedPlan().toString()
     assert "sent_key" not in chosen._jdf.queryExecution().optimizedPlan().toString()
     assert tuple(translate.cost(words, docs).first()) == (7, 2, len("one two") + len("three one two"))
+
+
+def test_text_is_sent_no_more_often_than_needed(spark):
+    """Runs that a model has counted are not looked up again, held-out bits come from distinct runs, and the same numbers come out."""
+    docs = spark.createDataFrame([(i, [f"w{(i * j) % 7}" for j in range(i)]) for i in range(1, 30)], "doc_id long, words array<string>")
+    runs = context.trigrams(docs)
+    joins = lambda df: df._jdf.queryExecution().optimizedPlan().toString().count("Join ")
+    for smoothing in ("interpolated", "kneser_ney", "kneser_ney_3", "stupid_backoff"):
+        model = context.NgramModel(runs, smoothing=smoothing)
+        own, other = model.score(runs), model.score(runs.select("*"))
+        assert joins(own) < joins(other) and sorted(map(repr, own.collect())) == sorted(map(repr, other.collect()))
+    model = context.NgramModel(runs.filter("doc_id % 2 <> 0"), smoothing="kneser_ney_3")
+    plain = model.score(runs.filter("doc_id % 2 = 0"))
+    want = plain.agg(F.count(F.lit(1)), F.sum((F.col("g") <= 0).cast("int")), F.avg(F.when(F.col("g") > 0, -F.log2("g")))).first()
+    held = context.held_out(runs)
+    got = held.filter("fold = 0").first()
+    assert (got.words, got.unknown, got.bits) == (want[0], want[1], pytest.approx(want[2])) and joins(held) < 2 * joins(plain)

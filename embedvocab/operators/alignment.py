@@ -19,8 +19,8 @@ from pyspark.sql import functions as F
 
 from embedvocab.sources.shared import new_path, stored
 
-#: Pairs of words that a group stands for, about, and that are formed at once.
-GROUP, BATCH = 1 << 24, 1 << 19
+#: Words of bags and places of target words that a group holds, about; pairs of words that are formed at once.
+BAGS, PLACES, BATCH = 1 << 25, 1 << 22, 1 << 19
 #: Sums that travel together, and rows of a batch of results.
 CHUNK, ROWS = 4096, 1 << 16
 
@@ -89,8 +89,9 @@ def _merged(parts: list[Block]) -> Block:
 
 def _expected(block: Block, sums: list[np.ndarray], kinds: int) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
     """(e, f, c): expected counts of all pairs of words after as many rounds as there are sums, some words' pairs at a time."""
-    size, e, n, f, pair, m = (block[k].to_numpy().astype(np.int64) for k in ("size", "e", "n", "f", "pair", "m"))
-    start, n = np.cumsum(size) - size, n.astype(float)
+    e, n, f, pair, m = (block[k].to_numpy() for k in ("e", "n", "f", "pair", "m"))
+    size = block["size"].to_numpy().astype(np.int64)
+    start = np.cumsum(size) - size
     heads = np.flatnonzero(np.diff(f, prepend=-1))  # where a word's places begin
     ends = np.append(heads[1:], len(f))
     upto = np.cumsum(size[pair])
@@ -118,7 +119,7 @@ def _expected(block: Block, sums: list[np.ndarray], kinds: int) -> Iterator[tupl
         else:
             sizes = size[pair[rows]]
             at = _spans(start[pair[rows]], sizes)
-            key, cell = np.unique(np.repeat(f[rows], sizes) * kinds + e[at], return_inverse=True)
+            key, cell = np.unique(np.repeat(f[rows].astype(np.int64), sizes) * kinds + e[at], return_inverse=True)
             own, counts = key % kinds, n[at]
             c, t = None, np.ones(len(key))
             for k in range(len(sums) + 1):
@@ -154,8 +155,11 @@ def fit(pairs: DataFrame, iterations: int) -> DataFrame:
     table = vocabulary.select("e", "n", "s").toArrow().sort_by([("n", "descending"), ("e", "ascending")])
     known = table.column("e").combine_chunks()
     kinds, sums = len(known), [table.column("s").to_numpy()] if iterations > 0 else []
-    cells = rows.agg(F.sum(F.size(F.array_distinct("src")).cast("long") * F.size(F.array_distinct("tgt")))).first()[0] or 0
-    groups = -(-max(1, -(-cells // GROUP)) // context.defaultParallelism) * context.defaultParallelism
+    own, places = F.size(F.array_distinct("src")).cast("long"), F.size(F.array_distinct("tgt"))
+    n = rows.agg(*(F.coalesce(F.sum(x), F.lit(0)).alias(k) for k, x in (("bags", own), ("places", places), ("cells", own * places)))).first()
+    # a group holds a bag once, so all of them at most, and one for each place at most
+    groups = max(1, -(-n.places // PLACES), -(-n.cells // BAGS) if n.bags > BAGS else 0)
+    groups = -(-groups // context.defaultParallelism) * context.defaultParallelism
     words = context.broadcast(known)
 
     def parts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

@@ -10,13 +10,13 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from embedvocab.functions import rng
+from embedvocab.operators import packed
 
 
 def trigrams(docs: DataFrame) -> DataFrame:
     """(doc_id, pos, a, b, w) of (doc_id, words): each word with the two before it, null at the start; narrow."""
-    at = lambda i: F.get("words", i)
-    each = F.transform("words", lambda w, i: F.struct(i.alias("pos"), at(i - 2).alias("a"), at(i - 1).alias("b"), w.alias("w")))
-    return docs.select("doc_id", F.explode(each).alias("x")).select("doc_id", "x.pos", "x.a", "x.b", "x.w")
+    at = lambda i: F.get("words", F.col("pos") - i)
+    return docs.select("doc_id", "words", F.posexplode("words").alias("pos", "w")).select("doc_id", "pos", at(2).alias("a"), at(1).alias("b"), "w")
 
 
 def bigrams(runs: DataFrame, least: int = 1) -> DataFrame:
@@ -30,7 +30,8 @@ class NgramModel:
     """Counts of one to three words, interpolated or backed off; contexts unseen in training fall to the shorter ones.
 
     Everything is counted and joined by distinct runs of words, whose counts are added up before they are sent; the text itself takes
-    part in one join only, on whole runs, of which none is nearly as common as a common word.
+    part in one join only, on whole runs, of which none is nearly as common as a common word. Three words of the counted text itself
+    are counted and scored in packed blocks, without a join.
     """
 
     def __init__(self, runs: DataFrame, lambdas: tuple[float, float, float] = (0.5, 0.3, 0.2), smoothing: str = "interpolated", discount: float = 0.75):
@@ -54,6 +55,8 @@ class NgramModel:
 
     def score(self, runs: DataFrame) -> DataFrame:
         """runs with g, the probability of each word given what is left of it."""
+        if runs is self.runs and packs(runs, self.words):
+            return packed.counted(runs, self.smoothing == "kneser_ney_3").select(*runs.columns, self.probability().alias("g"))
         found = self.scored(self.types if runs is self.runs else runs.select(*self.words).distinct()).select(*(F.col(c).alias(f"_{c}") for c in self.words), "g")
         same = reduce(Column.__and__, (F.col(c).eqNullSafe(F.col(f"_{c}")) for c in self.words))
         return runs.join(found, same).select(*runs.columns, "g")
@@ -67,46 +70,62 @@ class NgramModel:
         types = types.join(self.uni, "w", "left").crossJoin(F.broadcast(self.total))
         types = types.withColumnRenamed("n_abw", "n_bw") if own and longest == "b" else types.join(self.bi, ["b", "w"], "left")
         types = types.join(self.by_b, "b", "left")
-        zero = lambda c: F.coalesce(c, F.lit(0.0))
-        p1, p2, p3 = zero(F.col("n_w") / F.col("n_all")), zero(F.col("n_bw") / F.col("n_b")), F.lit(0.0)
         if "a" in self.words:
             types = (types if own else types.join(self.tri, ["a", "b", "w"], "left")).join(self.by_ab, ["a", "b"], "left")
-            p3 = zero(F.col("n_abw") / F.col("n_ab"))
-        if self.smoothing == "interpolated":
-            x3, x2, x1 = self.lambdas
-            g = x3 * p3 + x2 * p2 + x1 * p1
-        elif self.smoothing == "stupid_backoff":
-            g = F.when(p3 > 0, p3).when(p2 > 0, 0.4 * p2).otherwise(0.16 * p1)
-        elif self.smoothing in ("kneser_ney", "kneser_ney_3"):
+        if self.smoothing in ("kneser_ney", "kneser_ney_3"):
             types = types.join(self.cont, "w", "left").crossJoin(F.broadcast(self.pairs))
-            low = zero(F.col("c_w") / F.col("c_all"))
-
-            def discounted(count: str, total: str, distinct: str, lower: Column) -> Column:
-                rest = self.discount * F.col(distinct) / F.col(total) * lower
-                return F.when(F.coalesce(F.col(total), F.lit(0)) == 0, lower).otherwise(F.greatest(zero(F.col(count).cast("double")) - self.discount, F.lit(0.0)) / F.col(total) + rest)
+        return types.select(*kept, self.probability().alias("g"))
 
-            # of two words the plain counts, or how many words the pair follows if three are in use
-            g = discounted("n_bw", "n_b", "d_b", low) if self.smoothing == "kneser_ney" else discounted("n_abw", "n_ab", "d_ab", discounted("c_bw", "c_b", "e_b", low))
-        else:
+    def probability(self) -> Column:
+        """g of the counts of a run and of its parts; null is none."""
+        zero = lambda c: F.coalesce(c, F.lit(0.0))
+        share = lambda n, of: zero(F.col(n) / F.col(of))
+        if self.smoothing in ("interpolated", "stupid_backoff"):
+            p1, p2, p3 = share("n_w", "n_all"), share("n_bw", "n_b"), share("n_abw", "n_ab") if "a" in self.words else F.lit(0.0)
+            if self.smoothing == "stupid_backoff":
+                return F.when(p3 > 0, p3).when(p2 > 0, 0.4 * p2).otherwise(0.16 * p1)
+            x3, x2, x1 = self.lambdas
+            return x3 * p3 + x2 * p2 + x1 * p1
+        if self.smoothing not in ("kneser_ney", "kneser_ney_3"):
             raise ValueError(f"no smoothing {self.smoothing}")
-        return types.select(*kept, g.alias("g"))
+        low = share("c_w", "c_all")
+
+        def discounted(count: str, total: str, distinct: str, lower: Column) -> Column:
+            rest = self.discount * F.col(distinct) / F.col(total) * lower
+            return F.when(F.coalesce(F.col(total), F.lit(0)) == 0, lower).otherwise(F.greatest(zero(F.col(count).cast("double")) - self.discount, F.lit(0.0)) / F.col(total) + rest)
+
+        # of two words the plain counts, or how many words the pair follows if three are in use
+        return discounted("n_bw", "n_b", "d_b", low) if self.smoothing == "kneser_ney" else discounted("n_abw", "n_ab", "d_ab", discounted("c_bw", "c_b", "e_b", low))
+
+
+def packs(runs: DataFrame, words: list[str]) -> bool:
+    """Whether runs are of three words, as strings."""
+    kinds = dict(runs.dtypes)
+    return words == ["a", "b", "w"] and all(kinds.get(c) == "string" for c in words)
 
 
 def held_out(runs: DataFrame, folds: int = 2, smoothing: str = "kneser_ney_3") -> DataFrame:
     """(fold, words, unknown, bits): each fold of documents scored by the model of the others; mean bits of the words they know.
 
-    Distinct runs are scored and weigh as often as they occur, so the text itself is not sent.
+    Distinct runs of a block are scored and weigh as often as they occur; one pass counts for all folds.
     """
-    rows = runs.withColumn("fold", F.col("doc_id") % folds)
-    out = None
-    for fold in range(folds):
-        model = NgramModel(rows.filter(F.col("fold") != fold).drop("fold"), smoothing=smoothing)
-        uses, known = F.sum("_uses"), F.coalesce(F.sum(F.when(F.col("g") > 0, F.col("_uses"))), F.lit(0))
-        each = model.scored(rows.filter(F.col("fold") == fold).groupBy(*model.words).agg(F.count(F.lit(1)).alias("_uses")))
-        bits = F.sum(F.when(F.col("g") > 0, -F.log2("g") * F.col("_uses"))) / F.when(known > 0, known)
-        scored = each.agg(F.lit(fold).alias("fold"), F.coalesce(uses, F.lit(0)).alias("words"), (F.coalesce(uses, F.lit(0)) - known).alias("unknown"), bits.alias("bits"))
-        out = scored if out is None else out.unionByName(scored)
-    return out
+    rows = runs.withColumn("_fold", (F.col("doc_id") % folds).cast("long")).filter("_fold is not null")
+    model = NgramModel(runs, smoothing=smoothing)
+    if packs(runs, model.words):
+        scored = packed.counted(rows, smoothing == "kneser_ney_3", folds).select("_fold", "_uses", model.probability().alias("g"))
+    else:
+        scored = None
+        for fold in range(folds):
+            model = NgramModel(rows.filter(F.col("_fold") != fold).drop("_fold"), smoothing=smoothing)
+            each = model.scored(rows.filter(F.col("_fold") == fold).groupBy(*model.words).agg(F.count(F.lit(1)).alias("_uses")))
+            each = each.select(F.lit(fold).cast("long").alias("_fold"), "_uses", "g")
+            scored = each if scored is None else scored.unionByName(each)
+    uses, known = F.sum("_uses"), F.sum(F.when(F.col("g") > 0, F.col("_uses")))
+    sums = scored.groupBy("_fold").agg(uses.alias("_n"), known.alias("_known"), F.sum(F.when(F.col("g") > 0, -F.log2("g") * F.col("_uses"))).alias("_bits"))
+    every = runs.sparkSession.range(folds).join(F.broadcast(sums), F.col("id") == F.col("_fold"), "left")
+    none = F.lit(0).cast("long")
+    words, right = F.coalesce("_n", none), F.coalesce("_known", none)
+    return every.select(F.col("id").cast("int").alias("fold"), words.alias("words"), (words - right).alias("unknown"), (F.col("_bits") / F.when(right > 0, right)).alias("bits"))
 
 
 def frequency_scores(runs: DataFrame, scope: str = "corpus") -> DataFrame:

@@ -29,7 +29,8 @@ def running_total(df: DataFrame, by: list[str], order: list[str], value: str, bl
 def documents(docs: DataFrame, corpus: Column, method: str = "identity") -> DataFrame:
     """(corpus_id, doc_id, words) of a table with doc_id and text; null texts have no words."""
     words = F.coalesce(txt.tokenize(F.col("text")), F.array().cast("array<string>"))
-    return docs.select(corpus.alias("corpus_id"), "doc_id", F.transform(words, lambda w: txt.lemmatize(w, method)).alias("words"))
+    lemmas = words if method == "identity" else F.transform(words, lambda w: txt.lemmatize(w, method))
+    return docs.select(corpus.alias("corpus_id"), "doc_id", lemmas.alias("words"))
 
 
 def number_words(docs: DataFrame, order: list[str] | None = None, block: Column | None = None) -> DataFrame:

@@ -443,3 +443,35 @@ def test_text_is_sent_no_more_often_than_needed(spark):
     held = context.held_out(runs)
     got = held.filter("fold = 0").first()
     assert (got.words, got.unknown, got.bits) == (want[0], want[1], pytest.approx(want[2])) and joins(held) < 2 * joins(plain)
+
+
+def test_runs_of_three_words_are_sent_packed(spark, monkeypatch):
+    """Counted text is scored in blocks without a join: as joins score it, for any cut into blocks, buckets and parts, odd rows included."""
+    from pyspark import cloudpickle
+
+    from embedvocab.operators import packed
+
+    texts = [(i, [f"w{(i * j) % 7}" for j in range(i)]) for i in range(1, 30)] + [(-3, ["w1", "only", "w1"]), (None, ["w2", "w1", "ß", ""]), (31, []), (32, None), (4, ["w1"])]
+    runs = context.trigrams(spark.createDataFrame(texts, "doc_id long, words array<string>").coalesce(2))
+    odd = runs.withColumn("more", F.when(F.col("pos") > 1, F.struct("w", "pos"))).withColumn("w", F.when(F.col("w") != "only", F.col("w"))).withColumn("day", F.when(F.col("pos") > 0, F.col("pos")))
+    models = {smoothing: context.NgramModel(odd, smoothing=smoothing) for smoothing in ("interpolated", "kneser_ney_3")}
+    joined = {smoothing: sorted(map(repr, model.score(odd.select("*")).collect())) for smoothing, model in models.items()}
+    cloudpickle.register_pickle_by_value(packed)  # what the test sets holds on the workers too
+    try:
+        for block, words, parts in ((1 << 20, (1 << 21) - 2, (16, 1)), (100, 5, (3, 2)), (300, 8, (1, 1))):
+            for name, value in (("BLOCK", block), ("WORDS", words), ("BATCH", 11), ("buckets", lambda _, parts=parts: parts)):
+                monkeypatch.setattr(packed, name, value)
+            for smoothing, model in models.items():
+                own = model.score(odd)
+                plan = own._jdf.queryExecution().optimizedPlan().toString()
+                assert "Join " not in plan and "Aggregate" not in plan
+                assert sorted(map(repr, own.collect())) == joined[smoothing]
+        held = {r.fold: r for r in context.held_out(runs, folds=3).collect()}
+    finally:
+        cloudpickle.unregister_pickle_by_value(packed)
+    for fold in range(3):
+        scored = context.NgramModel(runs.filter(F.col("doc_id") % 3 != fold), smoothing="kneser_ney_3").score(runs.filter(F.col("doc_id") % 3 == fold))
+        want = scored.agg(F.count(F.lit(1)), F.sum((F.col("g") <= 0).cast("int")), F.avg(F.when(F.col("g") > 0, -F.log2("g")))).first()
+        assert (held[fold].words, held[fold].unknown, held[fold].bits) == (want[0], want[1], pytest.approx(want[2]))
+    none = context.NgramModel(runs.filter("false"), smoothing="kneser_ney_3")
+    assert none.score(none.runs).count() == 0 and [tuple(r) for r in context.held_out(none.runs).orderBy("fold").collect()] == [(0, 0, 0, None), (1, 0, 0, None)]

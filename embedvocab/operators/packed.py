@@ -39,6 +39,8 @@ def buckets(df: DataFrame) -> tuple[int, int]:
     """How many buckets, and parts of a bucket, the size of df's sources asks for; any numbers give the same counts."""
     leaves = df._jdf.queryExecution().optimizedPlan().collectLeaves()
     size = sum(int(str(leaves.apply(i).stats().sizeInBytes())) for i in range(leaves.size()))
+    if size >= 1 << 62:  # a source that does not know its size; words take some six bytes
+        size = 6 * df.count()
     count = min(max(size // BUCKET_BYTES, LEAST), 1 << 12)
     return count, min(max(size // count // PART_BYTES, 1), 64)
 
